@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, embed, merkle, minhash, packing, repair, toxicity
+from . import bpe, embed, html_blocks, merkle, minhash, packing, repair, repeats, toxicity
 from .common import table
 from .tokens import tokenizer_path
 
@@ -27,6 +27,10 @@ def op4_merkle(spark: SparkSession, sf_dir: str) -> DataFrame:
     return merkle.edited_against_next(table(spark, sf_dir, "documents"))
 
 
+def op5_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.without_repeated_words(table(spark, sf_dir, "documents"), width=50)
+
+
 def op6_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embed.near_vectors(table(spark, sf_dir, "embeddings"), cosine=0.95)
 
@@ -35,9 +39,17 @@ def op7_repair(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repair.read_documents(repair.write_shards(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), end_id=2))
 
 
+def op8_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.without_repeated_bytes(table(spark, sf_dir, "documents"))
+
+
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), window=2048, end_id=1)
 
 
-QUERIES = {f.__name__: f for f in (op1_minhash, op2_bpe, op3_toxicity, op4_merkle, op6_embeddings, op7_repair, op9_packing)}
+def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_blocks.main_text(table(spark, sf_dir, "pages"))
+
+
+QUERIES = {f.__name__: f for f in (op1_minhash, op2_bpe, op3_toxicity, op4_merkle, op5_debruijn, op6_embeddings, op7_repair, op8_suffixes, op9_packing, op10_html)}
 SQL: dict[str, str] = {}

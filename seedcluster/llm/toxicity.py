@@ -159,5 +159,23 @@ def scored(docs: DataFrame, model: tuple[np.ndarray, float], threshold: float =
     return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, "doc_id long, score double, predicted int")
 
 
+def without_toxic(docs: DataFrame, model: tuple[np.ndarray, float], threshold: float = 0.7, text: str = "text", bits: int = BITS) -> DataFrame:
+    """docs, all columns as they are, less the rows whose text scores `threshold` or more."""
+    spark = ready(docs.sparkSession)
+    sent = spark.sparkContext.broadcast((model[0].astype(np.float32), float(model[1])))
+    at = docs.columns.index(text)
+
+    def run(batches):
+        w, b = sent.value
+        for batch in batches:
+            good = np.ones(batch.num_rows, bool)
+            for a, rows, row, f in features(batch.column(at), bits):
+                z = np.bincount(row, w[f], rows) + b
+                good[a : a + rows] = 1 / (1 + np.exp(-np.clip(z, -30, 30))) < threshold
+            yield batch.filter(pa.array(good))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def is_held_out(doc_id: int) -> bool:
     return zlib.crc32(str(doc_id).encode()) % 3 == 1
