@@ -17,8 +17,8 @@ def _step(adj: DataFrame, ball: DataFrame, depth: int) -> DataFrame:
     return near.join(ball.select("seed", "node"), ["seed", "node"], "left_anti").select("seed", "node", F.lit(depth).alias("depth"))
 
 
-def grow_ball(graph: MotifGraph, seeds: DataFrame, layers: int, cut: bool = False) -> DataFrame:
-    """(seed, node, depth) of the nodes at most `layers` steps away. With cut, each layer is written, for deep balls of large graphs."""
+def grow_ball(graph: MotifGraph, seeds: DataFrame, layers: int, cut: bool = True) -> DataFrame:
+    """(seed, node, depth) of the nodes at most `layers` steps away. Each layer is written, for its plan names the one before twice; without cut, plans stay whole, for at most two layers."""
     ball = seeds.select(F.col("seed").cast("bigint").alias("seed"), F.col("seed").cast("bigint").alias("node"), F.lit(0).alias("depth")).distinct()
     for depth in range(1, layers + 1):
         ball = ball.unionByName(_step(graph.adj, ball, depth))

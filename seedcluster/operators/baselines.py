@@ -21,13 +21,17 @@ def appr(w: DataFrame, seeds: DataFrame, walk_continue: float = 0.98, tol: float
     spreads the rest over its edges by weight. Rounds end when no node is active. State is written every few rounds.
     """
     dw = weighted_degree(w)
-    links = w.select(F.col("u").alias("node"), F.col("v").alias("nbr"), "weight").unionByName(w.select(F.col("v").alias("node"), F.col("u").alias("nbr"), "weight")).join(dw, "node").select("node", "nbr", (F.col("weight") / F.col("dw")).alias("share"))
+    near = w.select(F.col("u").alias("node"), F.col("v").alias("nbr"), "weight").unionByName(w.select(F.col("v").alias("node"), F.col("u").alias("nbr"), "weight"))
+    near = near.join(dw, "node").join(dw.select(F.col("node").alias("nbr"), F.col("dw").alias("nbr_dw")), "nbr").select("node", "nbr", (F.col("weight") / F.col("dw")).alias("share"), "nbr_dw")
+    # A link from each node to itself carries what stays, so that a round reads the state once and plans do not double.
+    links = written(near.unionByName(dw.select("node", F.col("node").alias("nbr"), F.lit(None).cast("double").alias("share"), F.col("dw").alias("nbr_dw"))), "links")
     state = seeds.select("seed", F.col("seed").alias("node"), F.lit(0.0).alias("p"), F.lit(1.0).alias("r")).join(dw, "node").select("seed", "node", "dw", "p", "r")
+    active, stays = F.col("r") >= tol * F.col("dw"), F.col("share").isNull()
     for i in range(1, max_rounds + 1):
-        active = F.col("r") >= tol * F.col("dw")
-        stay = state.select("seed", "node", F.when(active, F.col("p") + (1 - walk_continue) * F.col("r")).otherwise(F.col("p")).alias("p"), F.when(active, F.lit(0.0)).otherwise(F.col("r")).alias("r"))
-        go = state.where(active).join(links, "node").select("seed", F.col("nbr").alias("node"), F.lit(0.0).alias("p"), (F.col("r") * F.col("share") * walk_continue).alias("r"))
-        state = stay.unionByName(go).groupBy("seed", "node").agg(F.sum("p").alias("p"), F.sum("r").alias("r")).join(dw, "node").select("seed", "node", "dw", "p", "r")
+        step = state.join(links, "node").where(stays | active)
+        p = F.when(stays, F.when(active, F.col("p") + (1 - walk_continue) * F.col("r")).otherwise(F.col("p"))).otherwise(0.0)
+        r = F.when(stays, F.when(active, 0.0).otherwise(F.col("r"))).otherwise(F.col("r") * F.col("share") * walk_continue)
+        state = step.select("seed", F.col("nbr").alias("node"), F.col("nbr_dw").alias("dw"), p.alias("p"), r.alias("r")).groupBy("seed", "node", "dw").agg(F.sum("p").alias("p"), F.sum("r").alias("r"))
         if i % cut_every == 0 and i < max_rounds:
             state = written(state, "appr")
             if not state.where(active).limit(1).count():

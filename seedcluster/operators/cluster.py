@@ -51,7 +51,7 @@ def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "tria
     if model == "graph" and spec.k > 3 and not allow_inexact:
         raise ValueError("the graph model is exact for motifs of at most three nodes")
     deep = max(layers)
-    ball = written(grow_ball(graph, seeds, deep, cut=deep > 3), "ball")
+    ball = grow_ball(graph, seeds, deep)
     padded = written(pad_last_ball(graph, ball, layers, min_nodes), "padded")
     last = len(layers) - 1
     balls = ball_schedule(ball, layers).where(F.col("ball_no") < last).unionByName(padded.select("seed", F.lit(last).cast("int").alias("ball_no"), "node", "depth"))
@@ -90,7 +90,7 @@ def pagerank_sweep(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle",
     from .models import cooccurrence_graph
 
     w = written(cooccurrence_graph(occurrences(graph.edges, SPECS[motif])), "weights")
-    prefixes = written(sweep(w, appr(w, seeds, walk_continue, tol, max_rounds)), "prefixes")
+    prefixes = written(sweep(w, written(appr(w, seeds, walk_continue, tol, max_rounds), "appr")), "prefixes")
     best = written(best_prefix(prefixes, pick), "best")
     factor = SPECS[motif].k - 1
     scores = best.select("seed", F.floor(F.col("cut") / factor).alias("cut"), F.floor(F.col("vol") / factor).alias("vol"), "phi", "size")

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, mix
+from ..sources.shared import written
 from .prepare import MotifGraph, orient
 
 
@@ -83,7 +84,7 @@ def touching(occ: DataFrame, ball: DataFrame) -> DataFrame:
 
 def ball_triangles(graph: MotifGraph, ball: DataFrame) -> DataFrame:
     """(seed, nodes, ways, min_depth) of triangles that touch the ball; only edges near it are read. Depths come by three joins on the rows, without a key of the whole triangle."""
-    t = triangles(near_edges(graph, ball), "seed")
+    t = triangles(written(near_edges(graph, ball), "near"), "seed")
     for c in "abc":
         t = t.join(ball.select("seed", F.col("node").alias(c), F.col("depth").alias(f"d{c}")), ["seed", c], "left")
     return t.where("da IS NOT NULL OR db IS NOT NULL OR dc IS NOT NULL").select("seed", F.array("a", "b", "c").alias("nodes"), F.lit(1).cast("bigint").alias("ways"), F.least("da", "db", "dc").alias("min_depth"))
@@ -176,7 +177,7 @@ def ball_occurrences(graph: MotifGraph, ball: DataFrame, spec: MotifSpec = TRIAN
     """(seed, nodes, ways, min_depth) of any motif; the halo is as wide as the pattern."""
     if spec.name == "triangle":
         return ball_triangles(graph, ball)
-    return touching(occurrences(near_edges(graph, ball, spec.halo), spec, "seed"), ball)
+    return touching(written(occurrences(written(near_edges(graph, ball, spec.halo), "near"), spec, "seed"), "occ"), ball)
 
 
 def sampled_triangles(edges: DataFrame, p: float, salt: int = 3) -> DataFrame:

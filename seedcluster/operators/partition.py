@@ -125,11 +125,9 @@ def improve(m: Model, side: np.ndarray, bound: int, fixed: bool, passes: int = 4
         inside, k = m.inside(side), np.diff(m.first)
 
         def gain(v: int) -> int:
-            g = 0
-            for e in m.of[m.at[v] : m.at[v + 1]]:
-                mine = inside[e] if side[v] else k[e] - inside[e]
-                g += int(m.weight[e]) * ((mine == 1) - (mine == k[e]))
-            return g
+            es = m.of[m.at[v] : m.at[v + 1]]
+            mine = inside[es] if side[v] else k[es] - inside[es]
+            return int(m.weight[es] @ ((mine == 1).astype(np.int64) - (mine == k[es])))
 
         weight = int(m.size[side].sum())
         heap = [(-gain(v), v) for v in range(m.n) if not (fixed and v < 2)]
@@ -148,18 +146,16 @@ def improve(m: Model, side: np.ndarray, bound: int, fixed: bool, passes: int = 4
                 done[v] = True
                 continue
             done[v] = True
-            for e in m.of[m.at[v] : m.at[v + 1]]:
-                inside[e] += -1 if side[v] else 1
+            inside[m.of[m.at[v] : m.at[v + 1]]] += -1 if side[v] else 1
             side[v] = ~side[v]
             weight, now = then, now + real
             trail.append(v)
             if now > best:
                 best, keep = now, len(trail)
-            for e in m.of[m.at[v] : m.at[v + 1]]:
-                if k[e] <= 50:
-                    for u in m.pins[m.first[e] : m.first[e + 1]]:
-                        if not done[u] and not (fixed and u < 2):
-                            heapq.heappush(heap, (-gain(u), int(u)))
+            near = {u for e in m.of[m.at[v] : m.at[v + 1]] if k[e] <= 50 for u in m.pins[m.first[e] : m.first[e + 1]].tolist()}
+            for u in near:
+                if not done[u] and not (fixed and u < 2):
+                    heapq.heappush(heap, (-gain(u), u))
         for v in trail[keep:]:
             side[v] = ~side[v]
         if best <= 0:
