@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import uuid
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -203,9 +205,6 @@ def pattern_edges(spark, sf_dir):
 @add("udaf_geo_mean", _RUNS + " SELECT graph, round(exp(avg(ln(size))), 6) AS size FROM runs GROUP BY graph")
 def udaf(spark, sf_dir):
     """The geometric mean as a grouped pandas function, twin of the column expression."""
-    import numpy as np
-    import pandas as pd
-
     @F.pandas_udf("double")
     def geo(x: pd.Series) -> float:
         return float(np.exp(np.log(x).mean()))
