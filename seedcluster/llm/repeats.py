@@ -124,14 +124,14 @@ def names_of(t: Texts, width: int, k: int, bits: int) -> tuple[np.ndarray, np.nd
     for a, at, least, _ in named(t, width, k):
         if len(at):
             got = least[at] >> np.uint64(64 - bits)
-            row = np.searchsorted(t.at, at + a, "right") - 1
-            new = np.r_[True, (got[1:] != got[:-1]) | (row[1:] != row[:-1])]
+            # Windows of two documents are never next to each other, for those across the border between do not count.
+            new = np.flatnonzero(np.r_[True, (got[1:] != got[:-1]) | (at[1:] != at[:-1] + 1)])
             name.append(got[new])
-            doc.append(t.ids[row[new]])
+            doc.append(t.ids[np.searchsorted(t.at, at[new] + a, "right") - 1])
     if not name:
         return np.zeros(0, np.uint64), np.zeros(0, bool)
     name, doc = np.concatenate(name), np.concatenate(doc)
-    order = np.argsort(name, kind="stable")
+    order = np.argsort(name)
     name, doc = name[order], doc[order]
     head = np.flatnonzero(np.r_[True, name[1:] != name[:-1]])
     return name[head], np.minimum.reduceat(doc, head) != np.maximum.reduceat(doc, head)
@@ -158,17 +158,28 @@ def suffix_owners(text: np.ndarray, at: np.ndarray, owner: np.ndarray, width: in
         raise ValueError("ranks of 48 bytes and two bytes more make 50")
     n = len(text)
     wide = np.concatenate([text, np.zeros(64, np.uint8)])
-    sample = np.flatnonzero(np.arange(n) % 3 < 2)
-    place = np.zeros(n + 64, np.int64)
-    place[sample] = np.arange(len(sample))
-    key = np.zeros(len(sample), np.uint64)
-    for i in range(6):
-        key = key << np.uint64(8) | wide[sample + i]
-    rank = np.unique(key, return_inverse=True)[1].astype(np.uint64)
-    for depth in (6, 12, 24):
-        then = np.minimum(sample + depth, n - 1)
-        then = np.where(then % 3 == 2, 0, then)  # beyond the end only; such ranks are of no suffix asked for
-        rank = np.unique(rank << np.uint64(32) | rank[place[then]], return_inverse=True)[1].astype(np.uint64)
+    asked = np.zeros(n + 64, bool)
+    for shift in range(3):
+        asked[at + shift] = True
+    asked[2::3] = False
+    # Which sample positions need a rank by 24, 12 and 6 bytes, so that those asked for get one by 48.
+    need = [asked]
+    for depth in (24, 12, 6):
+        more = need[-1].copy()
+        more[depth:] |= need[-1][:-depth]
+        need.append(more)
+    rank = np.zeros(n + 64, np.uint64)
+    for depth, mask in zip((0, 6, 12, 24), need[::-1], strict=True):
+        p = np.flatnonzero(mask)
+        if depth:
+            key = rank[p] << np.uint64(32) | rank[p + depth]
+        else:
+            key = np.zeros(len(p), np.uint64)
+            for i in range(6):
+                key = key << np.uint64(8) | wide[np.minimum(p + i, n)]
+        order = np.argsort(key)
+        s = key[order]
+        rank[p[order]] = np.cumsum(np.r_[False, s[1:] != s[:-1]]).astype(np.uint64)
     out = owner.copy()
     for shift in range(3):
         use = np.flatnonzero((at + shift) % 3 < 2)
@@ -176,9 +187,10 @@ def suffix_owners(text: np.ndarray, at: np.ndarray, owner: np.ndarray, width: in
             continue
         p = at[use]
         two = [j for j in (*range(shift), *range(48 + shift, 50))]
-        key = rank[place[p + shift]] << np.uint64(16) | wide[p + two[0]].astype(np.uint64) << np.uint64(8) | wide[p + two[1]]
-        order = np.argsort(key, kind="stable")
-        head = np.r_[True, key[order][1:] != key[order][:-1]]
+        key = rank[p + shift] << np.uint64(16) | wide[p + two[0]].astype(np.uint64) << np.uint64(8) | wide[p + two[1]]
+        order = np.argsort(key)
+        s = key[order]
+        head = np.r_[True, s[1:] != s[:-1]]
         least = np.minimum.reduceat(owner[use][order], np.flatnonzero(head))
         out[use[order]] = np.minimum(out[use[order]], least[np.cumsum(head) - 1])
     return out
@@ -186,8 +198,9 @@ def suffix_owners(text: np.ndarray, at: np.ndarray, owner: np.ndarray, width: in
 
 def edge_owners(edge: np.ndarray, owner: np.ndarray) -> np.ndarray:
     """For each edge the least owner of an equal one."""
-    order = np.argsort(edge, kind="stable")
-    head = np.r_[True, edge[order][1:] != edge[order][:-1]]
+    order = np.argsort(edge)
+    s = edge[order]
+    head = np.r_[True, s[1:] != s[:-1]]
     out = np.empty_like(owner)
     out[order] = np.minimum.reduceat(owner[order], np.flatnonzero(head))[np.cumsum(head) - 1]
     return out
@@ -236,7 +249,7 @@ def repeated_spans(docs: DataFrame, words: bool, width: int, k: int, finish, fie
         size = [len(x) for x in name]
         many = np.concatenate([np.unpackbits(np.frombuffer(x, np.uint8), count=n) for x, n in zip(group.column("many").to_pylist(), size, strict=True)]).astype(bool)
         name = np.concatenate(name)
-        order = np.argsort(name, kind="stable")
+        order = np.argsort(name)
         s = name[order]
         again = np.r_[s[1:] == s[:-1], False] | np.r_[False, s[1:] == s[:-1]]
         many[order] |= again
