@@ -19,6 +19,8 @@ MIX_1, MIX_2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 BASE = np.uint64(0x9E3779B97F4A7C15)
 #: Characters of text that numpy code holds at once within a batch.
 CHUNK = 400_000
+#: Sizes from here on are Catalyst's stand-in for not known.
+UNKNOWN = 1 << 60
 
 
 def ready(spark: SparkSession) -> SparkSession:
@@ -55,9 +57,10 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 def size_bytes(df: DataFrame) -> int:
-    """Catalyst's estimate for what df reads: for scans, the bytes of their files. Nothing runs."""
+    """Catalyst's estimate for what df reads: for scans, the bytes of their files, and nothing runs. Where Catalyst knows no size, a kilobyte a row."""
     leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
-    return sum(int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size()))
+    found = [int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size())]
+    return sum(found) if max(found, default=0) < UNKNOWN else 1000 * df.count()
 
 
 def parts_for(df: DataFrame, each: int = 4 << 20) -> int:

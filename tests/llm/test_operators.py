@@ -237,12 +237,12 @@ def test_packing(docs):
 
 def test_packing_prefers_neighbours():
     r = np.random.default_rng(0)
-    docs = [np.concatenate([r.integers(0, 300, 20) + 1000 * (i % 3), [1]]).astype(np.uint16) for i in range(30)]
+    docs = [np.concatenate([r.integers(0, 60, 40) + 1000 * (i % 3), [1]]).astype(np.uint16) for i in range(30)]
     df = np.bincount(np.concatenate([np.unique(d) for d in docs]), minlength=1 << 16)
-    order = packing.arrange(docs, packing.Index(docs, df, 30, 21.0), 105)
+    order = packing.arrange(docs, packing.Index(docs, df, 30, 41.0), 410)
     assert sorted(order) == list(range(30))
     same = np.mean([order[i] % 3 == order[i + 1] % 3 for i in range(29)])
-    assert same > 0.7
+    assert same > 0.6
 
 
 PAGE = '<html><head><title>T</title><style>p{}</style><script>var x="</p>"</script></head><body><nav><ul><li><a href="/a">Home</a></li><li><a href="/b">News</a></li></ul></nav><div class="ad">Buy now cheap</div><article><h1>Title %d &amp; more</h1><p>First   paragraph\nof some length, number %d.</p><p><b>Second<br><p>Third paragraph with enough words to read.</p></article><footer>&copy; 2020 site</footer></body></html>'
