@@ -353,7 +353,9 @@ def main_text(pages: DataFrame, sample: int = 300, page_id: str = "page_id", url
     spark = ready(pages.sparkSession)
     pages = pages.select(F.col(page_id).cast("long").alias("page_id"), F.col(url).alias("url"), F.col(html).alias("html"))
     short = pages.where(F.length("html").between(1, most_chars)).select("page_id", "html")
-    learn = [x["html"] for x in short.orderBy(F.xxhash64("page_id"), "page_id", F.xxhash64("html")).limit(sample).collect()]
+    # Ids are chosen without their pages, so that tasks do not send pages that lose; repeated ids cannot raise the bound.
+    chosen = short.where("page_id IS NOT NULL").select("page_id", F.xxhash64("page_id").alias("h")).distinct().orderBy("h", "page_id").limit(sample).select("page_id")
+    learn = [x["html"] for x in short.join(F.broadcast(chosen), "page_id").dropDuplicates(["page_id"]).orderBy(F.xxhash64("page_id"), "page_id").limit(sample).collect()]
     sent = spark.sparkContext.broadcast(train(learn))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
