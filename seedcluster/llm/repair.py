@@ -21,6 +21,7 @@ from .common import parts_for, ready, shard_bounds, written
 from .tokens import code_points, encoder
 
 TERMINALS = 1 << 16
+CELL_BITS = 18
 FIELDS = "shard long, n_ids long, doc_ids binary, doc_tokens binary, rules binary, lengths binary, sequence binary"
 
 
@@ -86,6 +87,11 @@ class Grammar:
         return out[skip : skip + stop - start]
 
 
+def _cells(pairs: np.ndarray) -> np.ndarray:
+    """A cell of the histogram for each pair; so few that its tables stay in a core's cache."""
+    return (pairs * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - CELL_BITS)).astype(np.int64)
+
+
 def compress(ids: np.ndarray, rounds: int = 6, least: int = 6, per_round: int = 4096) -> Grammar:
     """Ends after `rounds`, or when no pair occurs `least` times."""
     seq = ids.astype(np.uint32)
@@ -94,19 +100,24 @@ def compress(ids: np.ndarray, rounds: int = 6, least: int = 6, per_round: int =
         if len(seq) < 2:
             break
         key = seq[:-1].astype(np.uint64) << np.uint64(32) | seq[1:]
-        cell = (key * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(44)).astype(np.int64)
-        heat = np.bincount(cell, minlength=1 << 20)
+        cell = _cells(key)
+        heat = np.bincount(cell, minlength=1 << CELL_BITS)
         bound = max(least, int(np.partition(heat, -per_round)[-per_round]))
-        at = np.flatnonzero(heat[cell] >= bound)
+        at = np.flatnonzero((heat >= bound)[cell])
         pairs, count = np.unique(key[at], return_counts=True)
         good = count >= least
         pairs, count = pairs[good], count[good]
         if not len(pairs):
             break
         if len(pairs) > per_round:
-            pairs = np.sort(pairs[np.argsort(-count, kind="stable")[:per_round]])
-        which = np.minimum(np.searchsorted(pairs, key[at]), len(pairs) - 1)
-        hit = pairs[which] == key[at]
+            best = np.argsort(-count, kind="stable")[:per_round]
+            pairs, count = pairs[best], count[best]
+        # From cells to pairs; of pairs that share a cell the most frequent is replaced in this round.
+        slot = np.full(1 << CELL_BITS, -1, np.int32)
+        by_count = np.argsort(count, kind="stable")
+        slot[_cells(pairs[by_count])] = by_count
+        which = slot[cell[at]].astype(np.int64)
+        hit = (which >= 0) & (pairs[which] == key[at])
         at, which = at[hit], which[hit]
         head = np.r_[True, np.diff(at) > 1]
         odd = (at - at[np.maximum.accumulate(np.where(head, np.arange(len(at)), 0))]) % 2 == 0
