@@ -307,3 +307,20 @@ def test_pipeline(spark, sf_dir):
     cut = pipeline.cut_repeated_spans(spark, docs, sf_dir)
     assert cut.columns == docs.columns and cut.count() == docs.count() and [f.dataType for f in cut.schema] == [f.dataType for f in docs.schema]
     assert json.dumps([n for n, _ in pipeline.STAGES])
+
+
+def test_packing_retrieves_over_all_shards(spark):
+    """Neighbours in a window share a topic, of which an index shard holds one or two texts."""
+    r = random.Random(5)
+    topics = [[f"w{t}x{r.randrange(10**6)}" for _ in range(20)] for t in range(50)]
+    df = spark.createDataFrame([(i, " ".join(r.choice(topics[i % 50]) for _ in range(30))) for i in range(600)], "doc_id long, text string").repartition(3)
+    rows = sorted(packing.pack(df, HF, window=1024, shard_docs=60).collect(), key=lambda x: (x["sequence_id"], x["offset"]))
+    assert {x["doc_id"] for x in rows} == set(range(600))
+    same = [a["doc_id"] % 50 == b["doc_id"] % 50 for a, b in zip(rows, rows[1:], strict=False) if a["sequence_id"] == b["sequence_id"] and a["doc_id"] != b["doc_id"]]
+    assert np.mean(same) > 0.5, np.mean(same)
+
+
+def test_packing_asks_with_all_ids():
+    docs = [np.array([*range(10, 60), 1], np.uint16), np.array([*range(30, 90), 1], np.uint16)]
+    df = np.bincount(np.concatenate(docs), minlength=1 << 16)
+    assert [sorted(q.tolist()) for q in packing.Index(docs, df, 2, 56.0).queries] == [sorted(d.tolist()) for d in docs]
