@@ -9,6 +9,7 @@ is its own next one; an empty table gives no rows.
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -17,8 +18,8 @@ from pyspark.sql import functions as F
 
 from .common import CODES, parts_for, ready, shard_bounds, spans_hash, word_spans
 
-#: A word in so many ends a leaf, a paragraph in so many a section. A fingerprint shows at most SHOWN leaves, the least by hash.
-LEAF, SECTION, SHOWN = 8, 4, 256
+#: A word in so many ends a leaf, a paragraph in so many a section.
+LEAF, SECTION = 8, 4
 LOWEST = -(1 << 63)
 
 
@@ -26,7 +27,11 @@ def _h(data: bytes, size: int = 16) -> bytes:
     return hashlib.blake2b(data, digest_size=size).digest()
 
 
-def tree(text: str) -> tuple[bytes, list[tuple[bytes, list[tuple[bytes, list[tuple[bytes, int, int]]]]]]]:
+#: What tree() returns.
+Tree = tuple[bytes, list[tuple[bytes, list[tuple[bytes, list[tuple[bytes, int, int]]]]]]]
+
+
+def tree(text: str) -> Tree:
     """(root, sections); a section is (hash, paragraphs), a paragraph (hash, leaves), a leaf (hash, first byte, end)."""
     data = text.encode()
     raw = np.frombuffer(data, np.uint8)
@@ -65,21 +70,45 @@ def edited(a: str, b: str) -> list[tuple[int, int]]:
 
 
 def fingerprint(text: str) -> str:
-    """The root in hex, and the shortened hashes of the leaves in order of size (the SHOWN least)."""
-    root, sections = tree(text)
-    leaves = sorted({x[0][:4].hex() for _, ps in sections for _, ls in ps for x in ls})
-    return f"{root.hex()}:{'.'.join(leaves[:SHOWN])}"
+    """The root in hex, and the tree in text order: sections apart by '|', each its shortened hash, ':' and its paragraphs; these apart by ';', each its shortened hash, '=' and its leaves."""
+    return shown(tree(text))
+
 
+def shown(t: Tree) -> str:
+    root, sections = t
+    return f"{root.hex()}:" + "|".join(f"{s[:4].hex()}:" + ";".join(f"{p[:4].hex()}=" + ".".join(x[0][:4].hex() for x in leaves) for p, leaves in ps) for s, ps in sections)
 
-def likeness(a: str, b: str) -> float:
-    """Twice the leaves in both over the leaves of each, as far as the fingerprints show them; 1 for equal roots."""
-    (ra, _, la), (rb, _, lb) = a.partition(":"), b.partition(":")
-    if ra == rb:
+
+def likeness(a: Tree, b: Tree) -> float:
+    """Twice the leaves in both, each as often as in either, over the leaves of each; 1 for equal roots. Leaves are looked at only under differing branches."""
+    (root, mine), (other, theirs) = a, b
+    if root == other:
         return 1.0
-    x, y = set(filter(None, la.split("."))), set(filter(None, lb.split(".")))
-    either = sorted(x | y)[:SHOWN] if max(len(x), len(y)) >= SHOWN else x | y
-    both = sum(h in x and h in y for h in either)
-    return min(2 * both / (len(either) + both), 1 - 1e-9) if either else 0.0
+    total, both = sum(len(x) for t in (mine, theirs) for _, ps in t for _, x in ps), 0
+
+    def apart(x: list, y: list) -> tuple[list, list]:
+        """What is below the branches that the other side does not have; the leaves of the others are in both."""
+        nonlocal both
+        n, m = Counter(h for h, _ in x), Counter(h for h, _ in y)
+        common = n & m
+        left = []
+        for side in (x, y):
+            spare, rest = Counter(common), []
+            for h, under in side:
+                if spare[h] > 0:
+                    spare[h] -= 1
+                    both += size(under) if side is x else 0
+                else:
+                    rest += under
+            left.append(rest)
+        return left[0], left[1]
+
+    def size(under: list) -> int:
+        return sum(len(leaves) for _, leaves in under) if len(under[0]) == 2 else len(under)
+
+    x, y = apart(*apart(mine, theirs))
+    both += (Counter(h for h, _, _ in x) & Counter(h for h, _, _ in y)).total()
+    return min(2 * both / total, 1 - 1e-9) if total else 0.0
 
 
 FIELDS = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
@@ -113,17 +142,17 @@ def edited_against_next(docs: DataFrame, doc_id: str = "doc_id", text: str = "te
         group = group.sort_by([("beyond", "ascending"), ("doc_id", "ascending"), ("text", "ascending")])
         ids, texts, beyond = (group.column(c).to_pylist() for c in ("doc_id", "text", "beyond"))
         n = beyond.index(True) if True in beyond else len(ids)
-        prints: list[str | None] = [None] * len(ids)
+        trees: list[Tree | None] = [None] * len(ids)
         out = []
         for i in range(n):
             a, b = texts[i], texts[i + 1]
             for k in (i, i + 1):
-                prints[k] = prints[k] or fingerprint(texts[k])
+                trees[k] = trees[k] or tree(texts[k])
             half = len(a) // 2
             edit = a[: len(a) - half] + b[:half]
-            mark = fingerprint(edit)
-            out.append((None if ids[i] == LOWEST else ids[i], len(a), hashlib.sha256(edit.encode()).hexdigest(), prints[i], mark, likeness(prints[i], mark), likeness(prints[i], prints[i + 1])))
-            prints[i] = ""
+            changed = tree(edit)
+            out.append((None if ids[i] == LOWEST else ids[i], len(a), hashlib.sha256(edit.encode()).hexdigest(), shown(trees[i]), shown(changed), likeness(trees[i], changed), likeness(trees[i], trees[i + 1])))
+            trees[i] = None
         cols = list(zip(*out, strict=True)) or [()] * 7
         kinds = [pa.int64(), pa.int64(), *[pa.string()] * 3, *[pa.float64()] * 2]
         return pa.table([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"])

@@ -324,3 +324,15 @@ def test_packing_asks_with_all_ids():
     docs = [np.array([*range(10, 60), 1], np.uint16), np.array([*range(30, 90), 1], np.uint16)]
     df = np.bincount(np.concatenate(docs), minlength=1 << 16)
     assert [sorted(q.tolist()) for q in packing.Index(docs, df, 2, 56.0).queries] == [sorted(d.tolist()) for d in docs]
+
+
+def test_merkle_shows_and_compares_whole_trees():
+    """Likeness counts every leaf of a long text, and the fingerprint names them all."""
+    a = words(random.Random(3), 6000).replace(" alpha", "\nalpha")
+    b = a[: len(a) // 2] + words(random.Random(8), 3000)
+    leaves = [[x[0] for _, ps in merkle.tree(t)[1] for _, ls in ps for x in ls] for t in (a, b)]
+    both = (collections.Counter(leaves[0]) & collections.Counter(leaves[1])).total()
+    assert len(leaves[0]) > 600 and merkle.likeness(merkle.tree(a), merkle.tree(b)) == 2 * both / (len(leaves[0]) + len(leaves[1]))
+    sections = [x.split(":")[1] for x in merkle.fingerprint(a).split(":", 1)[1].split("|")]
+    assert [h for s in sections for p in s.split(";") for h in p.split("=")[1].split(".")] == [h[:4].hex() for h in leaves[0]]
+    assert merkle.likeness(merkle.tree(a), merkle.tree(a)) == 1.0 and 1 > merkle.likeness(merkle.tree(a), merkle.tree("x" + a)) > 0.99
