@@ -22,9 +22,9 @@ from pyspark.sql import functions as F
 from .common import CODES, LOWER, MIX_1, coded, ready, spans_hash, utf8, word_spans
 
 #: Elements that do not end a block, those without content, and those whose content is no text (fixed lists of HTML).
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr br".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i img ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr br button object math mi mn mo ms mtext mrow mfrac msqrt mroot msup msub msubsup munder mover munderover mstyle mspace mpadded semantics svg g path circle rect line polyline polygon ellipse defs use symbol text tspan".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = ("script", "style", "template", "noscript", "svg", "math", "iframe", "object", "textarea", "select", "button")
+RAW = ("script", "style", "template", "iframe", "textarea")
 #: Words in the names of elements, classes and ids that tell a block's part.
 MAIN = frozenset("article main content post story entry".split())
 APART = frozenset("head nav menu header footer sidebar aside notice cookie consent banner ad ads advert advertisement sponsor sponsored promo form login subscribe newsletter comment comments reply share social related breadcrumb".split())

@@ -336,3 +336,10 @@ def test_merkle_shows_and_compares_whole_trees():
     sections = [x.split(":")[1] for x in merkle.fingerprint(a).split(":", 1)[1].split("|")]
     assert [h for s in sections for p in s.split(";") for h in p.split("=")[1].split(".")] == [h[:4].hex() for h in leaves[0]]
     assert merkle.likeness(merkle.tree(a), merkle.tree(a)) == 1.0 and 1 > merkle.likeness(merkle.tree(a), merkle.tree("x" + a)) > 0.99
+
+
+def test_html_keeps_text_of_unclosed_and_unusual_elements():
+    page = '<body><header><a><svg class="i"/></a></header><article><p>first <math><mi>x</mi><mo>=</mo><mn>2</mn></math> end</p><p>a <svg><path d="M0"/></svg> b</p><button>open<p>second</p><noscript><p>third</p></noscript><object>fourth</object></article></body>'
+    found = [t for _, t, _ in html_blocks.blocks(page)]
+    assert found[:2] == ["first x=2 end", "a b"] and {"second", "third", "fourth"} <= set(found) and any("open" in t for t in found)
+    assert html_blocks.blocks("<p>a</p><script>x<p>y</p>") == html_blocks.blocks("<p>a</p>")
