@@ -7,6 +7,8 @@ from a boundary on the pattern looks only forward.
 
 from __future__ import annotations
 
+import json
+import re
 from functools import lru_cache
 
 import numpy as np
@@ -126,6 +128,7 @@ class Encoder:
 
     def __init__(self, library: str, path: str, slots: int = 1 << 21):
         self.library, self.table, self.slots = library, classes(library), slots
+        self.added, self.find_added = {}, None
         self.keys, self.count, self.ids = np.zeros(slots, np.uint64), np.zeros(slots, np.uint8), np.zeros(slots * self.WIDTH + self.TAIL, np.uint16)
         if library == "tiktoken":
             import base64
@@ -141,8 +144,13 @@ class Encoder:
             from tokenizers import Tokenizer, pre_tokenizers
 
             self.tool = Tokenizer.from_file(path)
-            self.tool.encode_special_tokens = True
             self.model = self.tool.model
+            with open(path) as f:
+                added = json.load(f)["added_tokens"]
+            if any(x["single_word"] or x["lstrip"] or x["rstrip"] for x in added):
+                raise ValueError("added tokens that take spaces or whole words only are not supported")
+            self.added = {x["content"]: x["id"] for x in added}
+            self.find_added = re.compile("|".join(re.escape(x) for x in sorted(self.added, key=len, reverse=True))) if added else None
             level = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
             low = {i: level.pre_tokenize_str(chr(i))[0][0] for i in range(128)}
             high = {b: level.pre_tokenize_str(c)[0][0][i] for c in map(chr, [*range(0x80, 0x800), *range(0x800, 0xD800, 64), *range(0x10000, 0x110000, 4096)]) for i, b in enumerate(c.encode())}
@@ -158,7 +166,31 @@ class Encoder:
         return np.fromiter(map(len, got), np.int64, len(got)), np.fromiter((i for x in got for i in x), np.uint16)
 
     def encode(self, points: np.ndarray, offsets: np.ndarray, most: int = 500_000) -> tuple[np.ndarray, np.ndarray]:
-        """All ids of the rows, and how many each row has."""
+        """All ids of the rows, and how many each row has. An added token's content is that token, and text ends and begins there."""
+        found = self._found(points, offsets)
+        if found:
+            start, end, one = (np.array(x) for x in zip(*found, strict=True))
+            edges = np.unique(np.concatenate([offsets, start, end]))
+            inside = np.isin(edges[:-1], start)
+            cut = np.diff(edges) * ~inside
+            keep = np.repeat(~inside, np.diff(edges))
+            ids, n = self.encode_plain(points[keep], np.concatenate([[0], np.cumsum(cut)]), most)
+            ids = np.insert(ids, np.concatenate([[0], np.cumsum(n)])[np.flatnonzero(inside)], one)
+            total = np.concatenate([[0], np.cumsum(n + inside)])
+            return ids, np.diff(total[np.searchsorted(edges, offsets)])
+        return self.encode_plain(points, offsets, most)
+
+    def _found(self, points: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int, int]]:
+        """(first, end, id) of the added tokens in the rows."""
+        if not self.added or not len(points):
+            return []
+        at = np.unique(np.concatenate([np.flatnonzero((points[: len(points) - len(x) + 1] == ord(x[0])) & (points[len(x) - 1 :] == ord(x[-1]))) for x in self.added if len(x) <= len(points)] or [np.zeros(0, np.int64)]))
+        rows = np.unique(np.searchsorted(offsets, at, "right") - 1).tolist()
+        texts = ((int(offsets[r]), points[offsets[r] : offsets[r + 1]].astype("<u4").tobytes().decode("utf-32-le")) for r in rows)
+        return [(a + m.start(), a + m.end(), self.added[m[0]]) for a, text in texts for m in self.find_added.finditer(text)]
+
+    def encode_plain(self, points: np.ndarray, offsets: np.ndarray, most: int = 500_000) -> tuple[np.ndarray, np.ndarray]:
+        """The same for text without added tokens."""
         got = [self._chunk(points[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]) for a, b in chunks(np.diff(offsets), most)]
         return (np.concatenate([x for x, _ in got]), np.concatenate([n for _, n in got])) if got else (np.zeros(0, np.uint16), np.zeros(0, np.int64))
 

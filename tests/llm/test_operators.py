@@ -343,3 +343,14 @@ def test_html_keeps_text_of_unclosed_and_unusual_elements():
     found = [t for _, t, _ in html_blocks.blocks(page)]
     assert found[:2] == ["first x=2 end", "a b"] and {"second", "third", "fourth"} <= set(found) and any("open" in t for t in found)
     assert html_blocks.blocks("<p>a</p><script>x<p>y</p>") == html_blocks.blocks("<p>a</p>")
+
+
+def test_added_tokens_as_the_library_has_them():
+    from tokenizers import Tokenizer
+
+    t, e = Tokenizer.from_file(HF), tokens.Encoder("tokenizers", HF)
+    mark = "<|endoftext|>"
+    texts = [f"a {mark} b", mark, f"{mark}{mark}", "", f"x  {mark}  it's\n", "plain <text> <|endoftext|", f"é{mark}中", "<|endof" , "text|>", "end"]
+    want = [t.encode(x, add_special_tokens=False).ids for x in texts]
+    ids, n = e.encode(np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32), np.cumsum([0, *map(len, texts)]))
+    assert [x.tolist() for x in np.split(ids, np.cumsum(n)[:-1])] == want and 50256 in want[0]
