@@ -58,26 +58,26 @@ def model_duel(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = (*SUIT
     return _all(out)
 
 
-def search_ablation(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 50, n_trials: int = 20) -> DataFrame:
+def search_ablation(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 50, n_trials: int = 80) -> DataFrame:
     """runs with and without the local search, on the same trials."""
     g, s = graph(spark, sf_dir, name), seeds_of(spark, sf_dir, name, k)
     return _all([timed_runs(algo, name, lambda r=rounds: A.local_motif_clusters(g, s, layers=LAYERS[name], n_trials=n_trials, search_rounds=r), s) for algo, rounds in (("plain", 0), ("search", 10))])
 
 
-def consistency_duel(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 50, n_trials: int = 20) -> DataFrame:
+def consistency_duel(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 50, n_trials: int = 80) -> DataFrame:
     """runs with repair of the seed and with fixed nodes."""
     g, s = graph(spark, sf_dir, name), seeds_of(spark, sf_dir, name, k)
     return _all([timed_runs(algo, name, lambda f=fixed: A.local_motif_clusters(g, s, layers=LAYERS[name], n_trials=n_trials, fixed=f), s) for algo, fixed in (("repair", False), ("fixed", True))])
 
 
-def sweep_trials(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 10, values: tuple[int, ...] = (1, 5, 20, 80)) -> DataFrame:
+def sweep_trials(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 50, values: tuple[int, ...] = (1, 5, 20, 80)) -> DataFrame:
     """(n, phi): mean phi of the best of the first n trials. Trials do not depend on how many there are, so one run serves all n."""
     g, s = graph(spark, sf_dir, name), seeds_of(spark, sf_dir, name, k)
     r = A.local_motif_clusters(g, s, layers=LAYERS[name], n_trials=max(values))
     return S.best_so_far(r.trials).where(F.col("n").isin(list(values))).groupBy("n").agg(F.avg("phi").alias("phi"))
 
 
-def sweep_balls(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 10, n_trials: int = 20) -> DataFrame:
+def sweep_balls(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = 50, n_trials: int = 80) -> DataFrame:
     """(balls, phi): mean phi of the best over the first balls."""
     g, s = graph(spark, sf_dir, name), seeds_of(spark, sf_dir, name, k)
     t = written(A.local_motif_clusters(g, s, layers=LAYERS[name], n_trials=n_trials).trials.groupBy("seed", "ball_no").agg(F.min("phi").alias("phi")), "balls")
@@ -97,11 +97,6 @@ def assumption_everywhere(spark: SparkSession, sf_dir: str, k: int = 50) -> Data
     return _all(out)
 
 
-add("x_search_ablation")(lambda s, d: search_ablation(s, d, k=5, n_trials=4))
-add("x_consistency_duel")(lambda s, d: consistency_duel(s, d, k=5, n_trials=4))
-add("x_sweep_trials")(lambda s, d: sweep_trials(s, d, k=4, values=(1, 2, 5, 10)))
-add("x_sweep_balls")(lambda s, d: sweep_balls(s, d, k=4, n_trials=4))
-add("x_model_duel")(lambda s, d: model_duel(s, d, ("embed_knn", "doc_overlap"), k=4, n_trials=4))
-add("x_compare")(lambda s, d: compare(s, d, ("cells", "embed_knn"), k=4, n_trials=4))
-add("x_compare_averages")(lambda s, d: S.averages(compare(s, d, ("embed_knn",), k=4, n_trials=4)))
-add("x_volume_assumption")(lambda s, d: assumption_everywhere(s, d, k=10))
+for _name, _run in (("search_ablation", search_ablation), ("consistency_duel", consistency_duel), ("sweep_trials", sweep_trials), ("sweep_balls", sweep_balls), ("model_duel", model_duel), ("compare", compare), ("volume_assumption", assumption_everywhere)):
+    add(f"x_{_name}")(_run)
+add("x_compare_averages")(lambda s, d: S.averages(compare(s, d)))

@@ -61,3 +61,16 @@ def test_planted_optimum(spark, sf_dir):
     r = A.local_motif_clusters(graph(spark, sf_dir), spark.createDataFrame([(0,)], "seed bigint"), layers=(1,), n_trials=20, min_nodes=0)
     row = r.scores.first()
     assert (row["cut"], row["vol"], row["size"]) == (2, 107, 7)
+
+
+def test_experiments_are_registered_whole(monkeypatch):
+    from seedcluster.plans import experiments, queries
+
+    asked = []
+    monkeypatch.setattr(experiments, "graph", lambda s, d, name: None)
+    monkeypatch.setattr(experiments, "seeds_of", lambda s, d, name, k: asked.append((name, k)))
+    monkeypatch.setattr(experiments, "timed_runs", lambda algo, name, solve, seeds: None)
+    monkeypatch.setattr(experiments, "_all", lambda frames: frames)
+    queries.QUERIES["x_compare"](None, None)
+    assert {name for name, _ in asked} == set(experiments.SUITES["test"]) and {k for _, k in asked} == {50}
+    assert {"pagerank_sweep_first_local", "edge_sweep_full"} <= set(queries.QUERIES)
