@@ -18,8 +18,8 @@ from .common import BASE, CODES, LOWER, chunks, mix64, parts_for, ready, spans_h
 from .components import components
 
 BANDS, ROWS = 32, 4
-#: A pair whose signatures agree on less than this share is dropped unverified: 0.8 less four standard errors of 128 minima.
-AGREE = 0.66
+#: A pair whose signatures agree on less than this share is dropped unverified: 0.8 less seven standard errors of 128 minima.
+AGREE = 0.56
 
 
 def shingle_sets(column: pa.Array, width: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
@@ -242,7 +242,7 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     verify them. The links make components. Round 2 takes the buckets that still hold several components, joined by their smallest id so that the bands of one
     group meet once, and compares full sets of all members of different components that agree by signature, inside blocks, which answer with spanning links. So no
     group gives more pairs than members for each block, and a link is lost only if no band shows its pair or its
-    signatures disagree: with probability (1 - s^rows)^bands, or four standard errors off, at similarity s.
+    signatures disagree: with probability (1 - s^rows)^bands, or by `agree`, seven standard errors off at 0.8 (3e-10), at similarity s.
     """
     ready(docs.sparkSession)
     n_hashes = bands * rows

@@ -354,3 +354,10 @@ def test_added_tokens_as_the_library_has_them():
     want = [t.encode(x, add_special_tokens=False).ids for x in texts]
     ids, n = e.encode(np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32), np.cumsum([0, *map(len, texts)]))
     assert [x.tolist() for x in np.split(ids, np.cumsum(n)[:-1])] == want and 50256 in want[0]
+
+
+def test_signature_bound_loses_no_more_than_the_bands():
+    from math import ceil, comb
+
+    least = ceil(minhash.AGREE * 128)
+    assert sum(comb(128, i) * 0.8**i * 0.2 ** (128 - i) for i in range(least)) < 1e-8
