@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CODES, chunks, mix64, ready, spans_hash, utf8, word_spans
+from .common import CODES, chunks, mix64, ready, spans_hash, utf8, word_spans, written
 
 BITS = 18
 #: Names of groups, by kind, in the languages of the texts (word list; a swap stays within a kind).
@@ -68,18 +68,29 @@ def word_features(word: str, bits: int = BITS) -> np.ndarray:
     return next(features(pa.array([word]), bits))[3]
 
 
-def telling(texts: list[np.ndarray], labels: np.ndarray, bits: int, z: float) -> np.ndarray:
-    """Whether a feature's share among texts of label 1 differs from that among the others by z standard errors and it is in three texts."""
-    f, y = np.concatenate(texts), np.repeat(labels, [len(x) for x in texts])
-    one, all_ = np.bincount(f, y, 1 << bits), np.bincount(f, minlength=1 << bits)
-    n1, n = labels.sum(), len(labels)
-    p = (all_ + 1) / (n + 2)
+def word_key(word: str, bits: int = BITS) -> int:
+    """The feature of the whole word, which its longer relatives lack."""
+    raw = np.frombuffer(word.lower().encode(), np.uint8)
+    return int(spans_hash(CODES[raw], np.zeros(1, np.int64), np.array([len(raw)]))[0] >> np.uint64(64 - bits))
+
+
+def identity_features(bits: int = BITS) -> np.ndarray:
+    """All features of the identity terms."""
+    return np.unique(np.concatenate([word_features(x, bits) for kind in IDENTITY for x in kind]))
+
+
+def telling(one: np.ndarray, every: np.ndarray, n1: float, n: float, z: float) -> np.ndarray:
+    """Whether a feature's share among texts of label 1 differs from that among the others by z standard errors and it is in three texts.
+
+    one, every: texts of label 1, and all texts, that have the feature; n1 of n texts have label 1.
+    """
+    p = (every + 1) / (n + 2)
     error = np.sqrt(p * (1 - p) * (1 / n1 + 1 / (n - n1)))
-    return (np.abs(one / n1 - (all_ - one) / (n - n1)) >= z * error) & (all_ >= 3)
+    return (np.abs(one / n1 - (every - one) / (n - n1)) >= z * error) & (every >= 3)
 
 
-def train(texts: list[np.ndarray], labels: np.ndarray, bits: int = BITS, epochs: int = 20, rate: float = 0.2, l2: float = 1e-5, counterfactual: float = 1.0, z: float = 5.0, positive: float = 2.5, seed: int = 5) -> tuple[np.ndarray, float]:
-    """Weights and bias from the texts' features. Adagrad over small batches of the telling features and the identity terms."""
+def train(texts: list[np.ndarray], labels: np.ndarray, bits: int = BITS, epochs: int = 20, rate: float = 0.2, l2: float = 1e-5, counterfactual: float = 1.0, positive: float = 2.5, seed: int = 5) -> tuple[np.ndarray, float]:
+    """Weights and bias from the texts' features, which fit() has cut to the telling ones and those of identity terms. Adagrad over small batches."""
     n = len(texts)
     w, b = np.zeros(1 << bits), 0.0
     if not n or labels.min() == labels.max():
@@ -88,10 +99,11 @@ def train(texts: list[np.ndarray], labels: np.ndarray, bits: int = BITS, epochs:
     rng = np.random.default_rng(seed)
     kinds = [[word_features(x, bits) for x in kind] for kind in IDENTITY]
     own = [(k, i) for k, kind in enumerate(kinds) for i in range(len(kind))]
-    main = {int(kinds[k][i][0]): (k, i) for k, i in own}
-    use = telling(texts, labels, bits, z)
-    named = [[main[x] for x in np.intersect1d(t, list(main)).tolist()] for t in texts]
-    texts = [t[use[t]] for t in texts]
+    main: dict[int, list[tuple[int, int]]] = {}
+    for k, i in own:
+        main.setdefault(word_key(IDENTITY[k][i], bits), []).append((k, i))
+    keys = np.array(sorted(main))
+    named = [[x for key in t[np.isin(t, keys)].tolist() for x in main[key]] for t in texts]
     g2, gb = np.full(1 << bits, 1e-6), 1e-6
     size = np.array([len(x) for x in texts])
     b = float(np.log((labels.sum() + 0.5) / (n - labels.sum() + 0.5)))
@@ -126,21 +138,51 @@ def held_out(doc_id: str = "doc_id"):
     return F.crc32(F.col(doc_id).cast("string").cast("binary")) % 3 == 1
 
 
-def fit(docs: DataFrame, labels: DataFrame, most: int = 20_000, doc_id: str = "doc_id", text: str = "text", label: str = "toxic", bits: int = BITS) -> tuple[np.ndarray, float]:
-    """Trains on the at most `most` labelled documents, not held out, that come first by a hash of doc_id. Only their hashed features reach the driver."""
-    ready(docs.sparkSession)
+def fit(docs: DataFrame, labels: DataFrame, most: int = 20_000, doc_id: str = "doc_id", text: str = "text", label: str = "toxic", bits: int = BITS, counterfactual: float = 1.0, z: float = 5.0) -> tuple[np.ndarray, float]:
+    """Trains on the at most `most` labelled documents, not held out, that come first by a hash of doc_id.
 
-    def run(batches):
+    Spark counts each feature by label and chooses the telling ones; of the documents, only those and the identity terms' reach the driver.
+    Of rows with one id the least text counts.
+    """
+    spark = ready(docs.sparkSession)
+    names = ["doc_id", "label", "features"]
+
+    def hashed(batches):
         for batch in batches:
             for a, rows, row, f in features(batch.column(2), bits):
                 at = np.searchsorted(row, np.arange(rows + 1))
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, rows), batch.column(1).slice(a, rows), pa.array([f[i:j].astype("<i4").tobytes() for i, j in zip(at, at[1:], strict=False)], pa.binary())], ["doc_id", "label", "features"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, rows), batch.column(1).slice(a, rows), pa.array([f[i:j].astype("<i4").tobytes() for i, j in zip(at, at[1:], strict=False)], pa.binary())], names)
+
+    def counted(batches):
+        every, one = np.zeros(1 << bits, np.int64), np.zeros(1 << bits, np.int64)
+        for batch in batches:
+            for y, x in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
+                f = np.frombuffer(x, "<i4")
+                every[f] += 1
+                one[f] += y
+        f = np.flatnonzero(every)
+        yield pa.RecordBatch.from_arrays([pa.array(f), pa.array(one[f]), pa.array(every[f])], ["f", "one", "every"])
 
     known = labels.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(label).cast("int").alias("label")).where("label IN (0, 1) AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("label").alias("label"), F.max("label").alias("other")).where("label = other").drop("other")
     known = known.where(~held_out()).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).join(F.broadcast(known), "doc_id").select("doc_id", "label", "text")
-    got = sorted(rows.mapInArrow(run, "doc_id long, label int, features binary").collect())
-    return train([np.frombuffer(x["features"], "<i4").astype(np.int64) for x in got], np.array([x["label"] for x in got], float), bits)
+    rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).join(F.broadcast(known), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text"))
+    sample = written(rows.mapInArrow(hashed, "doc_id long, label int, features binary"), "labelled")
+    n, n1 = sample.agg(F.count(F.lit(1)), F.coalesce(F.sum("label"), F.lit(0))).first()
+    if n in (0, n1) or not n1:
+        return train([np.zeros(0, np.int64)] * n, np.full(n, float(n1 > 0)), bits)
+    counts = sample.mapInArrow(counted, "f long, one long, every long").groupBy("f").agg(F.sum("one").alias("one"), F.sum("every").alias("every")).where("every >= 3").toPandas()
+    use = np.zeros(1 << bits, bool)
+    use[counts["f"].to_numpy()[telling(counts["one"].to_numpy(), counts["every"].to_numpy(), n1, n, z)]] = True
+    use[identity_features(bits)] = True
+    sent = spark.sparkContext.broadcast(use)
+
+    def chosen(batches):
+        for batch in batches:
+            got = [np.frombuffer(x, "<i4") for x in batch.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([f[sent.value[f]].tobytes() for f in got], pa.binary())], names)
+
+    got = sample.mapInArrow(chosen, "doc_id long, label int, features binary").orderBy("doc_id").toArrow()
+    return train([np.frombuffer(x, "<i4") for x in got.column("features").to_pylist()], got.column("label").to_numpy().astype(float), bits, counterfactual=counterfactual)
 
 
 def scored(docs: DataFrame, model: tuple[np.ndarray, float], threshold: float = 0.7, doc_id: str = "doc_id", text: str = "text", bits: int = BITS) -> DataFrame:

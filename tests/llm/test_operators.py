@@ -129,6 +129,22 @@ def test_counterfactual_lowers_bias():
     assert abs(with_it[term].sum()) < 0.6 * abs(without[term].sum())
 
 
+def test_toxicity_penalty_labels_and_repeated_rows(spark):
+    """The penalty changes scores of texts that name groups; null and conflicting labels and those of held-out rows change none; a longer word is no identity term."""
+    r = random.Random(3)
+    rows = [(i, words(r, 20) + (" gremlin" if i % 2 and i % 8 != 1 else "") + (" muslims" if i % 2 and i % 3 else ""), i % 2) for i in range(400)]
+    df = spark.createDataFrame([x[:2] for x in rows] + [rows[5][:2], (9000, "they are muslims"), (9001, "they are people")], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, y) for i, _, y in rows], "doc_id long, toxic int")
+    score = lambda m: {x["doc_id"]: x["score"] for x in toxicity.scored(df, m).collect()}
+    strong, none = score(toxicity.fit(df, labels, counterfactual=20.0)), score(toxicity.fit(df, labels, counterfactual=0.0))
+    assert strong[9000] - strong[9001] < 0.5 * (none[9000] - none[9001])
+    flipped = spark.createDataFrame([(i, 1 - y if toxicity.is_held_out(i) else y) for i, _, y in rows] + [(9000, None), (9001, 0), (9001, 1)], "doc_id long, toxic int")
+    assert score(toxicity.fit(df, flipped)) == score(toxicity.fit(df, labels))
+    assert toxicity.scored(df, toxicity.fit(df, labels)).count() == df.count()
+    for term, longer in (("white", "whitespace"), ("women", "womenfolk"), ("christians", "christmas")):
+        assert toxicity.word_key(term) in toxicity.word_features(term) and toxicity.word_key(term) not in toxicity.word_features(longer)
+
+
 def test_merkle(docs):
     rows = fixture()
     got = {x["doc_id"]: x for x in merkle.edited_against_next(docs).collect()}
@@ -215,7 +231,7 @@ def test_grammar_random_access():
 
 
 def test_packing(docs):
-    rows = packing.pack(docs, HF, window=256, shard_docs=6).collect()
+    rows = packing.pack(docs, HF, window=256, shard_docs=6, shard_ids=3000).collect()
     want, by_doc, by_seq = ids_of(1), collections.defaultdict(list), collections.defaultdict(list)
     for x in rows:
         by_doc[x["doc_id"]].append(x)
@@ -309,21 +325,39 @@ def test_pipeline(spark, sf_dir):
     assert json.dumps([n for n, _ in pipeline.STAGES])
 
 
-def test_packing_retrieves_over_all_shards(spark):
-    """Neighbours in a window share a topic, of which an index shard holds one or two texts."""
+def test_packing_places_like_texts_in_one_shard(spark):
+    """Neighbours in a window share a topic far more often than by chance, of which an index shard of documents dealt by a hash would hold one or two texts."""
     r = random.Random(5)
     topics = [[f"w{t}x{r.randrange(10**6)}" for _ in range(20)] for t in range(50)]
     df = spark.createDataFrame([(i, " ".join(r.choice(topics[i % 50]) for _ in range(30))) for i in range(600)], "doc_id long, text string").repartition(3)
     rows = sorted(packing.pack(df, HF, window=1024, shard_docs=60).collect(), key=lambda x: (x["sequence_id"], x["offset"]))
     assert {x["doc_id"] for x in rows} == set(range(600))
     same = [a["doc_id"] % 50 == b["doc_id"] % 50 for a, b in zip(rows, rows[1:], strict=False) if a["sequence_id"] == b["sequence_id"] and a["doc_id"] != b["doc_id"]]
-    assert np.mean(same) > 0.5, np.mean(same)
+    assert np.mean(same) > 0.3, np.mean(same)
 
 
-def test_packing_asks_with_all_ids():
-    docs = [np.array([*range(10, 60), 1], np.uint16), np.array([*range(30, 90), 1], np.uint16)]
-    df = np.bincount(np.concatenate(docs), minlength=1 << 16)
-    assert [sorted(q.tolist()) for q in packing.Index(docs, df, 2, 56.0).queries] == [sorted(d.tolist()) for d in docs]
+def test_packing_scores_are_bm25(monkeypatch):
+    """Scores with a dense and a listed part of the vocabulary against the formula, over the corpus's frequencies; a query is all ids of its seed."""
+    monkeypatch.setattr(packing, "DENSE", 20)
+    r = np.random.default_rng(1)
+    docs = [np.concatenate([r.integers(0, 200, r.integers(0, 80)), [1]]).astype(np.uint16) for _ in range(40)]
+    df = np.bincount(np.concatenate([np.unique(d) for d in docs]), minlength=1 << 16) * 3
+    index, counts = packing.Index(docs, df, 120, 41.0), [collections.Counter(d.tolist()) for d in docs]
+    for a in range(40):
+        want = [sum(np.log(1 + (120 - df[t] + 0.5) / (df[t] + 0.5)) * counts[b][t] * 2.2 / (counts[b][t] + 1.2 * (0.25 + 0.75 * len(docs[b]) / 41)) for t in counts[a] if t in counts[b]) for b in range(40)]
+        assert np.allclose(index.scores(a), want, atol=1e-3) or np.allclose(np.delete(index.scores(a), a), np.delete(want, a), atol=1e-3)
+
+
+def test_packing_pads_little_and_bounds_shards(spark, sf_dir):
+    """On the table, padding is at most one window a range; documents longer than a shard and rows of one id are packed whole."""
+    df = table(spark, sf_dir, "documents")
+    rows = packing.pack(df, HF).collect()
+    used, seqs = sum(x["length"] for x in rows), len({x["sequence_id"] for x in rows})
+    assert seqs * 2048 - used < 2048 and len({x["doc_id"] for x in rows}) == df.count()
+    two = spark.createDataFrame([(1, "same words " * 400), (1, "same words " * 400), (2, None), (None, "x"), (3, "long one " * 5000)], "doc_id long, text string")
+    got = packing.pack(two, HF, window=128, shard_ids=1000).collect()
+    assert sum(x["length"] for x in got if x["doc_id"] == 1) == 2 * max(x["doc_tokens"] for x in got if x["doc_id"] == 1)
+    assert {x["doc_id"] for x in got} == {1, 2, 3, None}
 
 
 def test_merkle_shows_and_compares_whole_trees():
