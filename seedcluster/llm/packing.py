@@ -1,12 +1,12 @@
 """Lexical retrieval packing: a sharded BM25 index returns unused neighbours that fill each seed document's window.
 
 Document frequencies and the average length are taken over all documents in the pass that encodes them; they
-are one number for each id of the vocabulary, so their size is fixed. Index shards hold about `shard_docs` documents, and every
-seed asks all of them; its best ones over all shards are merged. One document in CHAIN opens a chain of windows. In a round each open seed
-asks for unused documents, one wanted by several goes to the seed it scores most for, and a seed takes what it got, best first, up to its window's
-end. The document that reaches the end is cut there; its rest opens the chain's next window as its seed. At most `shard_docs` last
-documents are arranged one seed after the other. Chains' unfilled last windows share windows.
-Null text counts as empty (its end id alone); repeated rows are packed each; an empty table gives no rows.
+are one number for each id of the vocabulary, so their size is fixed. Documents are placed by their heaviest ids: sorted by them and dealt to
+ranges, so that texts with the same key words come to lie in one index shard, a run of at most `shard_docs` documents and `shard_ids` ids. Within a shard every
+document is indexed and a query is all ids of its seed. A window takes its seed's best unused neighbours until it is full; the document that reaches the end is
+cut there, and its rest opens the next window as its seed. Windows run on from shard to shard, so only the last one of a range has padding.
+Neighbours in other shards are not seen; the cost is linear in the corpus for that.
+Null text counts as empty (its end id alone); repeated rows are packed each, next to each other; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -15,47 +15,19 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 from .common import ready, written
 from .tokens import code_points, encoder
 
 K1, B = 1.2, 0.75
-#: One document in so many opens a chain. Neighbours a seed asks for at first.
-CHAIN, ASK = 16, 16
+#: Ids that make a document's place; ids of a shard's vocabulary whose postings are a dense matrix; ids a range holds; ranges at most.
+KEYS, DENSE, RANGE_IDS, RANGES = 4, 2048, 4_000_000, 100_000
 FIELDS = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-class Postings:
-    """Weights of (document, id) pairs, by id; only ids in `asked`."""
-
-    def __init__(self, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, asked: np.ndarray, n: int):
-        use = np.flatnonzero(asked[term])
-        use = use[np.argsort(term[use], kind="stable")]
-        self.doc, self.weight = doc[use], weight[use]
-        self.at = np.searchsorted(term[use], np.arange(len(asked) + 1))
-        self.n = n
-
-    def best(self, query: np.ndarray, unused: np.ndarray, n: int, turn: int = 0) -> tuple[np.ndarray, np.ndarray]:
-        """The n best unused documents with a score above 0, best first, and their scores; ties by position from `turn` on."""
-        spans = [(self.at[t], self.at[t + 1]) for t in query]
-        if not spans:
-            return np.zeros(0, np.int64), np.zeros(0)
-        doc = np.concatenate([self.doc[a:b] for a, b in spans])
-        score = np.bincount(doc, np.concatenate([self.weight[a:b] for a, b in spans]), self.n)
-        score[~unused] = 0
-        if len(score) > 4 * n:
-            top = np.flatnonzero(score >= max(np.partition(score, -n)[-n], 1e-12))
-        else:
-            top = np.flatnonzero(score > 0)
-        top = top[np.lexsort(((top - turn) % self.n, -score[top]))][:n]
-        return top, score[top]
-
-
 def counted(docs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(document, id, times) of each id in each document, by document."""
     flat = np.concatenate(docs).astype(np.uint64) if len(docs) else np.zeros(0, np.uint64)
@@ -68,23 +40,59 @@ def bm25(doc: np.ndarray, term: np.ndarray, tf: np.ndarray, size: np.ndarray, df
     return idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * size[doc] / max(mean_all, 1e-9)))
 
 
+def places(doc: np.ndarray, term: np.ndarray, tf: np.ndarray, n: int) -> np.ndarray:
+    """A number for each document that its heaviest ids make, the heaviest first: times by the logarithm of the id, since ids were learnt by falling frequency."""
+    weight = tf * np.log(term + 2.0)
+    order = np.lexsort((term, -weight, doc))
+    rank = np.arange(len(doc)) - np.searchsorted(doc, doc)
+    key = np.zeros(n, np.uint64)
+    for k in range(KEYS):
+        at = order[rank == k]
+        key[doc[at]] |= term[at].astype(np.uint64) << np.uint64(16 * (KEYS - 1 - k))
+    return (key ^ np.uint64(1 << 63)).astype(np.int64)
+
+
 class Index:
-    """BM25 over documents at hand. A query is all ids of the seed, each once."""
+    """BM25 over a shard's documents; a query is all ids of its seed, each once. Postings of the commonest ids are multiplied as one matrix, the others are lists."""
 
     def __init__(self, docs: list[np.ndarray], df: np.ndarray, n_all: int, mean_all: float):
+        self.n = len(docs)
         doc, term, tf = counted(docs)
         weight = bm25(doc, term, tf, np.array([len(d) for d in docs]), df, n_all, mean_all)
-        self.queries = np.split(term, np.searchsorted(doc, np.arange(1, len(docs))))
-        self.postings = Postings(doc, term, weight, np.ones(len(df), bool), len(docs))
+        local = np.bincount(term, minlength=len(df))
+        common = np.argsort(-local, kind="stable")[:DENSE]
+        column = np.full(len(df), -1)
+        column[common] = np.arange(len(common))
+        dense = column[term] >= 0
+        w = np.zeros((self.n, len(common)), np.float32)
+        w[doc[dense], column[term[dense]]] = weight[dense]
+        self.close = (w > 0).astype(np.float32) @ w.T
+        rest = np.flatnonzero(~dense & (local[term] > 1))
+        self.queries = np.split(term[rest], np.searchsorted(doc[rest], np.arange(1, self.n)))
+        by_term = rest[np.argsort(term[rest], kind="stable")]
+        self.doc, self.weight = doc[by_term], weight[by_term]
+        self.at = np.searchsorted(term[by_term], np.arange(len(df) + 1))
+
+    def scores(self, seed: int) -> np.ndarray:
+        out = self.close[seed].astype(float)
+        spans = [(self.at[t], self.at[t + 1]) for t in self.queries[seed].tolist()]
+        if spans:
+            out += np.bincount(np.concatenate([self.doc[a:b] for a, b in spans]), np.concatenate([self.weight[a:b] for a, b in spans]), self.n)
+        return out
 
     def neighbours(self, seed: int, unused: np.ndarray, n: int) -> np.ndarray:
         """The n best unused documents with a score above 0, best first, ties by position."""
-        return self.postings.best(self.queries[seed], unused, n)[0]
+        score = np.where(unused, self.scores(seed), 0)
+        if len(score) > 4 * n:
+            top = np.flatnonzero(score >= max(np.partition(score, -n)[-n], 1e-6))
+        else:
+            top = np.flatnonzero(score > 1e-6)
+        return top[np.lexsort((top, -score[top]))][:n]
 
 
-def arrange(docs: list[np.ndarray], index: Index, window: int) -> list[int]:
-    """The order in which a shard's documents are laid end to end and cut into windows."""
-    unused, order, fill, seed, following = np.ones(len(docs), bool), [], 0, -1, 0
+def arrange(docs: list[np.ndarray], index: Index, window: int, fill: int = 0) -> list[int]:
+    """The order in which a shard's documents are laid end to end and cut into windows; the first window has `fill` ids already."""
+    unused, order, seed, following = np.ones(len(docs), bool), [], -1, 0
 
     def put(d: int) -> None:
         nonlocal fill
@@ -93,80 +101,31 @@ def arrange(docs: list[np.ndarray], index: Index, window: int) -> list[int]:
         fill += len(docs[d])
 
     while len(order) < len(docs):
-        if fill == 0 or seed < 0:
+        if seed < 0:
             while not unused[following]:
                 following += 1
             seed = following
             put(seed)
         while fill < window:
             got = index.neighbours(seed, unused, 8)
-            for d in got:
-                put(int(d))
+            for d in got.tolist():
+                put(d)
                 if fill >= window:
                     break
             if not len(got):
                 break
-        if fill < window and len(order) < len(docs):  # no neighbour is left: the next document seeds the rest of the window
-            seed = -1
-            continue
-        seed, fill = order[-1] if fill % window else -1, fill % window
+        # No neighbour left: the next document seeds the rest of the window.
+        seed = order[-1] if fill >= window and fill % window else -1
+        fill %= window
     return order
 
 
-def chained(index: DataFrame, left: int, shards: int, window: int, rest: int, best) -> tuple[DataFrame | None, int]:
-    """(rid, chain, pos) of the documents that rounds of retrieval place, until at most `rest` are left; and how many are left.
-
-    `index` has rid, n, shard, terms, times; a query is all terms of its seed; best(ask) is the kernel over a shard's documents and all seeds.
-    """
-    every = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(shards - 1).cast("long"))).alias("shard")
-    none = F.lit(None).cast("binary")
-    taken, seeds, share, ask = None, None, CHAIN, ASK
-    while left > rest:
-        if seeds is None:  # the next documents open chains
-            opened = index if taken is None else index.join(taken.select("rid"), "rid", "left_anti")
-            opened = written(opened.where(F.pmod(F.xxhash64("rid", F.lit(share)), F.lit(share)) == 0).select("rid", "n", F.col("terms").alias("query")), "seeds")
-            seeds = opened.select(F.col("rid").alias("chain"), "query", (F.lit(window) - F.col("n") % window).alias("need"), F.lit(1).cast("long").alias("pos"))
-            new = opened.select("rid", F.col("rid").alias("chain"), F.lit(0).cast("long").alias("pos"))
-            taken = new if taken is None else taken.unionByName(new)
-            left -= opened.count()
-            if left <= rest:
-                break
-        used = taken.select("rid", F.lit(0).cast("long").alias("n"), F.pmod(F.xxhash64("rid"), F.lit(shards)).alias("shard"), none.alias("terms"), none.alias("times"))
-        there = index.select("rid", "n", "shard", "terms", "times").unionByName(used)
-        asked = seeds.select("chain", "query", every)
-        found = there.groupBy("shard").cogroup(asked.groupBy("shard")).applyInArrow(best(ask), "chain long, rid long, n long, score double")
-        first = W.partitionBy("chain").orderBy(F.desc("score"), F.xxhash64("rid", "chain"), "rid")
-        wanted = found.withColumn("k", F.row_number().over(first)).where(F.col("k") <= ask)
-        owner = W.partitionBy("rid").orderBy(F.desc("score"), F.xxhash64("chain", "rid"), "chain")
-        won = wanted.withColumn("o", F.row_number().over(owner)).where("o = 1").join(seeds.select("chain", "need", F.col("pos").alias("at")), "chain")
-        laid = won.withColumn("k", F.row_number().over(first)).withColumn("before", F.sum("n").over(first.rowsBetween(W.unboundedPreceding, -1)))
-        new = written(laid.where(F.coalesce("before", F.lit(0)) < F.col("need")).select("rid", "chain", (F.col("at") + F.col("k") - 1).alias("pos"), "n"), "taken")
-        got = new.count()
-        left -= got
-        taken = taken.unionByName(new.select("rid", "chain", "pos"))
-        if got * 32 < left:  # seeds find few unused neighbours, or the same ones: ask for more, then let others open chains
-            if ask < 8 * ASK:
-                ask *= 2
-            else:
-                seeds, share, ask = None, max(1, share // 2), ASK
-                continue
-        last = new.groupBy("chain").agg(F.sum("n").alias("more"), F.count(F.lit(1)).alias("k"), F.max_by("rid", "pos").alias("rid"))
-        last = last.join(index.select("rid", F.col("terms").alias("next")), "rid")
-        full = F.col("more") >= F.col("need")
-        seeds = seeds.join(last, "chain", "left").select(
-            "chain",
-            F.when(full, F.col("next")).otherwise(F.col("query")).alias("query"),
-            F.when(full, F.lit(window) - (F.col("more") - F.col("need")) % window).otherwise(F.col("need") - F.coalesce("more", F.lit(0))).alias("need"),
-            (F.col("pos") + F.coalesce("k", F.lit(0))).alias("pos"),
-        )
-        seeds = written(seeds, "seeds")
-    return taken, left
-
-
-def pack(docs: DataFrame, path: str, window: int = 2048, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", shard_docs: int = 8000) -> DataFrame:
+def pack(docs: DataFrame, path: str, window: int = 2048, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", shard_docs: int = 4000, shard_ids: int = 4_000_000) -> DataFrame:
     """A row for each piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
     ready(docs.sparkSession)
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
+    names = ["rid", "doc_id", "place", "ids", "df", "n_docs", "n_ids"]
+    types = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.int64(), pa.int64()]
 
     def encoded(batches):
         e = encoder("tokenizers", path)
@@ -177,14 +136,16 @@ def pack(docs: DataFrame, path: str, window: int = 2048, end_id: int = 1, doc_id
                 part = batch.slice(i, 500)
                 ids, n = e.encode(*code_points(part.column(1)))
                 ids, n = np.insert(ids, np.cumsum(n), end_id), n + 1
-                seen = np.unique(np.repeat(np.arange(len(n), dtype=np.uint32), n) << np.uint32(16) | ids)
-                df += np.bincount(seen & np.uint32(0xFFFF), minlength=1 << 16)
+                at = np.concatenate([[0], np.cumsum(n)])
+                doc, term, tf = counted([ids[a:b] for a, b in zip(at, at[1:], strict=False)])
+                df += np.bincount(term, minlength=1 << 16)
                 rid = pa.array(own + n_docs + np.arange(len(n)))
                 n_docs, n_ids = n_docs + len(n), n_ids + len(ids)
-                at = np.concatenate([[0], np.cumsum(n)])
-                yield pa.RecordBatch.from_arrays([rid, part.column(0), pa.array([ids[a:b].tobytes() for a, b in zip(at, at[1:], strict=False)], pa.binary()), pa.array([None] * len(n), pa.binary()), pa.array([0] * len(n), pa.int64()), pa.array([0] * len(n), pa.int64())], names)
+                place = places(doc, term, tf, len(n))
+                rows = [rid, part.column(0), pa.array(place), pa.array([ids[a:b].tobytes() for a, b in zip(at, at[1:], strict=False)], pa.binary())]
+                yield pa.RecordBatch.from_arrays([*rows, *(pa.nulls(len(n), t) for t in types[4:])], names)
         if n_docs:
-            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([None], pa.binary()), pa.array([df.astype("<i8").tobytes()]), pa.array([n_docs], pa.int64()), pa.array([n_ids], pa.int64())], names)
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, t) for t in types[:4]), pa.array([df.astype("<i8").tobytes()]), pa.array([n_docs]), pa.array([n_ids])], names)
 
     def summed(batches):
         df, n_docs, n_ids = np.zeros(1 << 16, np.int64), 0, 0
@@ -195,89 +156,38 @@ def pack(docs: DataFrame, path: str, window: int = 2048, end_id: int = 1, doc_id
         if n_docs:
             yield pa.RecordBatch.from_arrays([pa.array([df.astype("<i8").tobytes()]), pa.array([n_docs]), pa.array([n_ids])], ["df", "n_docs", "n_ids"])
 
-    names = ["rid", "doc_id", "ids", "df", "n_docs", "n_ids"]
-    table = written(docs.mapInArrow(encoded, "rid long, doc_id long, ids binary, df binary, n_docs long, n_ids long"), "packing")
+    table = written(docs.mapInArrow(encoded, "rid long, doc_id long, place long, ids binary, df binary, n_docs long, n_ids long"), "packing")
     parts = table.where("df IS NOT NULL").select("df", "n_docs", "n_ids").coalesce(8).mapInArrow(summed, "df binary, n_docs long, n_ids long").collect()
-    df, n_all = sum((np.frombuffer(x["df"], "<i8") for x in parts), np.zeros(1 << 16, np.int64)), sum(x["n_docs"] for x in parts)
-    mean = sum(x["n_ids"] for x in parts) / max(n_all, 1)
-    shards = max(1, -(-n_all // shard_docs))
-
-    def weighed(batches):
-        for batch in batches:
-            for i in range(0, batch.num_rows, 500):
-                part = batch.slice(i, 500)
-                ids = [np.frombuffer(x, np.uint16) for x in part.column(1).to_pylist()]
-                size = np.array([len(x) for x in ids])
-                doc, term, tf = counted(ids)
-                at = np.searchsorted(doc, np.arange(len(ids) + 1)).tolist()
-                term, tf = term.astype("<u2"), tf.astype("<u4")
-                cols = [[term[a:b].tobytes() for a, b in zip(at, at[1:], strict=False)], [tf[a:b].tobytes() for a, b in zip(at, at[1:], strict=False)]]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size), part.column(2), *(pa.array(c, pa.binary()) for c in cols)], ["rid", "n", "shard", "terms", "times"])
-
-    def best(ask: int):
-        def kernel(there: pa.Table, asked: pa.Table) -> pa.Table:
-            is_doc = pc.is_valid(there.column("terms"))
-            used = there.filter(pc.invert(is_doc)).column("rid").to_numpy()
-            there = there.filter(is_doc)
-            there = there.filter(pa.array(~np.isin(there.column("rid").to_numpy(), used))).sort_by("rid")
-            rid, size, term = there.column("rid").to_numpy(), there.column("n").to_numpy(), there.column("terms").to_pylist()
-            doc = np.repeat(np.arange(len(rid)), [len(x) // 2 for x in term])
-            term, tf = np.frombuffer(b"".join(term), "<u2").astype(np.int64), np.frombuffer(b"".join(there.column("times").to_pylist()), "<u4").astype(np.int64)
-            queries = [np.frombuffer(x, "<u2") for x in asked.column("query").to_pylist()]
-            wanted = np.zeros(len(df), bool)
-            for q in queries:
-                wanted[q] = True
-            postings, unused = Postings(doc, term, bm25(doc, term, tf, size, df, n_all, mean), wanted, len(rid)), np.ones(len(rid), bool)
-            chain = asked.column("chain").to_numpy()
-            got = [postings.best(q, unused, ask, c * 7919 % len(rid)) for c, q in zip(chain.tolist(), queries, strict=True)] if len(rid) else []
-            top = np.concatenate([x for x, _ in got]) if got else np.zeros(0, np.int64)
-            of = np.repeat(chain[: len(got)], [len(x) for x, _ in got])
-            return pa.table([of, rid[top], size[top], np.concatenate([x for _, x in got]) if got else np.zeros(0)], ["chain", "rid", "n", "score"])
-
-        return kernel
+    df, n_all, n_ids = sum((np.frombuffer(x["df"], "<i8") for x in parts), np.zeros(1 << 16, np.int64)), sum(x["n_docs"] for x in parts), sum(x["n_ids"] for x in parts)
+    mean = n_ids / max(n_all, 1)
 
-    def packed(group: pa.Table) -> pa.Table:
-        shard = group.column("group")[0].as_py()
-        group = group.sort_by([("chain", "ascending"), ("pos", "ascending"), ("doc_id", "ascending"), ("rid", "ascending")])
-        ids = [np.frombuffer(x, np.uint16) for x in group.column("ids").to_pylist()]
-        rows, doc, chain = [], group.column("doc_id").to_pylist(), group.column("chain").to_pylist()
+    def packed(batches):
+        own, at = TaskContext.get().partitionId() << 32, 0
+        doc, ids, held = [], [], 0
 
-        def piece(d: int, start: int, length: int, at: int) -> None:
-            rows.append((doc[d], start, length, zlib.crc32(ids[d][start : start + length].astype("<u4").tobytes()), len(ids[d]), shard << 32 | at // window, at % window))
-
-        if chain[0] is None:
-            runs = [arrange(ids, Index(ids, df, n_all, mean), window)]
-        else:
-            edges = [0, *(i for i in range(1, len(ids)) if chain[i] != chain[i - 1]), len(ids)]
-            runs = [range(a, b) for a, b in zip(edges, edges[1:], strict=False)]
-        begin, tails = 0, []
-        for run in runs:
-            whole, at = sum(len(ids[d]) for d in run) // window * window, 0
-            for d in run:
+        def laid() -> pa.RecordBatch:
+            nonlocal at
+            rows = []
+            for d in arrange(ids, Index(ids, df, n_all, mean), window, at % window):
                 start = 0
                 while start < len(ids[d]):
                     length = min(len(ids[d]) - start, window - at % window)
-                    if at < whole:
-                        piece(d, start, length, begin + at)
-                    else:
-                        tails.append((d, start, length))
+                    rows.append((doc[d], start, length, zlib.crc32(ids[d][start : start + length].astype("<u4").tobytes()), len(ids[d]), own | at // window, at % window))
                     start, at = start + length, at + length
-            begin += whole
-        for d, start, total in tails:
-            end = start + total
-            while start < end:
-                length = min(end - start, window - begin % window)
-                piece(d, start, length, begin)
-                start, begin = start + length, begin + length
-        cols = list(zip(*rows, strict=True))
-        return pa.table([pa.array(c, pa.int64()) for c in cols], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
+            return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"])
 
-    texts = table.where("ids IS NOT NULL").select("rid", "doc_id", "ids")
-    if n_all <= shard_docs:
-        return texts.select("*", F.lit(None).cast("long").alias("chain"), F.lit(0).cast("long").alias("pos"), F.lit(0).cast("long").alias("group")).groupBy("group").applyInArrow(packed, FIELDS)
-    shard = F.pmod(F.xxhash64("rid"), F.lit(shards)).alias("shard")
-    index = written(texts.select("rid", "ids", shard).mapInArrow(weighed, "rid long, n long, shard long, terms binary, times binary"), "index")
-    taken, _ = chained(index, n_all, shards, window, shard_docs, best)
-    groups = max(1, -(-n_all // 1000))
-    dealt = texts.join(taken, "rid", "left").withColumn("group", F.coalesce(F.pmod(F.xxhash64("chain"), F.lit(groups)), F.lit(groups).cast("long")))
-    return dealt.groupBy("group").applyInArrow(packed, FIELDS)
+        for batch in batches:
+            for i, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if ids and (len(ids) == shard_docs or held + len(x) // 2 > shard_ids):
+                    yield laid()
+                    doc, ids, held = [], [], 0
+                doc.append(i)
+                ids.append(np.frombuffer(x, np.uint16))
+                held += len(ids[-1])
+        if ids:
+            yield laid()
+
+    ranges = max(1, min(RANGES, -(-n_ids // min(RANGE_IDS, shard_ids))))
+    texts = table.where("ids IS NOT NULL").select("rid", "doc_id", "place", "ids")
+    sorted_ = texts.repartitionByRange(ranges, "place", "doc_id", "rid").sortWithinPartitions("place", "doc_id", "rid")
+    return sorted_.select("doc_id", "ids").mapInArrow(packed, FIELDS)
