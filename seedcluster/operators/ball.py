@@ -33,14 +33,14 @@ def ball_schedule(ball: DataFrame, layers: tuple[int, ...]) -> DataFrame:
     return ball.join(F.broadcast(plan), ball.depth <= plan.layers).select("seed", "ball_no", "node", "depth")
 
 
-def pad_last_ball(graph: MotifGraph, ball: DataFrame, layers: tuple[int, ...], min_nodes: int = 100, most: int = 20) -> DataFrame:
-    """(seed, node, depth, layers): the last ball of each seed, with further layers while it has fewer than min_nodes nodes and still grows."""
+def pad_last_ball(graph: MotifGraph, ball: DataFrame, layers: tuple[int, ...], min_nodes: int = 100) -> DataFrame:
+    """(seed, node, depth, layers): the last ball of each seed, with further layers while it has fewer than min_nodes nodes and still grows. Each layer adds a node, so there are fewer than min_nodes of them."""
     last = layers[-1]
     whole = ball.where(F.col("depth") <= last)
     size = ball.groupBy("seed").agg(F.max("depth").alias("top"), F.count(F.lit(1)).alias("n"))
     short = size.where(F.col("n") < min_nodes).select("seed")
     grown, depth = ball.join(short, "seed", "left_semi"), max(layers)
-    while depth < most:
+    while True:
         depth += 1
         layer = written(_step(graph.adj, grown, depth), "layer")
         if not layer.limit(1).count():

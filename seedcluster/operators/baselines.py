@@ -14,11 +14,11 @@ def weighted_degree(w: DataFrame) -> DataFrame:
     return w.select(F.explode(F.array("u", "v")).alias("node"), "weight").groupBy("node").agg(F.sum("weight").alias("dw"))
 
 
-def appr(w: DataFrame, seeds: DataFrame, walk_continue: float = 0.98, tol: float = 1e-4, max_rounds: int = 500, cut_every: int = 8) -> DataFrame:
+def appr(w: DataFrame, seeds: DataFrame, walk_continue: float = 0.98, tol: float = 1e-4, max_rounds: int = 500, cut_every: int = 8, converge: bool = False) -> DataFrame:
     """(seed, node, p, r): approximate personalised PageRank over weights (u, v, weight), all seeds at once.
 
     In a round, every node whose residual is at least tol times its weighted degree keeps 1 - walk_continue of it as score and
-    spreads the rest over its edges by weight. Rounds end when no node is active. State is written every few rounds.
+    spreads the rest over its edges by weight. Rounds end when no node is active, or after max_rounds, which raises with `converge`. State is written every few rounds.
     """
     dw = weighted_degree(w)
     near = w.select(F.col("u").alias("node"), F.col("v").alias("nbr"), "weight").unionByName(w.select(F.col("v").alias("node"), F.col("u").alias("nbr"), "weight"))
@@ -32,10 +32,12 @@ def appr(w: DataFrame, seeds: DataFrame, walk_continue: float = 0.98, tol: float
         p = F.when(stays, F.when(active, F.col("p") + (1 - walk_continue) * F.col("r")).otherwise(F.col("p"))).otherwise(0.0)
         r = F.when(stays, F.when(active, 0.0).otherwise(F.col("r"))).otherwise(F.col("r") * F.col("share") * walk_continue)
         state = step.select("seed", F.col("nbr").alias("node"), F.col("nbr_dw").alias("dw"), p.alias("p"), r.alias("r")).groupBy("seed", "node", "dw").agg(F.sum("p").alias("p"), F.sum("r").alias("r"))
-        if i % cut_every == 0 and i < max_rounds:
+        if i % cut_every == 0 and (i < max_rounds or converge):
             state = written(state, "appr")
             if not state.where(active).limit(1).count():
                 break
+            if i >= max_rounds:
+                raise RuntimeError(f"walks are still active after {i} rounds")
     return state.select("seed", "node", "p", "r")
 
 
@@ -76,7 +78,7 @@ def exhaustive_best(nets: DataFrame, balls: DataFrame, total: DataFrame, most: i
     """
     free = balls.where("depth > 0").withColumn("bit", F.row_number().over(Window.partitionBy("seed", "ball_no").orderBy("node")) - 1)
     count = balls.groupBy("seed", "ball_no").agg((F.count(F.lit(1)) - 1).alias("f")).where(F.col("f") <= most)
-    pins = nets.withColumn("net", F.array_join("pins", ",")).select("seed", "ball_no", "net", "weight", F.explode("pins").alias("node"))
+    pins = nets.withColumn("net", F.col("pins")).select("seed", "ball_no", "net", "weight", F.explode("pins").alias("node"))
     masks = pins.join(free.select("seed", "ball_no", "node", "bit"), ["seed", "ball_no", "node"], "left").join(count, ["seed", "ball_no"]).groupBy("seed", "ball_no", "net", "weight").agg(
         F.coalesce(F.sum(F.when(F.col("bit").isNotNull(), F.expr("shiftleft(1L, bit)"))), F.lit(0)).alias("mask"), F.max((F.col("node") == F.col("seed")).cast("int")).alias("s"), F.max((F.col("node") == OUT).cast("int")).alias("t"))
     masks = masks.groupBy("seed", "ball_no", "mask", "s", "t").agg(F.sum("weight").alias("weight"))

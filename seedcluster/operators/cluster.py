@@ -2,17 +2,18 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.motif import phi
+from ..functions.motif import phi, ratio
 from ..sources.shared import written
 from .ball import ball_schedule, closed_balls, grow_ball, pad_last_ball
 from .models import choose_model, graph_model, hyper_model, placed_occurrences
 from .motifs import SPECS, ball_occurrences, occurrences
-from .partition import partition_models
+from .partition import FAR, as_nets, partition_models
 from .prepare import MotifGraph
 
 
@@ -27,7 +28,7 @@ class Result:
 
 def motif_total(graph: MotifGraph, motif: str = "triangle") -> DataFrame:
     """One row: the sum of motif degrees over the graph."""
-    return occurrences(graph.edges, SPECS[motif]).agg(F.coalesce(F.sum(F.size("nodes") * F.col("ways")), F.lit(0)).alias("total"))
+    return graph.edges.sparkSession.createDataFrame([(graph.motif_volume(motif),)], "total bigint")
 
 
 def best_trial(trials: DataFrame) -> DataFrame:
@@ -37,6 +38,7 @@ def best_trial(trials: DataFrame) -> DataFrame:
 
 
 def to_cluster(best: DataFrame) -> DataFrame:
+    """(seed, node): the seed's block of a model split, read as nodes of the graph."""
     return best.select("seed", F.explode("members").alias("node")).where("node >= 0")
 
 
@@ -44,57 +46,69 @@ def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "tria
     """Ball-cut for many seeds in one job.
 
     All balls of a seed are prefixes of one search and share one enumeration. A closed ball ends the search for its seed:
-    it is returned whole, with phi 0 if it holds a motif. scores: seed, ball_no, trial, cut, vol, phi, size, status, where status is cut, closed, whole_graph or no_motif.
+    it is returned whole, with phi 0 if it holds a motif. Only edges near the balls are read. denominator: "assumed" takes the seed's block
+    for the side of smaller volume; "exact" compares with the graph's motif volume, a number kept with the graph that is computed on first use.
+    scores: seed, ball_no, trial, cut, vol, phi, size, status, exact, budget_hit, where status is cut, closed, whole_graph or no_motif,
+    `exact` tells whether cut and vol are those of the motif (a graph model of a motif of four or more nodes has none such), and budget_hit
+    whether the time limit, which holds from the call on, ended the seed's trials early.
     """
-    spec = SPECS[motif]
+    spec, began = SPECS[motif], time.time()
     model = model or choose_model(spec)
     if model == "graph" and spec.k > 3 and not allow_inexact:
         raise ValueError("the graph model is exact for motifs of at most three nodes")
-    deep = max(layers)
+    if list(layers) != sorted(set(layers)):
+        raise ValueError("layers must ascend")
+    deep, last = max(layers), len(layers) - 1
     ball = grow_ball(graph, seeds, deep)
     padded = written(pad_last_ball(graph, ball, layers, min_nodes), "padded")
-    last = len(layers) - 1
-    balls = ball_schedule(ball, layers).where(F.col("ball_no") < last).unionByName(padded.select("seed", F.lit(last).cast("int").alias("ball_no"), "node", "depth"))
-    balls = written(balls, "balls")
-    shut = closed_balls(graph, padded.select("seed", "node")).where("closed").select("seed", "size")
+    shut = written(closed_balls(graph, padded.select("seed", "node")).where("closed").select("seed", "size"), "shut")
+    n_all = graph.node_count if shut.limit(1).count() else 0
     whole = ball.unionByName(padded.select("seed", "node", "depth")).groupBy("seed", "node").agg(F.min("depth").alias("depth"))
     occ = written(ball_occurrences(graph, whole, spec), "occ")
-    open_balls = balls.join(shut.select("seed"), "seed", "left_anti")
-    placed = placed_occurrences(occ, open_balls)
+    inner = ball_schedule(ball, layers).where(F.col("ball_no") < last)
+    balls = inner.unionByName(padded.select("seed", F.lit(last).cast("int").alias("ball_no"), "node", "depth")).join(shut.select("seed"), "seed", "left_anti")
+    balls = written(balls, "balls")
+    placed = placed_occurrences(occ, balls)
     built = written(graph_model(placed) if model == "graph" else hyper_model(placed), "model")
     factor = spec.k - 1 if model == "graph" else 1
-    total = written(motif_total(graph, motif), "total")
-    trials = partition_models(built, total.select((F.col("total") * factor).alias("total")), model, n_trials, search_rounds, fixed, effort, salt, denominator, time_budget_s)
-    if model == "hyper" and fixed is False:
-        trials = trials.where("vol >= 0")
-    sized = trials.crossJoin(total).withColumn("total", F.col("total") * factor)
-    value = phi(F.col("cut"), F.col("vol"), F.col("total")) if denominator == "exact" else F.when(F.col("vol") > 0, F.col("cut").cast("double") / F.col("vol"))
-    trials = written(sized.select("seed", "ball_no", "trial", "eps", "cut", "vol", value.alias("phi"), "members", "seconds"), "trials")
+    total = graph.motif_volume(motif) * factor if denominator == "exact" else FAR
+    nodes = balls.select("seed", "ball_no", "node", F.lit(1).alias("size"), F.lit(0).alias("extra"))
+    groups = balls.select("seed", "ball_no").distinct().count()
+    left = time_budget_s - (time.time() - began)
+    trials = partition_models(built, total, model, n_trials, search_rounds, fixed, effort, salt, left, nodes, groups)
+    value = phi(F.col("cut"), F.col("vol"), F.lit(total)) if denominator == "exact" else ratio(F.col("cut"), F.col("vol"))
+    trials = written(trials.withColumn("phi", value), "trials")
     best = best_trial(trials)
-    n_all = graph.degree.agg(F.count(F.lit(1)).alias("n_all"))
     has = occ.groupBy("seed").agg(F.sum("ways").alias("m"), F.sum(F.size("nodes") * F.col("ways")).alias("v"))
-    closed = shut.join(has, "seed", "left").crossJoin(n_all).join(padded.groupBy("seed").agg(F.array_sort(F.collect_list("node")).alias("members")), "seed").select(
-        "seed", F.lit(last).cast("int").alias("ball_no"), F.lit(-1).alias("trial"), F.lit(0).cast("bigint").alias("cut"), F.coalesce("v", F.lit(0)).cast("bigint").alias("vol"), F.when(F.col("m") > 0, 0.0).alias("phi"), "members",
-        F.when(F.col("m").isNull(), "no_motif").when(F.col("size") >= F.col("n_all"), "whole_graph").otherwise("closed").alias("status"))
-    cut = best.select("seed", "ball_no", "trial", "cut", "vol", "phi", "members", F.when(F.col("phi").isNull(), "no_motif").otherwise("cut").alias("status"))
+    none, zero, no = F.lit(None), F.lit(0).cast("bigint"), F.lit(False)
+    exact = F.lit(model == "hyper" or spec.k <= 3)
+    div = lambda c: F.floor(F.col(c) / factor)
+    cut = best.select("seed", "ball_no", "trial", div("cut").alias("cut"), div("vol").alias("vol"), "phi", F.size("members").cast("bigint").alias("size"), F.when(F.col("phi").isNull(), "no_motif").otherwise("cut").alias("status"), exact.alias("exact"), "budget_hit")
+    state = F.when(F.col("m").isNull(), "closed_no_motif").when(F.col("size") >= n_all, "whole_graph").otherwise("closed")
+    closed = shut.join(has, "seed", "left").select("seed", F.lit(last).cast("int").alias("ball_no"), none.cast("int").alias("trial"), zero.alias("cut"), F.coalesce("v", zero).alias("vol"), F.when(F.col("m") > 0, 0.0).alias("phi"), F.col("size").cast("bigint").alias("size"), state.alias("status"), F.lit(True).alias("exact"), no.alias("budget_hit"))
     found = cut.unionByName(closed)
-    lone = seeds.select("seed").join(found.select("seed"), "seed", "left_anti").select("seed", F.lit(None).cast("int").alias("ball_no"), F.lit(None).cast("int").alias("trial"), F.lit(0).cast("bigint").alias("cut"), F.lit(0).cast("bigint").alias("vol"), F.lit(None).cast("double").alias("phi"), F.array("seed").alias("members"), F.lit("no_motif").alias("status"))
-    found = written(found.unionByName(lone), "found")
-    scores = found.select("seed", "ball_no", "trial", F.floor(F.col("cut") / F.when(F.col("status") == "cut", factor).otherwise(1)).alias("cut"), F.floor(F.col("vol") / F.when(F.col("status") == "cut", factor).otherwise(1)).alias("vol"), "phi", F.size("members").cast("bigint").alias("size"), "status")
-    return Result(scores, to_cluster(found), trials)
+    lone = seeds.select("seed").join(found.select("seed"), "seed", "left_anti")
+    rest = lone.select("seed", none.cast("int").alias("ball_no"), none.cast("int").alias("trial"), zero.alias("cut"), zero.alias("vol"), none.cast("double").alias("phi"), F.lit(1).cast("bigint").alias("size"), F.lit("no_motif").alias("status"), F.lit(True).alias("exact"), no.alias("budget_hit"))
+    clusters = to_cluster(best).unionByName(padded.join(shut.select("seed"), "seed", "left_semi").select("seed", "node")).unionByName(lone.select("seed", F.col("seed").alias("node")))
+    return Result(found.unionByName(rest), clusters, trials)
 
 
-def pagerank_sweep(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle", walk_continue: float = 0.98, tol: float = 1e-4, pick: str = "global", max_rounds: int = 400) -> Result:
-    """The baseline: motif weights of the whole graph, approximate personalised PageRank, and a sweep. The graph's weights are made once for all seeds."""
+def pagerank_sweep(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle", walk_continue: float = 0.98, tol: float = 1e-4, pick: str = "global", max_rounds: int = 2000) -> Result:
+    """The baseline: motif weights of the whole graph, approximate personalised PageRank, and a sweep. The graph's weights are made once for all seeds.
+
+    A seed in no motif gets a row without phi and itself as cluster. Raises if some walk has not converged after max_rounds.
+    """
     from .baselines import appr, best_prefix, sweep, sweep_clusters
     from .models import cooccurrence_graph
 
     w = written(cooccurrence_graph(occurrences(graph.edges, SPECS[motif])), "weights")
-    prefixes = written(sweep(w, written(appr(w, seeds, walk_continue, tol, max_rounds), "appr")), "prefixes")
+    prefixes = written(sweep(w, written(appr(w, seeds, walk_continue, tol, max_rounds, converge=True), "appr")), "prefixes")
     best = written(best_prefix(prefixes, pick), "best")
     factor = SPECS[motif].k - 1
-    scores = best.select("seed", F.floor(F.col("cut") / factor).alias("cut"), F.floor(F.col("vol") / factor).alias("vol"), "phi", "size")
-    return Result(scores, sweep_clusters(prefixes, best), prefixes)
+    scores = best.select("seed", F.floor(F.col("cut") / factor).alias("cut"), F.floor(F.col("vol") / factor).alias("vol"), "phi", "size", F.lit("cut").alias("status"))
+    lone, zero = seeds.select("seed").join(best.select("seed"), "seed", "left_anti"), F.lit(0).cast("bigint")
+    scores = scores.unionByName(lone.select("seed", zero.alias("cut"), zero.alias("vol"), F.lit(None).cast("double").alias("phi"), F.lit(1).cast("bigint").alias("size"), F.lit("no_motif").alias("status")))
+    return Result(scores, sweep_clusters(prefixes, best).unionByName(lone.select("seed", F.col("seed").alias("node"))), prefixes)
 
 
 def refine_best_move(edges: DataFrame, sides: DataFrame, total: DataFrame, rounds: int) -> DataFrame:

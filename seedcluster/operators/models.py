@@ -17,7 +17,7 @@ def placed_occurrences(occ: DataFrame, balls: DataFrame) -> DataFrame:
     Inner balls are prefixes of the deepest one, so min_depth picks their occurrences, and only layers' ends differ.
     """
     ends = balls.groupBy("seed", "ball_no").agg(F.max("depth").alias("deep"))
-    named = occ.join(ends, "seed").where("min_depth <= deep").withColumn("occ", F.array_join("nodes", ","))
+    named = occ.join(ends, "seed").where("min_depth <= deep").withColumn("occ", F.col("nodes"))
     pins = named.select("seed", "ball_no", "occ", "ways", F.explode("nodes").alias("node"))
     inside = pins.join(balls.select("seed", "ball_no", "node", F.lit(True).alias("in")), ["seed", "ball_no", "node"], "left")
     return inside.groupBy("seed", "ball_no", "occ", "ways").agg(F.array_sort(F.collect_list(F.when(F.col("in"), F.col("node")).otherwise(OUT))).alias("nodes")).drop("occ")
@@ -29,15 +29,16 @@ def hyper_model(placed: DataFrame) -> DataFrame:
     return nets.groupBy("seed", "ball_no", "pins").agg(F.sum("ways").alias("weight"))
 
 
-def model_census(placed: DataFrame) -> DataFrame:
-    """Occurrences by where they lie: all inside, or across the ball's border."""
+def model_census(placed: DataFrame, every: int) -> DataFrame:
+    """Occurrences by where they lie: all inside, across the ball's border, or all outside. every: how many the graph has."""
     out = F.array_contains("nodes", OUT)
-    return placed.groupBy("seed", "ball_no").agg(F.sum(F.when(~out, F.col("ways")).otherwise(0)).alias("inside"), F.sum(F.when(out, F.col("ways")).otherwise(0)).alias("across"))
+    two = placed.groupBy("seed", "ball_no").agg(F.sum(F.when(~out, F.col("ways")).otherwise(0)).alias("inside"), F.sum(F.when(out, F.col("ways")).otherwise(0)).alias("across"))
+    return two.withColumn("outside", F.lit(every) - F.col("inside") - F.col("across"))
 
 
 def contract(nets: DataFrame, part: DataFrame) -> DataFrame:
     """Nets (pins, weight) with all nodes of `part` as OUT; nets inside it vanish, equal nets merge."""
-    named = nets.withColumn("net", F.array_join("pins", ",")).select("net", "weight", F.explode("pins").alias("node"))
+    named = nets.withColumn("net", F.col("pins")).select("net", "weight", F.explode("pins").alias("node"))
     pins = named.join(part.select("node", F.lit(True).alias("in")), "node", "left").groupBy("net", "weight").agg(F.array_sort(F.collect_set(F.when(F.col("in"), F.lit(OUT)).otherwise(F.col("node")))).alias("pins"))
     return pins.where("size(pins) > 1 OR pins[0] <> -1").groupBy("pins").agg(F.sum("weight").alias("weight"))
 
@@ -57,9 +58,11 @@ def graph_model(placed: DataFrame) -> DataFrame:
     return cooccurrence_graph(placed, ("seed", "ball_no"))
 
 
-def model_nodes(balls: DataFrame) -> DataFrame:
-    """(seed, ball_no, node): the ball's nodes, motif or not, and OUT."""
-    return balls.select("seed", "ball_no", "node").unionByName(balls.select("seed", "ball_no").distinct().withColumn("node", F.lit(OUT).cast("bigint")))
+def model_nodes(balls: DataFrame, n: int | None = None) -> DataFrame:
+    """(seed, ball_no, node, weight): the ball's nodes, motif or not, and OUT. With n, the graph's number of nodes, OUT weighs as many as it stands for; without, 1, as the partitions take it."""
+    one = F.lit(1).cast("bigint")
+    out = balls.groupBy("seed", "ball_no").agg(F.count(F.lit(1)).alias("inner")).select("seed", "ball_no", F.lit(OUT).cast("bigint").alias("node"), one.alias("weight") if n is None else (F.lit(n) - F.col("inner")).alias("weight"))
+    return balls.select("seed", "ball_no", "node", one.alias("weight")).unionByName(out)
 
 
 def choose_model(spec: MotifSpec) -> str:
@@ -68,10 +71,13 @@ def choose_model(spec: MotifSpec) -> str:
 
 
 def model_sizes(nets: DataFrame, edges: DataFrame) -> DataFrame:
-    """(seed, ball_no, nets, pins, model_edges)."""
+    """(seed, ball_no, nets, pins, model_edges, net_bytes, edge_bytes).
+
+    Bytes are those of arrays of 64-bit numbers: a net has a weight, an offset and its pins, which nodes list once more; an edge has its weight and end at both ends.
+    """
     h = nets.groupBy("seed", "ball_no").agg(F.count(F.lit(1)).alias("nets"), F.sum(F.size("pins")).alias("pins"))
     g = edges.groupBy("seed", "ball_no").agg(F.count(F.lit(1)).alias("model_edges"))
-    return h.join(g, ["seed", "ball_no"])
+    return h.join(g, ["seed", "ball_no"]).select("*", (16 * F.col("nets") + 16 * F.col("pins")).alias("net_bytes"), (32 * F.col("model_edges")).alias("edge_bytes"))
 
 
 def net_degree(nets: DataFrame) -> DataFrame:

@@ -77,7 +77,7 @@ def near_edges(graph: MotifGraph, ball: DataFrame, halo: int = 1) -> DataFrame:
 
 def touching(occ: DataFrame, ball: DataFrame) -> DataFrame:
     """Occurrences (seed, nodes, ways) with a node in the seed's ball, and the least depth of one: min_depth."""
-    named = occ.withColumn("occ", F.array_join("nodes", ","))
+    named = occ.withColumn("occ", F.col("nodes"))
     depth = named.select("seed", "occ", F.explode("nodes").alias("node")).join(ball.select("seed", "node", "depth"), ["seed", "node"]).groupBy("seed", "occ").agg(F.min("depth").alias("min_depth"))
     return named.join(depth, ["seed", "occ"]).select("seed", "nodes", "ways", "min_depth")
 

@@ -20,7 +20,7 @@ def motif_conductance(occ: DataFrame, clusters: DataFrame) -> DataFrame:
 
     Members meet occurrences by an equi-join; an occurrence without members never leaves the join, so the complement is not read.
     """
-    named = occ.withColumn("occ", F.array_join("nodes", ",")).withColumn("k", F.size("nodes"))
+    named = occ.withColumn("occ", F.col("nodes")).withColumn("k", F.size("nodes"))
     total = occ.agg(F.coalesce(F.sum(F.size("nodes") * F.col("ways")), F.lit(0)).alias("total"))
     hit = named.select("occ", "k", "ways", F.explode("nodes").alias("node")).join(clusters.select("cluster", "node"), "node").groupBy("cluster", "occ", "k", "ways").agg(F.count(F.lit(1)).alias("inside"))
     sums = hit.groupBy("cluster").agg(F.sum(F.when(F.col("inside") < F.col("k"), F.col("ways")).otherwise(0)).alias("cut"), F.sum(F.col("inside") * F.col("ways")).alias("vol"))
@@ -44,7 +44,7 @@ def model_conductance(edges: DataFrame, sides: DataFrame, total: DataFrame | Non
 
 def hyper_conductance(nets: DataFrame, sides: DataFrame) -> DataFrame:
     """(seed, ball_no, trial, cut, vol, phi) in the hypergraph model: cut-net over the seed block's net-weighted degree."""
-    named = nets.withColumn("net", F.array_join("pins", ",")).withColumn("k", F.size("pins"))
+    named = nets.withColumn("net", F.col("pins")).withColumn("k", F.size("pins"))
     hit = named.select("seed", "ball_no", "net", "k", "weight", F.explode("pins").alias("node")).join(sides.select("seed", "ball_no", "trial", "node"), ["seed", "ball_no", "node"])
     per_net = hit.groupBy("seed", "ball_no", "trial", "net", "k", "weight").agg(F.count(F.lit(1)).alias("inside"))
     sums = per_net.groupBy("seed", "ball_no", "trial").agg(F.sum(F.when(F.col("inside") < F.col("k"), F.col("weight")).otherwise(0)).alias("cut"), F.sum(F.col("inside") * F.col("weight")).alias("vol"))

@@ -1,228 +1,346 @@
-"""Two-way multilevel partitions of models, one group of tasks for each seed and ball.
+"""Two-way multilevel partitions of models, one group of tasks for each seed and ball, all trials of a group at once.
 
 Coarsening merges nodes along heavy ratings, the coarsest model is split by greedy growths, and the split is improved by
-passes of single moves on the way back. The trials of a model differ in the allowed imbalance and the random order, each drawn from a hash of seed, ball
-and trial, so that a trial's result does not depend on how many others there are.
+passes of single moves on the way back. Trials are rows of matrices: GROUP trials share one chain of coarser models, and each step moves one node in
+every trial. Trials differ in the allowed imbalance, the growth's start and the random order, drawn so that a trial's result does not depend on
+how many others there are.
 """
 
 from __future__ import annotations
 
-import heapq
 import time
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, mix_int
 
 OUT = -1
+#: Trials that share a chain of coarser models. Larger than any volume.
+GROUP, FAR = 40, 1 << 62
+
+
+def runs(first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """first[i], first[i] + 1, ... count[i] numbers, for each i."""
+    ends = np.cumsum(count)
+    return np.arange(ends[-1] if len(ends) else 0) + np.repeat(first - ends + count, count)
 
 
 @dataclass
 class Model:
-    """Nets in CSR form over nodes 0..n-1; a model edge is a net of two pins. Node 0 is the seed, node 1 is OUT."""
+    """Weighted nets over nodes 0..n-1; a model edge is a net of two pins. Node 0 is the seed, node 1 is OUT.
+
+    pins has a row for each net, filled up with n. dw is the volume of each node, which may count more than the nets at hand.
+    """
 
     n: int
     pins: np.ndarray
-    first: np.ndarray
     weight: np.ndarray
     size: np.ndarray
+    dw: np.ndarray
 
     def __post_init__(self):
-        self.net = np.repeat(np.arange(len(self.weight)), np.diff(self.first))
-        order = np.argsort(self.pins, kind="stable")
-        self.of, self.at = self.net[order], np.searchsorted(self.pins[order], np.arange(self.n + 1))
-        self.dw = np.bincount(self.pins, self.weight[self.net], self.n).astype(np.int64)
-
-    def inside(self, side: np.ndarray) -> np.ndarray:
-        return np.add.reduceat(side[self.pins].astype(np.int64), self.first[:-1]) if len(self.weight) else np.zeros(0, np.int64)
-
-    def cut(self, side: np.ndarray) -> int:
-        i, k = self.inside(side), np.diff(self.first)
-        return int(self.weight[(i > 0) & (i < k)].sum())
-
-    def volume(self, side: np.ndarray) -> int:
-        return int(self.dw[side].sum())
+        self.k = (self.pins < self.n).sum(1)
+        net, slot = np.nonzero(self.pins < self.n)
+        node = self.pins[net, slot]
+        order = np.argsort(node, kind="stable")
+        self.node, self.of = node[order], net[order]
+        self.at = np.searchsorted(self.node, np.arange(self.n + 1))
+
+    @cached_property
+    def near(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(from, to, rating, first of each node): neighbours over all nets, a net's weight shared by its other pins; wide nets say little and are left out."""
+        a, b, r = [], [], []
+        narrow = self.k <= 50
+        for i in range(self.pins.shape[1]):
+            for j in range(i + 1, self.pins.shape[1]):
+                use = np.flatnonzero((self.pins[:, j] < self.n) & narrow)
+                a.append(self.pins[use, i])
+                b.append(self.pins[use, j])
+                r.append(self.weight[use] / (self.k[use] - 1))
+        key, back = np.unique(np.concatenate(a) * self.n + np.concatenate(b), return_inverse=True) if a else (np.zeros(0, np.int64), np.zeros(0, np.int64))
+        rating = np.bincount(back, np.concatenate(r), len(key)) if len(key) else np.zeros(0)
+        a, b = key // max(self.n, 1), key % max(self.n, 1)
+        source, target, rating = np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([rating, rating])
+        order = np.argsort(source, kind="stable")
+        return source[order], target[order], rating[order], np.searchsorted(source[order], np.arange(self.n + 1))
+
+    def cut(self, side: np.ndarray) -> np.ndarray:
+        """Of one side (n) or several (trials, n): the weight of nets with pins on both sides."""
+        return Sides(self, np.atleast_2d(side)).cut if side.ndim > 1 else int(Sides(self, side[None]).cut[0])
+
+    def volume(self, side: np.ndarray) -> np.ndarray:
+        return side @ self.dw if side.ndim > 1 else int(side @ self.dw)
+
+
+def merged(pins: np.ndarray, weight: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Nets as sets, equal ones as one with their weights' sum, those of one pin dropped."""
+    p = np.sort(pins, axis=1)
+    again = np.zeros(p.shape, bool)
+    again[:, 1:] = p[:, 1:] == p[:, :-1]
+    p = np.sort(np.where(again, n, p), axis=1)
+    keep = (p < n).sum(1) > 1
+    p, weight = p[keep], weight[keep]
+    if not len(p):
+        return p, weight
+    if float(n + 1) ** p.shape[1] < 2.0**62:
+        _, first, back = np.unique(p @ (n + 1) ** np.arange(p.shape[1] - 1, -1, -1), return_index=True, return_inverse=True)
+    else:
+        _, first, back = np.unique(p, axis=0, return_index=True, return_inverse=True)
+    return p[first], np.bincount(back.ravel(), weight, len(first)).astype(np.int64)
 
 
 def from_nets(pins: list[np.ndarray], weight: np.ndarray, n: int, size: np.ndarray) -> Model:
-    """Merges equal nets and drops those of one pin; volume is taken on the finest model only."""
-    seen: dict[tuple, int] = {}
-    for p, w in zip(pins, weight.tolist(), strict=True):
-        key = tuple(sorted(set(p.tolist())))
-        if len(key) > 1:
-            seen[key] = seen.get(key, 0) + w
-    keys = list(seen)
-    first = np.cumsum([0, *map(len, keys)])
-    return Model(n, np.array([x for k in keys for x in k], np.int64), first, np.array([seen[k] for k in keys], np.int64), size)
+    """The model of nets given as lists of nodes; each net adds its weight to the volume of its nodes, nets of one pin too."""
+    wide = max(2, *map(len, pins)) if len(pins) else 2
+    full = np.full((len(pins), wide), n, np.int64)
+    for i, p in enumerate(pins):
+        full[i, : len(p)] = p
+    return model_of(full, np.asarray(weight, np.int64), n, size)
+
+
+def model_of(pins: np.ndarray, weight: np.ndarray, n: int, size: np.ndarray) -> Model:
+    dw = np.bincount(pins.ravel(), np.repeat(weight, pins.shape[1]), n + 1)[:n].astype(np.int64)
+    return Model(n, *merged(pins, weight, n), size, dw)
+
+
+class Sides:
+    """The sides of several trials of a model, with cuts, volumes and the gain of every single move kept up to date."""
+
+    def __init__(self, m: Model, side: np.ndarray):
+        self.m, self.side = m, np.concatenate([side, np.zeros((len(side), 1), bool)], 1)
+        self.inside = np.zeros((len(side), len(m.weight)), np.int32)
+        for j in range(m.pins.shape[1]):
+            self.inside += self.side[:, m.pins[:, j]]
+        self.cut = (m.weight * self._crossing(self.inside, m.k)).sum(1)
+        self.vol, self.held = side @ m.dw, side @ m.size
+        self.gain = np.zeros((len(side), m.n + 1), np.int64)
+        if len(m.of):
+            part = m.weight[m.of] * self._relief(self.inside[:, m.of], m.k[m.of], self.side[:, m.node])
+            has = np.flatnonzero(np.diff(m.at))
+            self.gain[:, has] = np.add.reduceat(part, m.at[has], axis=1)
+
+    @staticmethod
+    def _crossing(inside: np.ndarray, k: np.ndarray) -> np.ndarray:
+        return (inside > 0) & (inside < k)
+
+    @classmethod
+    def _relief(cls, inside: np.ndarray, k: np.ndarray, s: np.ndarray) -> np.ndarray:
+        """1 where a net of k pins is no longer cut once a pin on side s moves, -1 where it then is, 0 otherwise."""
+        return cls._crossing(inside, k).astype(np.int64) - cls._crossing(inside + 1 - 2 * s.astype(np.int32), k)
+
+    def flip(self, trial: np.ndarray, v: np.ndarray) -> None:
+        """Moves node v[i] in trial[i]; each trial at most once."""
+        m, s, g = self.m, self.side[trial, v], self.gain[trial, v]
+        step = 1 - 2 * s.astype(np.int32)
+        self.cut[trial] -= g
+        self.vol[trial] += step * m.dw[v]
+        self.held[trial] += step * m.size[v]
+        count = m.at[v + 1] - m.at[v]
+        row = np.repeat(np.arange(len(v)), count)
+        net, t = m.of[runs(m.at[v], count)], trial[row]
+        if m.pins.shape[1] == 2:  # edges: the other end gains by a move if it now lies across, and loses otherwise
+            u = m.pins[net, 0] + m.pins[net, 1] - v[row]
+            self.gain[t, u] += np.where(self.side[t, u] == s[row], 2, -2) * m.weight[net]
+            self.side[trial, v], self.gain[trial, v] = ~s, -g
+            return
+        before = self.inside[t, net]
+        after, k, w, moved = before + step[row], m.k[net], m.weight[net], v[row]
+        for j in range(m.pins.shape[1]):
+            u = m.pins[net, j]
+            su = self.side[t, u]
+            change = w * (self._relief(after, k, su) - self._relief(before, k, su))
+            use = np.flatnonzero((change != 0) & (u != moved) & (u < m.n))
+            np.add.at(self.gain, (t[use], u[use]), change[use])
+        self.inside[t, net] = after
+        self.side[trial, v] = ~s
+        self.gain[trial, v] = -g
 
 
 def coarsen(m: Model, rng: np.random.Generator, most: int, fixed: bool) -> tuple[Model, np.ndarray] | None:
-    """One level: each free node joins the free neighbour of best rating. Seed and OUT never merge with each other; in fixed mode they take no partner."""
-    mate = np.full(m.n, -1, np.int64)
+    """One level: nodes that are each other's best neighbour merge, in rounds; then free nodes with the same best neighbour do. Seed and OUT never merge with each other; in fixed mode they take no partner."""
+    source, target, rating, at = m.near
+    if not len(source):
+        return None
+    noise = rng.random(m.n)
     bound = max(2, 3 * int(m.size.sum()) // (2 * most))
-    k = np.diff(m.first)
-    for v in rng.permutation(m.n):
-        if mate[v] >= 0 or (fixed and v < 2):
-            continue
-        rating: dict[int, float] = {}
-        for e in m.of[m.at[v] : m.at[v + 1]]:
-            if k[e] > 50:
-                continue
-            share = m.weight[e] / (k[e] - 1)
-            for u in m.pins[m.first[e] : m.first[e + 1]]:
-                if u != v and mate[u] < 0 and not (fixed and u < 2) and u + v != 1 and m.size[u] + m.size[v] <= bound:
-                    rating[u] = rating.get(u, 0.0) + share
-        if rating:
-            u = max(rating, key=lambda u: (rating[u] / (m.size[u] * m.size[v]), -u))
-            mate[v], mate[u] = u, v
-    first = np.where((mate < 0) | (np.arange(m.n) < mate), np.arange(m.n), mate)
-    heads = np.unique(first)
+    rate = rating / (m.size[source] * m.size[target]) * (0.75 + (noise[source] + noise[target]) % 1 / 2)
+    rate[(m.size[source] + m.size[target] > bound) | ((source < 2) & (target < 2))] = 0
+    if fixed:
+        rate[(source < 2) | (target < 2)] = 0
+    some = np.flatnonzero(np.diff(at))
+    mate, free = np.arange(m.n), np.ones(m.n, bool)
+
+    def best(r: np.ndarray) -> np.ndarray:
+        top = np.zeros(m.n)
+        top[some] = np.maximum.reduceat(r, at[some])
+        hit = np.flatnonzero((r > 0) & (r == top[source]))[::-1]
+        pick = np.full(m.n, -1)
+        pick[source[hit]] = target[hit]
+        return pick
+
+    for _ in range(8):
+        pick = best(np.where(free[source] & free[target], rate, 0))
+        v = np.flatnonzero(pick >= 0)
+        v = v[(pick[pick[v]] == v) & (v < pick[v])]
+        if not len(v):
+            break
+        mate[pick[v]] = v
+        free[v] = free[pick[v]] = False
+    lone = np.flatnonzero(free & (np.arange(m.n) > 1))
+    pick = best(rate)[lone]
+    lone = lone[pick >= 0][np.argsort(pick[pick >= 0], kind="stable")]
+    pick = best(rate)[lone]
+    pair = np.flatnonzero((pick[1:] == pick[:-1]) & (m.size[lone[1:]] + m.size[lone[:-1]] <= bound)) if len(lone) > 1 else np.zeros(0, np.int64)
+    start = np.concatenate([[True], np.diff(pair) > 1]) if len(pair) else np.zeros(0, bool)
+    pair = pair[(np.arange(len(pair)) - np.maximum.accumulate(np.where(start, np.arange(len(pair)), 0))) % 2 == 0]
+    a, b = lone[pair], lone[pair + 1]
+    mate[np.maximum(a, b)] = np.minimum(a, b)
+    heads = np.unique(mate)
     if len(heads) > 0.95 * m.n:
         return None
-    label = np.searchsorted(heads, first)
-    order = np.concatenate([[label[0], label[1]], np.setdiff1d(np.arange(len(heads)), [label[0], label[1]])])
-    place = np.empty(len(heads), np.int64)
-    place[order] = np.arange(len(heads))
-    label = place[label]
-    size = np.bincount(label, m.size, len(heads)).astype(np.int64)
-    return from_nets(np.split(label[m.pins], m.first[1:-1]), m.weight, len(heads), size), label
-
-
-def grow(m: Model, start: int, bound: int, rng: np.random.Generator, random: bool) -> np.ndarray:
-    """A block grown from `start` by highest attachment, up to half the weight, never over OUT."""
-    side = np.zeros(m.n, bool)
-    side[start] = True
-    weight, goal = int(m.size[start]), min(bound, int(m.size.sum()) // 2)
-    pull = np.zeros(m.n)
-    heap: list[tuple] = []
-
-    def reach(v: int) -> None:
-        for e in m.of[m.at[v] : m.at[v + 1]]:
-            for u in m.pins[m.first[e] : m.first[e + 1]]:
-                if not side[u]:
-                    pull[u] += m.weight[e]
-                    heapq.heappush(heap, (-pull[u] / max(m.dw[u], 1) + (rng.random() if random else 0), int(u)))
-
-    reach(start)
-    while heap and weight < goal:
-        _, u = heapq.heappop(heap)
-        if side[u] or u == 1 or weight + m.size[u] > bound:
-            continue
-        side[u] = True
-        weight += int(m.size[u])
-        reach(u)
+    label = np.searchsorted(heads, mate)
+    # A head has the smaller number of its pair, so that seed and OUT stay 0 and 1.
+    n = len(heads)
+    pins, weight = merged(np.append(label, n)[m.pins], m.weight, n)
+    return Model(n, pins, weight, np.bincount(label, m.size, n).astype(np.int64), np.bincount(label, m.dw, n).astype(np.int64)), label
+
+
+def grown(m: Model, bound: np.ndarray, start: np.ndarray, noise: np.ndarray) -> np.ndarray:
+    """A block for each trial, grown from its start by highest attachment and noise, up to half the weight, never over OUT."""
+    source, target, rating, at = m.near
+    every = np.arange(len(start))
+    side, pull, held = np.zeros((len(start), m.n), bool), np.zeros((len(start), m.n)), np.zeros(len(start), np.int64)
+    goal, per = np.minimum(bound, int(m.size.sum()) // 2), np.maximum(m.dw, 1)
+    trial, v = every, start
+    while len(trial):
+        side[trial, v] = True
+        held[trial] += m.size[v]
+        count = at[v + 1] - at[v]
+        e = runs(at[v], count)
+        pull[np.repeat(trial, count), target[e]] += rating[e]
+        score = np.where(~side & (m.size <= (bound - held)[:, None]), pull / per + noise, -1.0)
+        score[:, 1] = -1
+        best = score.argmax(1)
+        trial = np.flatnonzero((held < goal) & (score[every, best] >= 0))
+        v = best[trial]
     return side
 
 
-def improve(m: Model, side: np.ndarray, bound: int, fixed: bool, passes: int = 4) -> np.ndarray:
-    """Passes of single moves by best gain, each node once, rolled back to the best prefix."""
-    total = int(m.size.sum())
+def improve(s: Sides, bound: np.ndarray, fixed: bool, passes: int = 3, patience: int = 40) -> None:
+    """Passes of single moves by best gain under the balance bound, each node once, rolled back to the best prefix."""
+    m, trials = s.m, len(s.cut)
+    total, low = int(m.size.sum()), np.iinfo(np.int64).min
+    every, going = np.arange(trials), np.ones(trials, bool)
     for _ in range(passes):
-        inside, k = m.inside(side), np.diff(m.first)
-
-        def gain(v: int) -> int:
-            es = m.of[m.at[v] : m.at[v + 1]]
-            mine = inside[es] if side[v] else k[es] - inside[es]
-            return int(m.weight[es] @ ((mine == 1).astype(np.int64) - (mine == k[es])))
-
-        weight = int(m.size[side].sum())
-        heap = [(-gain(v), v) for v in range(m.n) if not (fixed and v < 2)]
-        heapq.heapify(heap)
-        done, now, best, trail, keep = np.zeros(m.n, bool), 0, 0, [], 0
-        while heap and len(trail) < keep + 60:
-            g, v = heapq.heappop(heap)
-            if done[v]:
-                continue
-            real = gain(v)
-            if -g != real:
-                heapq.heappush(heap, (-real, v))
-                continue
-            then = weight + (-int(m.size[v]) if side[v] else int(m.size[v]))
-            if then > bound or total - then > bound or then <= 0 or then >= total:
-                done[v] = True
-                continue
-            done[v] = True
-            inside[m.of[m.at[v] : m.at[v + 1]]] += -1 if side[v] else 1
-            side[v] = ~side[v]
-            weight, now = then, now + real
-            trail.append(v)
-            if now > best:
-                best, keep = now, len(trail)
-            near = {u for e in m.of[m.at[v] : m.at[v + 1]] if k[e] <= 50 for u in m.pins[m.first[e] : m.first[e + 1]].tolist()}
-            for u in near:
-                if not done[u] and not (fixed and u < 2):
-                    heapq.heappush(heap, (-gain(u), u))
-        for v in trail[keep:]:
-            side[v] = ~side[v]
-        if best <= 0:
+        locked = np.zeros((trials, m.n), bool)
+        locked[:, :2] = fixed
+        best, keep, live, moves = s.cut.copy(), np.zeros(trials, np.int64), going.copy(), []
+        while True:
+            room_in, room_out = bound - s.held, bound - (total - s.held)
+            open_ = np.where(s.side[:, : m.n], m.size <= room_out[:, None], m.size <= room_in[:, None]) & ~locked
+            gain = np.where(open_, s.gain[:, : m.n], low)
+            v = gain.argmax(1)
+            live &= (gain[every, v] > low) & (len(moves) - keep < patience)
+            t = np.flatnonzero(live)
+            if not len(t):
+                break
+            s.flip(t, v[t])
+            locked[t, v[t]] = True
+            moves.append((t, v[t]))
+            better = t[s.cut[t] < best[t]]
+            best[better], keep[better] = s.cut[better], len(moves)
+        for i in range(len(moves) - 1, -1, -1):
+            t, v = moves[i]
+            back = keep[t] <= i
+            if back.any():
+                s.flip(t[back], v[back])
+        going &= keep > 0
+        if not going.any():
             break
-    return side
 
 
-def max_block(n: int, eps: float) -> int:
+def max_block(n: int, eps: float | np.ndarray):
     """The most nodes that a block may hold: (1 + eps) times the ceiling of half."""
-    return int((1 + eps) * ((n + 1) // 2))
+    return np.floor((1 + np.asarray(eps)) * ((n + 1) // 2)).astype(np.int64) if np.ndim(eps) else int((1 + eps) * ((n + 1) // 2))
+
+
+def repaired(side: np.ndarray) -> np.ndarray:
+    """Sides turned so that OUT lies outside; a seed that came to lie with OUT is then put inside."""
+    side = np.where(side[:, 1:2], ~side, side)
+    side[:, 0] = True
+    return side
 
 
-def bisect(m: Model, eps: float, rng: np.random.Generator, fixed: bool = False, strong: bool = False, coarsest: int = 40) -> np.ndarray:
-    """side[v]: whether v is in the seed's block. Repaired at the end, if seed and OUT came to lie together, by taking the seed out of OUT's block."""
-    bound = max_block(int(m.size.sum()), eps)
+def bisect(m: Model, eps: np.ndarray, rng: np.random.Generator, fixed: bool = False, strong: bool = False, coarsest: int = 40) -> np.ndarray:
+    """(trials, n): whether each node is in the seed's block, one trial for each imbalance. Seed and OUT part by repair at the end, or are kept apart as fixed nodes."""
+    eps, n_tries = np.atleast_1d(eps), 12 if strong else 4
+    trials, total = len(eps), int(m.size.sum())
+    bound = np.minimum(max_block(total, eps), total - 1)
     levels, labels = [m], []
     while levels[-1].n > coarsest and (step := coarsen(levels[-1], rng, coarsest, fixed)):
         levels.append(step[0])
         labels.append(step[1])
     c = levels[-1]
-    tries = [grow(c, 0, bound, rng, False), *(grow(c, int(v), bound, rng, True) for v in ([0] * (6 if strong else 2) + ([] if fixed else rng.integers(0, c.n, 6 if strong else 2).tolist())) if v != 1)]
-    tries = [improve(c, s, bound, fixed, 8 if strong else 4) for s in tries]
-    side = min(tries, key=lambda s: (s.sum() in (0, c.n), c.cut(s)))
+    # All of GROUP is drawn, so that the first trials do not depend on the number of others.
+    start, noise = rng.integers(0, c.n, (n_tries, GROUP)), rng.random((n_tries, GROUP, c.n))
+    start[: n_tries // 2], noise[0] = 0, 0
+    start[(start == 1) | fixed] = 0
+    side = grown(c, np.tile(bound, n_tries), start[:, :trials].ravel(), noise[:, :trials].reshape(-1, c.n) * 0.5)
+    s = Sides(c, side)
+    improve(s, np.tile(bound, n_tries), fixed, 8 if strong else 4)
+    poor = ~np.isin(s.held, (0, total)).reshape(n_tries, trials)
+    pick = np.where(poor, s.cut.reshape(n_tries, trials), FAR).argmin(0)
+    side = s.side[pick * trials + np.arange(trials), : c.n]
     for fine, label in zip(levels[-2::-1], labels[::-1], strict=True):
-        side = improve(fine, side[label], bound, fixed, 8 if strong else 3)
-    side = side if not side[1] else ~side
-    side[0] = True
-    return side
+        s = Sides(fine, side[:, label])
+        improve(s, bound, fixed, 8 if strong else 3)
+        side = s.side[:, : fine.n]
+    return repaired(side)
 
 
-def less(cut: int, vol: int, cut2: int, vol2: int, total: int) -> int:
-    """-1, 0 or 1 as the first ratio is below, at or above the second, as whole numbers; an empty side ranks last."""
-    a, b = min(vol, total - vol), min(vol2, total - vol2)
-    if a <= 0 or b <= 0:
-        return (a <= 0) - (b <= 0)
-    x, y = cut * b, cut2 * a
-    return (x > y) - (x < y)
+def less(cut, vol, cut2, vol2, total: int) -> np.ndarray:
+    """-1, 0 or 1 as the first ratio is below, at or above the second; an empty side ranks last. Whole numbers are compared as such while products fit."""
+    cut, vol, cut2, vol2 = (np.asarray(x, np.int64) for x in (cut, vol, cut2, vol2))
+    a, b = np.minimum(vol, total - vol), np.minimum(vol2, total - vol2)
+    big = max(int(np.max(vol, initial=0)), int(np.max(vol2, initial=0))) >= 1 << 31
+    x, y = (cut / np.maximum(a, 1), cut2 / np.maximum(b, 1)) if big else (cut * b, cut2 * a)
+    none_a, none_b = a <= 0, b <= 0
+    return np.where(none_a | none_b, none_a.astype(np.int64) - none_b, np.sign(x - y).astype(np.int64))
 
 
-def search(m: Model, side: np.ndarray, total: int, rounds: int, rng: np.random.Generator, scale: int = 1) -> np.ndarray:
-    """Label moves on the objective itself in random order: a move that lowers it is made, one that leaves it equal by a coin; seed and OUT stay.
+def search(m: Model, side: np.ndarray, total: int, rounds: int, order: np.random.Generator, coins: list[np.random.Generator] | None = None) -> np.ndarray:
+    """Label moves on the objective itself, in a random order that the trials share: a move that lowers it is made, one that leaves it equal by a coin; seed and OUT stay.
 
-    Ends after a round without a lower value, or at the cap; the best state seen is returned.
+    A trial ends after a round without a lower value, or at the cap; the best state seen is returned. coins: a generator for each GROUP of trials.
     """
-    k = np.diff(m.first)
-    inside, vol, cut = m.inside(side), m.volume(side), m.cut(side)
-    best, best_side = (cut, vol), side.copy()
+    one = side.ndim == 1
+    s = Sides(m, np.atleast_2d(side))
+    cut, vol, kept, going = s.cut.copy(), s.vol.copy(), s.side.copy(), np.ones(len(s.cut), bool)
+    coins = coins or [order] * -(-len(going) // GROUP)
+    movable = np.flatnonzero(np.diff(m.at) > 0)
+    movable = movable[movable > 1]
     for _ in range(rounds):
-        lower = False
-        for v in rng.permutation(np.arange(2, m.n)):
-            edges = m.of[m.at[v] : m.at[v + 1]]
-            if not len(edges):
-                continue
-            i, w, n = inside[edges], m.weight[edges], k[edges]
-            j = i + (-1 if side[v] else 1)
-            new_cut = cut + int((w * ((j > 0) & (j < n))).sum()) - int((w * ((i > 0) & (i < n))).sum())
-            new_vol = vol + (-int(m.dw[v]) if side[v] else int(m.dw[v]))
-            c = less(new_cut, new_vol, cut, vol, total)
-            if c < 0 or c == 0 and rng.random() < 0.5:
-                inside[edges] = j
-                side[v], cut, vol = ~side[v], new_cut, new_vol
-                lower |= c < 0
-        if less(cut, vol, *best, total) < 0:
-            best, best_side = (cut, vol), side.copy()
-        if not lower:
+        lower = np.zeros(len(going), bool)
+        visit = order.permutation(movable).tolist()
+        heads = np.concatenate([c.random((len(movable), GROUP), np.float32) < 0.5 for c in coins], 1)[:, : len(going)]
+        for i, v in enumerate(visit):
+            c = less(s.cut - s.gain[:, v], s.vol + np.where(s.side[:, v], -m.dw[v], m.dw[v]), s.cut, s.vol, total)
+            move = going & ((c < 0) | ((c == 0) & heads[i]))
+            if move.any():
+                t = np.flatnonzero(move)
+                s.flip(t, np.full(len(t), v))
+                lower |= move & (c < 0)
+        better = less(s.cut, s.vol, cut, vol, total) < 0
+        cut[better], vol[better], kept[better] = s.cut[better], s.vol[better], s.side[better]
+        going &= lower
+        if not going.any():
             break
-    return best_side
+    return kept[0, : m.n] if one else kept[:, : m.n]
 
 
 def eps_of(seed: int, ball_no: int, trial: int, salt: int, low: float = 0.0, high: float = 0.95) -> float:
@@ -230,48 +348,63 @@ def eps_of(seed: int, ball_no: int, trial: int, salt: int, low: float = 0.0, hig
     return low + (high - low) * mix_int(seed * 1009 + ball_no * 131 + trial, 31 + salt) / PRIME
 
 
-SIDES = "seed long, ball_no int, trial int, eps double, cut long, vol long, members array<long>, seconds double"
+SIDES = "seed long, ball_no int, trial int, eps double, cut long, vol long, members array<long>, seconds double, budget_hit boolean"
+
 
+def as_nets(model: DataFrame, kind: str) -> DataFrame:
+    """(seed, ball_no, pins, weight) of a graph model (u, v, weight) or a hypergraph model."""
+    return model.select("seed", "ball_no", F.array("u", "v").alias("pins"), "weight") if kind == "graph" else model.select("seed", "ball_no", "pins", "weight")
 
-def partition_models(model: DataFrame, totals: DataFrame, kind: str = "graph", n_trials: int = 80, search_rounds: int = 10, fixed: bool = False, effort: str = "fast", salt: int = 0, denominator: str = "exact", time_budget_s: float = 3600.0, trials_per_task: int = 10) -> DataFrame:
-    """(seed, ball_no, trial, eps, cut, vol, members, seconds) for every trial; members hold the seed's block.
 
-    model: graph (u, v, weight) or hypergraph (pins, weight) keyed by seed and ball_no. totals: one row, the graph's motif volume in units of the model.
-    Trials of one model are dealt to several tasks, each with a copy of the model, whose size is a ball's.
+def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials: int = 80, search_rounds: int = 10, fixed: bool = False, effort: str = "fast", salt: int = 0, time_budget_s: float = 3600.0, nodes: DataFrame | None = None, groups: int = 0) -> DataFrame:
+    """(seed, ball_no, trial, eps, cut, vol, members, seconds, budget_hit) for every trial; members hold the seed's block, for the best trial of a task only.
+
+    model: graph (u, v, weight) or hypergraph (pins, weight) keyed by seed and ball_no. total: the graph's motif volume in units of the model; FAR
+    takes the seed's block for the smaller side. nodes: (seed, ball_no, node, size, extra) of model nodes, for those without nets and for merged ones, whose `extra` volume no net shows.
+    The search is for the graph model. Trials of a model are dealt to more tasks, each with a copy of the model, only if there are fewer models
+    (`groups`) than cores. The time limit holds from the call on and is tested between groups of trials; the first group of a task always runs.
     """
-    if kind == "graph":
-        nets = model.select("seed", "ball_no", F.array("u", "v").alias("pins"), "weight")
-    else:
-        nets = model.select("seed", "ball_no", "pins", "weight")
-        search_rounds = search_rounds if fixed else 0
-    waves = -(-n_trials // trials_per_task)
-    rows = nets.crossJoin(totals.toDF("total")).withColumn("wave", F.explode(F.sequence(F.lit(0), F.lit(waves - 1))))
-
-    def run(group: pd.DataFrame) -> pd.DataFrame:
-        seed, ball, wave, total = (int(group[c].iloc[0]) for c in ("seed", "ball_no", "wave", "total"))
-        group = group.assign(key=[tuple(p) for p in group["pins"]]).sort_values("key")
-        pins = [np.array(p, np.int64) for p in group["pins"]]
-        ids = np.unique(np.concatenate([*pins, [seed, OUT]]))
+    search_rounds = search_rounds if kind == "graph" else 0
+    cores = model.sparkSession.sparkContext.defaultParallelism
+    waves = max(1, min(-(-n_trials // GROUP), -(-2 * cores // max(groups, 1)) if groups else 1))
+    per = -(-n_trials // waves // GROUP) * GROUP
+    rows = as_nets(model, kind).withColumns({"size": F.lit(0).cast("long")})
+    if nodes is not None:
+        rows = rows.unionByName(nodes.select("seed", "ball_no", F.array("node").alias("pins"), F.col("extra").cast("long").alias("weight"), F.col("size").cast("long").alias("size")))
+    rows = rows.withColumn("wave", F.explode(F.sequence(F.lit(0), F.lit(waves - 1))))
+    deadline = time.time() + time_budget_s
+
+    def run(group: pa.Table) -> pa.Table:
+        seed, ball, wave = (int(group.column(c)[0].as_py()) for c in ("seed", "ball_no", "wave"))
+        pins = group.column("pins").combine_chunks()
+        count, flat = np.diff(pins.offsets.to_numpy()), pins.flatten().to_numpy()
+        weight, size = group.column("weight").to_numpy(), group.column("size").to_numpy()
+        ids = np.unique(np.concatenate([flat, [seed, OUT]]))
         ids = np.concatenate([[seed, OUT], ids[(ids != seed) & (ids != OUT)]])
-        place = {int(x): i for i, x in enumerate(ids)}
-        local = [np.array([place[int(x)] for x in p], np.int64) for p in pins]
-        weight = group["weight"].to_numpy(np.int64)
-        m = from_nets(local, weight, len(ids), np.ones(len(ids), np.int64))
-        # Volume counts nets of one pin too: they lie inside and cost nothing.
-        m.dw = np.bincount(np.concatenate(local), np.repeat(weight, [len(p) for p in local]), len(ids)).astype(np.int64)
-        if denominator == "assumed":
-            total = 1 << 62
-        out, began = [], time.time()
-        for trial in range(wave * trials_per_task, min((wave + 1) * trials_per_task, n_trials)):
-            if time.time() - began > time_budget_s and out:
+        order = np.argsort(ids)
+        place, n = order[np.searchsorted(ids[order], flat)], len(ids)
+        full = np.full((len(count), max(2, count.max())), n, np.int64)
+        full[np.repeat(np.arange(len(count)), count), runs(np.zeros(len(count), np.int64), count)] = place
+        own, sizes = size > 0, np.ones(n, np.int64)
+        sizes[full[own, 0]] = size[own]
+        sort = np.lexsort(full.T[::-1])
+        m = model_of(full[sort], weight[sort], n, sizes)
+        began, last, sides = time.time(), min((wave + 1) * per, n_trials), []
+        for first in range(wave * per, last, GROUP):
+            if sides and time.time() > deadline:
                 break
-            at = time.time()
-            rng = np.random.default_rng([seed, ball, trial, salt])
-            eps = eps_of(seed, ball, trial, salt)
-            side = bisect(m, eps, rng, fixed, effort == "strong")
-            if search_rounds:
-                side = search(m, side, total, search_rounds, rng)
-            out.append((seed, ball, trial, eps, m.cut(side), m.volume(side), sorted(int(x) for x in ids[side]), time.time() - at))
-        return pd.DataFrame(out, columns=["seed", "ball_no", "trial", "eps", "cut", "vol", "members", "seconds"])
-
-    return rows.groupBy("seed", "ball_no", "wave").applyInPandas(run, SIDES)
+            eps = np.array([eps_of(seed, ball, t, salt) for t in range(first, min(first + GROUP, last))])
+            sides.append((eps, bisect(m, eps, np.random.default_rng([seed, ball, first, salt]), fixed, effort == "strong")))
+        eps, side = np.concatenate([e for e, _ in sides]), np.concatenate([x for _, x in sides])
+        if search_rounds:
+            coins = [np.random.default_rng([seed, ball, wave * per + i * GROUP, salt, 1]) for i in range(len(sides))]
+            side = search(m, side, total, search_rounds, np.random.default_rng([seed, ball, salt]), coins)
+        cut, vol = m.cut(side), m.volume(side)
+        small = np.minimum(vol, total - vol)
+        best = int(np.where(small > 0, cut / np.maximum(small, 1), np.inf).argmin())
+        done = len(eps)
+        members = [np.sort(ids[side[best]]) if i == best else None for i in range(done)]
+        cols = [np.full(done, seed), np.full(done, ball, np.int32), np.arange(wave * per, wave * per + done, dtype=np.int32), eps, cut, vol, pa.array(members, pa.list_(pa.int64())), np.full(done, (time.time() - began) / done), np.full(done, done < last - wave * per)]
+        return pa.table(cols, ["seed", "ball_no", "trial", "eps", "cut", "vol", "members", "seconds", "budget_hit"])
+
+    return rows.groupBy("seed", "ball_no", "wave").applyInArrow(run, SIDES)

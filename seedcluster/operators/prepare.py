@@ -70,6 +70,28 @@ class MotifGraph:
     def degree(self) -> DataFrame:
         return degrees(self.edges)
 
+    @cached_property
+    def node_count(self) -> int:
+        """Nodes with an edge, counted once."""
+        return self.degree.count()
+
+    def occurrences(self, motif: str = "triangle") -> DataFrame:
+        """All occurrences (nodes, ways) of a motif, listed and written once: for evaluators and baselines, never for the local method."""
+        from ..sources.shared import written
+        from .motifs import SPECS, occurrences
+
+        kept = self.__dict__.setdefault("_occurrences", {})
+        if motif not in kept:
+            kept[motif] = written(occurrences(self.edges, SPECS[motif]), "occurrences")
+        return kept[motif]
+
+    def motif_volume(self, motif: str = "triangle") -> int:
+        """The sum of motif degrees over the graph, computed once and kept with the graph, as its size is."""
+        kept = self.__dict__.setdefault("_volumes", {})
+        if motif not in kept:
+            kept[motif] = self.occurrences(motif).agg(F.coalesce(F.sum(F.size("nodes") * F.col("ways")), F.lit(0))).first()[0]
+        return kept[motif]
+
     def kept(self) -> MotifGraph:
         """The same, with edges and adjacency held for reuse in memory and on disk."""
         self.edges = self.edges.persist()
@@ -82,29 +104,29 @@ def pick_seeds(graph: MotifGraph, k: int = 50, salt: int = 1) -> DataFrame:
     return graph.degree.select("node").orderBy(mix("node", salt), "node").limit(k).select(F.col("node").alias("seed"))
 
 
-def label_components(edges: DataFrame, rounds: int = 50) -> DataFrame:
-    """(node, component) by least labels that spread along edges and double back, for the report on graphs."""
+def label_components(edges: DataFrame) -> DataFrame:
+    """(node, component) by least labels that spread along edges and double back, until none changes."""
     from ..sources.shared import written
 
     both = edges.select(F.col("src").alias("a"), F.col("dst").alias("b")).union(edges.select("dst", "src"))
     label = written(both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("component")).withColumnRenamed("a", "node"), "labels")
-    for _ in range(rounds):
+    while True:
         near = both.join(label.withColumnRenamed("node", "b"), "b").groupBy("a").agg(F.min("component").alias("m"))
         step = label.join(near.withColumnRenamed("a", "node"), "node").select("node", F.least("component", "m").alias("c"))
         jump = step.join(label.select(F.col("node").alias("c"), F.col("component").alias("j")), "c").select("node", F.least("c", "j").alias("component"))
         nxt = written(jump, "labels")
-        same = nxt.agg(F.sum("component")).first()[0] == label.agg(F.sum("component")).first()[0]
+        moved = nxt.join(label.withColumnRenamed("component", "old"), "node").where("component <> old").limit(1).count()
         label = nxt
-        if same:
-            break
-    return label
+        if not moved:
+            return label
 
 
 def graph_profile(graph: MotifGraph) -> DataFrame:
-    """One row: name, n (nodes with an edge), m, triangles, largest degree."""
+    """One row: name, n (nodes with an edge), m, triangles, largest degree, components among those nodes."""
     from .motifs import triangles
 
     m = graph.edges.agg(F.count(F.lit(1)).alias("m"))
     n = graph.degree.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.max("d"), F.lit(0)).alias("max_degree"))
     t = triangles(graph.edges).agg(F.count(F.lit(1)).alias("triangles"))
-    return n.crossJoin(m).crossJoin(t).select(F.lit(graph.name).alias("graph"), "n", "m", "triangles", "max_degree")
+    c = label_components(graph.edges).agg(F.count_distinct("component").alias("components"))
+    return n.crossJoin(m).crossJoin(t).crossJoin(c).select(F.lit(graph.name).alias("graph"), "n", "m", "triangles", "max_degree", "components")

@@ -17,8 +17,44 @@ def test_kernel_splits_two_cliques():
     """Two cliques joined by one edge: nodes 0, 2..5 and 1, 6..9."""
     a, b = [0, 2, 3, 4, 5], [1, 6, 7, 8, 9]
     pairs = [(x, y) for c in (a, b) for i, x in enumerate(c) for y in c[i + 1 :]] + [(5, 6)]
-    side = K.bisect(small_model(pairs, 10), 0.1, np.random.default_rng(1))
-    assert sorted(np.flatnonzero(side)) == sorted(a)
+    for side in K.bisect(small_model(pairs, 10), np.full(8, 0.1), np.random.default_rng(1)):
+        assert sorted(np.flatnonzero(side)) == sorted(a)
+
+
+def test_moves_keep_gains_cuts_and_volumes():
+    """After any moves, what is kept up to date equals what is computed anew, and a gain is the fall of the cut."""
+    rng = np.random.default_rng(0)
+    for k in (2, 3, 4):
+        n = 30
+        m = K.model_of(rng.integers(0, n, (80, k)), rng.integers(1, 5, 80), n, np.ones(n, np.int64))
+        s = K.Sides(m, rng.random((6, n)) < 0.5)
+        for _ in range(200):
+            t = np.flatnonzero(rng.random(6) < 0.6)
+            s.flip(t, rng.integers(0, n, len(t)))
+        f = K.Sides(m, s.side[:, :n])
+        assert all((getattr(f, x) == getattr(s, x)).all() for x in ("gain", "cut", "vol", "held"))
+        for v in range(n):
+            moved = s.side[:, :n].copy()
+            moved[:, v] = ~moved[:, v]
+            assert (m.cut(moved) == s.cut - s.gain[:, v]).all()
+
+
+def test_balance_and_fixed_nodes():
+    rng = np.random.default_rng(2)
+    pairs = [tuple(rng.choice(60, 2, replace=False)) for _ in range(300)]
+    m, eps = small_model(pairs, 60), np.linspace(0, 0.9, 12)
+    for strong in (False, True):
+        side = K.bisect(m, eps, np.random.default_rng(0), fixed=True, strong=strong)
+        held = side.sum(1)
+        assert side[:, 0].all() and not side[:, 1].any() and (held <= K.max_block(60, eps)).all() and (60 - held <= K.max_block(60, eps)).all()
+    many = K.bisect(m, np.full(30, 0.5), np.random.default_rng(1))
+    few = K.bisect(m, np.full(3, 0.5), np.random.default_rng(1))
+    assert (many[:3] == few).all(), "a trial does not depend on how many others there are"
+
+
+def test_repair_puts_the_seed_inside():
+    side = np.array([[True, True, False, False], [False, False, True, False], [True, False, True, False]])
+    assert K.repaired(side).tolist() == [[True, False, True, True], [True, False, True, False], [True, False, True, False]]
 
 
 def test_coarsening_keeps_seed_and_out_apart():
@@ -46,7 +82,7 @@ def test_clusters_hold_invariants(spark, sf_dir):
     seeds = spark.createDataFrame([(0,), (7,), (99,), (10**6,)], "seed bigint")
     r = A.local_motif_clusters(g, seeds, layers=(1, 2), n_trials=10)
     scores = {x["seed"]: x for x in r.scores.collect()}
-    assert scores[10**6]["status"] == "no_motif"
+    assert scores[10**6]["status"] == "closed_no_motif"  # a ball of one node, closed
     members = {}
     for x in r.clusters.collect():
         members.setdefault(x["seed"], set()).add(x["node"])
