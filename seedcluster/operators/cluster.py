@@ -8,12 +8,13 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.hashing import PRIME, mix
 from ..functions.motif import phi, ratio
 from ..sources.shared import written
 from .ball import ball_schedule, closed_balls, grow_ball, pad_last_ball
 from .models import choose_model, graph_model, hyper_model, placed_occurrences
 from .motifs import SPECS, ball_occurrences, occurrences
-from .partition import FAR, as_nets, partition_models
+from .partition import FAR, OUT, partition_models
 from .prepare import MotifGraph
 
 
@@ -96,7 +97,7 @@ def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "tria
 def pagerank_sweep(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle", walk_continue: float = 0.98, tol: float = 1e-4, pick: str = "global", max_rounds: int = 2000) -> Result:
     """The baseline: motif weights of the whole graph, approximate personalised PageRank, and a sweep. The graph's weights are made once for all seeds.
 
-    A seed in no motif gets a row without phi and itself as cluster. Raises if some walk has not converged after max_rounds.
+    A seed in no motif, or of so large a motif degree that its walk never leaves it, gets a row without phi and itself as cluster. Raises if some walk has not converged after max_rounds.
     """
     from .baselines import appr, best_prefix, sweep, sweep_clusters
     from .models import cooccurrence_graph
@@ -107,7 +108,7 @@ def pagerank_sweep(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle",
     factor = SPECS[motif].k - 1
     scores = best.select("seed", F.floor(F.col("cut") / factor).alias("cut"), F.floor(F.col("vol") / factor).alias("vol"), "phi", "size", F.lit("cut").alias("status"))
     lone, zero = seeds.select("seed").join(best.select("seed"), "seed", "left_anti"), F.lit(0).cast("bigint")
-    scores = scores.unionByName(lone.select("seed", zero.alias("cut"), zero.alias("vol"), F.lit(None).cast("double").alias("phi"), F.lit(1).cast("bigint").alias("size"), F.lit("no_motif").alias("status")))
+    scores = scores.unionByName(lone.select("seed", zero.alias("cut"), zero.alias("vol"), F.lit(None).cast("double").alias("phi"), F.lit(1).cast("bigint").alias("size"), F.lit("no_prefix").alias("status")))
     return Result(scores, sweep_clusters(prefixes, best).unionByName(lone.select("seed", F.col("seed").alias("node"))), prefixes)
 
 
@@ -132,3 +133,93 @@ def refine_best_move(edges: DataFrame, sides: DataFrame, total: DataFrame, round
         best = scored.groupBy(*keys).agg(F.min(F.struct("new", "node", "in")).alias("m")).select(*keys, "m.node", "m.in")
         side = written(side.join(best.where("in = 1"), [*keys, "node"], "left_anti").unionByName(best.where("in = 0").select(*keys, "node")), "side")
     return side
+
+
+def repair_sides(sides: DataFrame) -> DataFrame:
+    """(seed, ball_no, node, side): splits of whole models, turned so that OUT lies outside, with the seed put inside. sides: the same, OUT among the nodes, side in either sense."""
+    out = F.max(F.when(F.col("node") == OUT, F.col("side"))).over(Window.partitionBy("seed", "ball_no"))
+    return sides.withColumn("side", (F.col("side") != out) | (F.col("node") == F.col("seed")))
+
+
+def _joined(edges: DataFrame, size: DataFrame, round_: int, bound: DataFrame, salt: int) -> DataFrame:
+    """(seed, ball_no, node, head): pairs of nodes that are each other's best neighbour, under the lesser id, or that of the seed or OUT; other nodes under their own.
+
+    edges: (seed, ball_no, u, v, weight). size: (seed, ball_no, node, size, extra). bound: (seed, ball_no, most), the largest merged node.
+    """
+    keys = ["seed", "ball_no"]
+    s = lambda c: size.select(*keys, F.col("node").alias(c), F.col("size").alias(f"s{c}"))
+    fit = edges.join(s("u"), [*keys, "u"]).join(s("v"), [*keys, "v"]).join(bound, keys).where("su + sv <= most AND NOT (least(u, v) = -1 AND greatest(u, v) = seed)")
+    noise = 0.75 + mix((F.col("u") + 1) * 1_000_003 + F.col("v"), salt + round_) / (2 * PRIME)
+    rated = fit.select(*keys, "u", "v", (F.col("weight") / (F.col("su") * F.col("sv")) * noise).alias("rate"))
+    both = rated.select(*keys, F.col("u").alias("node"), F.col("v").alias("mate"), "rate").unionByName(rated.select(*keys, F.col("v").alias("node"), F.col("u").alias("mate"), "rate"))
+    pick = both.groupBy(*keys, "node").agg(F.max(F.struct("rate", "mate")).alias("b")).select(*keys, "node", F.col("b.mate").alias("mate"))
+    pairs = pick.join(pick.select(*keys, F.col("node").alias("mate"), F.col("mate").alias("node")), [*keys, "node", "mate"], "left_semi")
+    low = F.least("node", "mate")
+    head = F.when((F.col("node") == F.col("seed")) | (F.col("mate") == F.col("seed")), F.col("seed")).otherwise(low)
+    return size.select(*keys, "node").join(pairs, [*keys, "node"], "left").select(*keys, "node", F.when(F.col("mate").isNull(), F.col("node")).otherwise(head).alias("head"))
+
+
+def refine_many_moves(edges: DataFrame, nodes: DataFrame, side: DataFrame, total: int, rounds: int, salt: int = 0) -> DataFrame:
+    """(seed, ball_no, node) of the best state of each model over rounds in which many nodes move at once.
+
+    In a round, of the nodes whose own move lowers the cut, those that a coin chooses move, so that neighbours rarely swap sides together. Seed and OUT
+    stay. States are compared by the objective. nodes: (seed, ball_no, node, extra), volume of a node that no edge shows.
+    """
+    keys = ["seed", "ball_no"]
+    both = edges.select(*keys, F.col("u").alias("node"), F.col("v").alias("other"), "weight").unionByName(edges.select(*keys, F.col("v").alias("node"), F.col("u").alias("other"), "weight"))
+    states, values = [], []
+    for i in range(rounds + 1):
+        mark = side.select(*keys, "node", F.lit(1).alias("in"))
+        e = both.join(mark, [*keys, "node"], "left").join(mark.select(*keys, F.col("node").alias("other"), F.col("in").alias("oin")), [*keys, "other"], "left")
+        per = e.groupBy(*keys, "node", F.coalesce("in", F.lit(0)).alias("in")).agg(F.sum("weight").alias("d"), F.sum(F.when(F.col("oin") == 1, F.col("weight")).otherwise(0)).alias("x"))
+        per = written(per.join(nodes.select(*keys, "node", "extra"), [*keys, "node"]), "moves")
+        sums = per.where("in = 1").groupBy(*keys).agg(F.sum(F.col("d") - F.col("x")).alias("cut"), F.sum(F.col("d") + F.col("extra")).alias("vol"))
+        states.append(side)
+        values.append(sums.select(*keys, phi(F.col("cut"), F.col("vol"), F.lit(total)).alias("phi"), F.lit(i).alias("round")))
+        if i == rounds:
+            break
+        gain = F.when(F.col("in") == 1, F.col("d") - 2 * F.col("x")).otherwise(2 * F.col("x") - F.col("d"))
+        move = per.where("node >= 0 AND node <> seed").where(gain > 0).where(mix(F.col("node"), salt + i) < PRIME // 2)
+        side = written(side.join(move.where("in = 1").select(*keys, "node"), [*keys, "node"], "left_anti").unionByName(move.where("in = 0").select(*keys, "node")), "side")
+    score, state = values[0], states[0].withColumn("round", F.lit(0))
+    for i in range(1, rounds + 1):
+        score, state = score.unionByName(values[i]), state.unionByName(states[i].withColumn("round", F.lit(i)))
+    best = score.groupBy(*keys).agg(F.min(F.struct(F.coalesce("phi", F.lit(2.0)).alias("p"), "round")).alias("b")).select(*keys, F.col("b.round").alias("round"))
+    return written(state.join(best, [*keys, "round"], "left_semi").select(*keys, "node"), "side")
+
+
+def bisect_distributed(edges: DataFrame, nodes: DataFrame, total: int, most: int = 20_000, rounds: int = 5, n_trials: int = 80, salt: int = 0, levels: int = 40, search_rounds: int = 10) -> DataFrame:
+    """(seed, ball_no, node): the seed's block of each graph model, for models beyond one task's memory.
+
+    Models of more than `most` nodes are coarsened by joins, level by level, until they are small enough or shrink no more; the partition kernel splits the
+    coarse models, whose cuts and volumes are those of the fine ones; the split goes back through the levels, each with rounds of many moves by joins.
+    edges: (seed, ball_no, u, v, weight). nodes: (seed, ball_no, node) of the balls. total: the motif volume in units of the model. No model meets in one task before it has at most `most` nodes.
+    """
+    keys = ["seed", "ball_no"]
+    size = nodes.select(*keys, "node").unionByName(nodes.select(*keys).distinct().withColumn("node", F.lit(OUT).cast("bigint")))
+    size = written(size.select(*keys, "node", F.lit(1).cast("bigint").alias("size"), F.lit(0).cast("bigint").alias("extra")), "sizes")
+    bound = written(size.groupBy(*keys).agg(F.greatest(F.lit(2), F.floor(F.count(F.lit(1)) * 3 / (2 * min(most, 40)))).alias("most")), "bound")
+    edges, chain = written(edges.select(*keys, "u", "v", "weight"), "edges"), []
+    for level in range(levels):
+        large = size.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > most)
+        left = large.agg(F.sum("n")).first()[0]
+        if not left:
+            break
+        todo = edges.join(large.select(*keys), keys, "left_semi")
+        label = written(_joined(todo, size, level, bound, salt), "label")
+        name = lambda c: label.select(*keys, F.col("node").alias(c), F.col("head").alias(f"h{c}"))  # noqa: B023, E731
+        named = edges.join(name("u"), [*keys, "u"]).join(name("v"), [*keys, "v"]).select(*keys, F.least("hu", "hv").alias("u"), F.greatest("hu", "hv").alias("v"), "weight")
+        inner = named.where("u = v").groupBy(*keys, F.col("u").alias("node")).agg((2 * F.sum("weight")).alias("extra"))
+        grown = size.join(label, [*keys, "node"]).groupBy(*keys, F.col("head").alias("node")).agg(F.sum("size").alias("size"), F.sum("extra").alias("e"))
+        grown = written(grown.join(inner, [*keys, "node"], "left").select(*keys, "node", "size", (F.col("e") + F.coalesce("extra", F.lit(0))).alias("extra")), "sizes")
+        coarse = written(named.where("u <> v").groupBy(*keys, "u", "v").agg(F.sum("weight").alias("weight")), "edges")
+        chain.append((edges, size, label))
+        edges, size = coarse, grown
+        if size.join(large.select(*keys), keys, "left_semi").count() > 0.95 * left:
+            break
+    best = written(best_trial(partition_models(edges, total, "graph", n_trials, search_rounds, salt=salt, nodes=size).withColumn("phi", phi(F.col("cut"), F.col("vol"), F.lit(total)))), "best")
+    side = best.select(*keys, F.explode("members").alias("node"))
+    for fine, sizes, label in reversed(chain):
+        side = written(label.join(side.withColumnRenamed("node", "head"), [*keys, "head"]).select(*keys, "node"), "side")
+        side = refine_many_moves(fine, sizes, side, total, rounds, salt)
+    return side.where("node >= 0")

@@ -14,13 +14,11 @@ OUT = -1
 def placed_occurrences(occ: DataFrame, balls: DataFrame) -> DataFrame:
     """(seed, ball_no, nodes, ways): occurrences that touch each ball, with outside nodes as OUT. balls: (seed, ball_no, node, depth).
 
-    Inner balls are prefixes of the deepest one, so min_depth picks their occurrences, and only layers' ends differ.
+    Inner balls are prefixes of the deepest one, and occurrences carry the depth of each node, so a ball's rim alone tells what lies inside: no node is joined again.
     """
-    ends = balls.groupBy("seed", "ball_no").agg(F.max("depth").alias("deep"))
-    named = occ.join(ends, "seed").where("min_depth <= deep").withColumn("occ", F.col("nodes"))
-    pins = named.select("seed", "ball_no", "occ", "ways", F.explode("nodes").alias("node"))
-    inside = pins.join(balls.select("seed", "ball_no", "node", F.lit(True).alias("in")), ["seed", "ball_no", "node"], "left")
-    return inside.groupBy("seed", "ball_no", "occ", "ways").agg(F.array_sort(F.collect_list(F.when(F.col("in"), F.col("node")).otherwise(OUT))).alias("nodes")).drop("occ")
+    rims = balls.groupBy("seed", "ball_no").agg(F.max("depth").alias("rim"))
+    place = F.array_sort(F.zip_with("nodes", "depths", lambda node, d: F.when(d <= F.col("rim"), node).otherwise(F.lit(OUT).cast("bigint"))))
+    return occ.join(rims, "seed").where("min_depth <= rim").select("seed", "ball_no", place.alias("nodes"), "ways")
 
 
 def hyper_model(placed: DataFrame) -> DataFrame:

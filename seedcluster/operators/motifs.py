@@ -67,27 +67,28 @@ def triangles(edges: DataFrame, key: str | None = None) -> DataFrame:
 
 
 def near_edges(graph: MotifGraph, ball: DataFrame, halo: int = 1) -> DataFrame:
-    """(seed, src, dst): edges among the nodes at most `halo` steps from a ball."""
-    nodes = ball.select("seed", "node")
+    """(src, dst): edges among the nodes at most `halo` steps from any of the balls, each once, however many balls it is near."""
+    nodes = ball.select("node").distinct()
     for _ in range(halo):
-        nodes = nodes.join(graph.adj.select("node", "nbr"), "node").select("seed", F.col("nbr").alias("node")).union(nodes).distinct()
-    out = nodes.join(graph.adj.select("node", "nbr"), "node").where("node < nbr").select("seed", F.col("node").alias("src"), F.col("nbr").alias("dst"))
-    return out.join(nodes.select("seed", F.col("node").alias("dst")), ["seed", "dst"], "left_semi").select("seed", "src", "dst")
+        nodes = nodes.join(graph.adj.select("node", "nbr"), "node").select(F.col("nbr").alias("node")).union(nodes).distinct()
+    out = nodes.join(graph.adj.select("node", "nbr"), "node").where("node < nbr").select(F.col("node").alias("src"), F.col("nbr").alias("dst"))
+    return out.join(nodes.select(F.col("node").alias("dst")), "dst", "left_semi").select("src", "dst")
 
 
-def touching(occ: DataFrame, ball: DataFrame) -> DataFrame:
-    """Occurrences (seed, nodes, ways) with a node in the seed's ball, and the least depth of one: min_depth."""
-    named = occ.withColumn("occ", F.col("nodes"))
-    depth = named.select("seed", "occ", F.explode("nodes").alias("node")).join(ball.select("seed", "node", "depth"), ["seed", "node"]).groupBy("seed", "occ").agg(F.min("depth").alias("min_depth"))
-    return named.join(depth, ["seed", "occ"]).select("seed", "nodes", "ways", "min_depth")
+def touching(occ: DataFrame, ball: DataFrame, k: int) -> DataFrame:
+    """(seed, nodes, ways, depths, min_depth): occurrences of k nodes for each ball that holds one of them, with the depth of each node, null outside.
+
+    Nodes meet balls by one equi-join; what belongs together is put together by an aggregate of fixed columns, which combines before the shuffle.
+    """
+    at = occ.select("nodes", "ways", F.posexplode("nodes").alias("i", "node")).join(ball.select("seed", "node", "depth"), "node")
+    per = at.groupBy("seed", "nodes", "ways").agg(*[F.min(F.when(F.col("i") == i, F.col("depth"))).alias(f"d{i}") for i in range(k)])
+    depths = F.array(*[f"d{i}" for i in range(k)])
+    return per.select("seed", "nodes", "ways", depths.alias("depths"), F.array_min(depths).alias("min_depth"))
 
 
 def ball_triangles(graph: MotifGraph, ball: DataFrame) -> DataFrame:
-    """(seed, nodes, ways, min_depth) of triangles that touch the ball; only edges near it are read. Depths come by three joins on the rows, without a key of the whole triangle."""
-    t = triangles(written(near_edges(graph, ball), "near"), "seed")
-    for c in "abc":
-        t = t.join(ball.select("seed", F.col("node").alias(c), F.col("depth").alias(f"d{c}")), ["seed", c], "left")
-    return t.where("da IS NOT NULL OR db IS NOT NULL OR dc IS NOT NULL").select("seed", F.array("a", "b", "c").alias("nodes"), F.lit(1).cast("bigint").alias("ways"), F.least("da", "db", "dc").alias("min_depth"))
+    """Triangles that touch each ball, as touching() gives them; only edges near the balls are read, and balls that overlap share one listing."""
+    return ball_occurrences(graph, ball, TRIANGLE)
 
 
 def wedges(edges: DataFrame) -> DataFrame:
@@ -174,18 +175,21 @@ def occurrences(edges: DataFrame, spec: MotifSpec, key: str | None = None) -> Da
 
 
 def ball_occurrences(graph: MotifGraph, ball: DataFrame, spec: MotifSpec = TRIANGLE) -> DataFrame:
-    """(seed, nodes, ways, min_depth) of any motif; the halo is as wide as the pattern."""
-    if spec.name == "triangle":
-        return ball_triangles(graph, ball)
-    return touching(written(occurrences(written(near_edges(graph, ball, spec.halo), "near"), spec, "seed"), "occ"), ball)
+    """Occurrences of any motif that touch each ball, as touching() gives them; the halo is as wide as the pattern."""
+    return touching(written(occurrences(written(near_edges(graph, ball, spec.halo), "near"), spec), "listed"), ball, spec.k)
 
 
 def sampled_triangles(edges: DataFrame, p: float, salt: int = 3) -> DataFrame:
-    """Triangles whose three edges a hash keeps, each with probability p; their number over p^3 estimates all."""
+    """Triangles whose three edges a hash keeps, each with probability p."""
     kept = edges.where(mix(F.col("src") * 1_000_003 + F.col("dst"), salt) < int(p * PRIME))
     return triangles(kept)
 
 
+def estimated_triangles(edges: DataFrame, p: float, salt: int = 3) -> DataFrame:
+    """One row: (kept, estimate), the number of sampled triangles over p^3, whose expectation is the number of all."""
+    return sampled_triangles(edges, p, salt).agg(F.count(F.lit(1)).alias("kept")).select("kept", (F.col("kept") / F.lit(p**3)).alias("estimate"))
+
+
 def motif_degree(occ: DataFrame) -> DataFrame:
     """(node, dmu) from occurrences (nodes, ways)."""
     return occ.select(F.explode("nodes").alias("node"), "ways").groupBy("node").agg(F.sum("ways").alias("dmu"))

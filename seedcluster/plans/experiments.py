@@ -98,10 +98,13 @@ def model_duel_summary(spark: SparkSession, sf_dir: str, names: tuple[str, ...]
     return S.win_shares(runs, "graph", "hyper").select(F.col("first_best").alias("graph_best"), F.col("second_best").alias("hyper_best"), F.col("speedup").alias("time_ratio")).crossJoin(memory)
 
 
-def search_ablation(spark: SparkSession, sf_dir: str, name: str = "affinity", k: int = SEEDS, n_trials: int = TRIALS) -> DataFrame:
+def search_ablation(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ("affinity", "user_copresence", "copurchase"), k: int = SEEDS, n_trials: int = TRIALS) -> DataFrame:
     """runs with and without the local search, on the same trials."""
-    g, s = graph(spark, sf_dir, name), seeds_of(spark, sf_dir, name, k)
-    return _all([timed_runs(algo, name, lambda r=rounds: A.local_motif_clusters(g, s, layers=LAYERS[name], n_trials=n_trials, search_rounds=r), s, g, True) for algo, rounds in (("plain", 0), ("search", 10))])
+    out = []
+    for name in names:
+        g, s = graph(spark, sf_dir, name), seeds_of(spark, sf_dir, name, k)
+        out += [timed_runs(algo, name, lambda r=rounds, g=g, s=s, n=name: A.local_motif_clusters(g, s, layers=LAYERS[n], n_trials=n_trials, search_rounds=r), s, g, True) for algo, rounds in (("plain", 0), ("search", 10))]
+    return _all(out)
 
 
 def search_gain(spark: SparkSession, sf_dir: str) -> DataFrame:

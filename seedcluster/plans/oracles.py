@@ -9,6 +9,8 @@ GOLDEN = (0, 7, 42, 99, 149)
 ADJ = "adj AS (SELECT src AS node, dst AS nbr FROM edges UNION ALL SELECT dst, src FROM edges), deg AS (SELECT node, count(*) AS d FROM adj GROUP BY node)"
 TRI = "tri AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM edges x JOIN edges y ON x.dst = y.src JOIN edges z ON z.src = x.src AND z.dst = y.dst)"
 DMU = "dmu AS (SELECT node, count(*) AS dmu FROM (SELECT a AS node FROM tri UNION ALL SELECT b FROM tri UNION ALL SELECT c FROM tri) GROUP BY node)"
+#: cc(node, c): the least node that each node reaches, by rounds that keep one row a node.
+COMPONENTS = "cc(node, c) USING KEY (node) AS (SELECT node, node AS c FROM deg UNION SELECT a.node, min(cc.c) AS c FROM cc JOIN adj a ON a.nbr = cc.node JOIN recurring.cc r ON r.node = a.node WHERE cc.c < r.c GROUP BY a.node)"
 TOTAL = "total AS (SELECT 3 * count(*) AS total FROM tri)"
 
 
