@@ -29,3 +29,12 @@ def register(spark: SparkSession) -> None:
 def register_neighbours(spark: SparkSession, view: str) -> None:
     """neighbours(n): a table function over an adjacency view (node, nbr)."""
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION neighbours(n BIGINT) RETURNS TABLE(nbr BIGINT) RETURN SELECT nbr FROM {view} WHERE node = n")
+
+
+def register_ball_of(spark: SparkSession, view: str, layers: int) -> None:
+    """ball_of(seed): a table function (node, depth) over an adjacency view (node, nbr), as many joins as layers."""
+    walks = ["SELECT s AS node, 0 AS depth"]
+    for n in range(1, layers + 1):
+        joins = " ".join(f"JOIN {view} a{i} ON a{i}.node = a{i - 1}.nbr" for i in range(2, n + 1))
+        walks.append(f"SELECT a{n}.nbr AS node, {n} AS depth FROM {view} a1 {joins} WHERE a1.node = s")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION ball_of(s BIGINT) RETURNS TABLE(node BIGINT, depth INT) RETURN SELECT node, min(depth) AS depth FROM ({' UNION ALL '.join(walks)}) GROUP BY node")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import permutations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -44,6 +45,18 @@ DIAMOND = MotifSpec("diamond", 4, ((0, 1), (0, 2), (0, 3), (1, 2), (1, 3)), ((0,
 SPECS = {m.name: m for m in (EDGE, TRIANGLE, WEDGE, PATH4, CYCLE4, CLIQUE4, DIAMOND)}
 
 
+def pattern_of(text: str, name: str = "pattern") -> MotifSpec:
+    """A pattern from text such as 0-1,1-2. Of the numberings that the pattern's symmetries make alike, one is kept: each node in turn that some remaining symmetry moves must have the least image of its orbit."""
+    edges = tuple(tuple(sorted(map(int, e.split("-")))) for e in text.split(","))
+    k = 1 + max(max(e) for e in edges)
+    group = [p for p in permutations(range(k)) if {tuple(sorted((p[i], p[j]))) for i, j in edges} == set(edges)]
+    less = []
+    for i in range(k):
+        less += [(i, j) for j in sorted({p[i] for p in group} - {i})]
+        group = [p for p in group if p[i] == i]
+    return MotifSpec(name, k, edges, tuple(less))
+
+
 def triangles(edges: DataFrame, key: str | None = None) -> DataFrame:
     """(a, b, c), a < b < c, of each triangle, once; with a key column, triangles within each key.
 

@@ -89,7 +89,7 @@ def _seeds(spark, sf_dir, name: str, k: int = 5):
 
 
 _Q4 = "q4 AS (SELECT x.src AS a, x.dst AS b, y.dst AS c, z.dst AS d FROM edges x JOIN edges y ON y.src = x.dst JOIN edges z ON z.src = y.dst JOIN edges p ON p.src = x.src AND p.dst = y.dst JOIN edges q ON q.src = x.src AND q.dst = z.dst JOIN edges r ON r.src = x.dst AND r.dst = z.dst)"
-_PL4 = "o4 AS MATERIALIZED (SELECT DISTINCT l.seed, a, b, c, d FROM q4 JOIN ball l ON l.node IN (a, b, c, d)), pl AS (SELECT o.seed, " + ", ".join(f"coalesce(l{x}.node, -1) AS {x}" for x in "abcd") + " FROM o4 o " + " ".join(f"LEFT JOIN ball l{x} ON l{x}.seed = o.seed AND l{x}.node = o.{x}" for x in "abcd") + ")"
+_PL4 = "held AS (SELECT seed, list(node) AS held FROM ball GROUP BY seed), o4 AS (SELECT seed, held, a, b, c, d FROM q4, held WHERE list_contains(held, a) OR list_contains(held, b) OR list_contains(held, c) OR list_contains(held, d)), pl AS (SELECT seed, " + ", ".join(f"CASE WHEN list_contains(held, {x}) THEN {x} ELSE -1 END AS {x}" for x in "abcd") + " FROM o4)"
 _PAIRS4 = " UNION ALL ".join(f"SELECT seed, {x} AS u, {y} AS v FROM pl" for x, y in ("ab", "ac", "ad", "bc", "bd", "cd"))
 
 

@@ -56,13 +56,23 @@ def scan_json(spark, sf_dir):
 
 @add("rel_adjacency_text", base("copurchase2") + " SELECT src, dst FROM edges")
 def adjacency_text(spark, sf_dir):
-    """Written as one line for each node from 0 on, and read by line number."""
+    """Written as one line for each node from 0 on, in one file, and read by line number in ranges of bytes."""
     g = G.graph(spark, sf_dir, "copurchase2")
     top = g.degree.agg(F.max("node")).first()[0]
     lines = spark.range(top + 1).withColumnRenamed("id", "node").join(g.adj.groupBy("node").agg(F.array_join(F.array_sort(F.collect_list("nbr")), " ").alias("l")), "node", "left")
     path = f"{shared_dir(spark)}/adjacency-{uuid.uuid4().hex}"
     lines.repartition(1).sortWithinPartitions("node").select(F.coalesce("l", F.lit("")).alias("value")).write.text(path)
-    return R.read_adjacency_text(spark, path, first=0)
+    files = spark.read.format("binaryFile").load(f"{path}/*.txt").select("path").collect()
+    return R.read_adjacency_text(spark, files[0][0].replace("file:", ""), first=0, part_bytes=8192)
+
+
+@add("rel_adjacency_bucketed", base() + " SELECT node, count(*) AS two_steps FROM (SELECT a.node, b.nbr FROM adj a JOIN adj b ON a.nbr = b.node) GROUP BY node")
+def adjacency_bucketed(spark, sf_dir):
+    """Nodes two steps away, counted with repetition, from an adjacency bucketed by node."""
+    name = f"adjacency_{uuid.uuid4().hex}"
+    R.save_adjacency(G.graph(spark, sf_dir).adj.select("node", "nbr"), name, 8)
+    adj, degree = spark.table(name), spark.table(name).groupBy("node").agg(F.count(F.lit(1)).alias("d"))
+    return adj.join(degree.withColumnRenamed("node", "nbr"), "nbr").groupBy("node").agg(F.sum("d").alias("two_steps"))
 
 
 @add("rel_adjacency_lookup", base() + " SELECT node, nbr FROM adj WHERE node IN (0, 7, 42)")
@@ -105,6 +115,15 @@ def asof_events(spark, sf_dir):
     return e.withColumn("purchase_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w)).where("event_type = 'error'").select("event_id", "purchase_id")
 
 
+@add("rel_join_asof_orders", "SELECT o.o_orderkey, p.o_orderkey AS before FROM orders o ASOF LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_orderkey) AS o_orderkey FROM orders WHERE o_orderstatus = 'F' GROUP BY ALL) p ON o.o_custkey = p.o_custkey AND o.o_orderdate > p.o_orderdate WHERE o.o_orderstatus = 'O'")
+def asof_orders(spark, sf_dir):
+    """The last finished order strictly before each open one of the same customer: one window over both, which ends before the row's own date."""
+    o = table(spark, sf_dir, "orders").where("o_orderstatus IN ('F', 'O')").withColumn("at", F.unix_micros(F.col("o_orderdate").cast("timestamp")))
+    done = F.when(F.col("o_orderstatus") == "F", F.struct("at", "o_orderkey"))
+    w = Window.partitionBy("o_custkey").orderBy("at").rangeBetween(Window.unboundedPreceding, -1)
+    return o.withColumn("b", F.max(done).over(w)).where("o_orderstatus = 'O'").select("o_orderkey", F.col("b.o_orderkey").alias("before"))
+
+
 add("rel_lateral_topk", "SELECT c_custkey, o_orderkey FROM customer JOIN (SELECT o_custkey, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 3) ON o_custkey = c_custkey")(lambda s, d: (views(s, d, "customer", "orders"), s.sql("SELECT c_custkey, o_orderkey FROM customer, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 3)"))[1])
 
 # Aggregates.
@@ -150,6 +169,7 @@ both("rel_fn_math", f"SELECT c_custkey, {Q.mix_sql('c_custkey', 9)} AS m, round(
 add("rel_fn_array", "SELECT a.vec_id AS x, b.vec_id AS y, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 9) AS c FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")(lambda s, d: cosine_next(s, d))
 add("rel_fn_map", _RUNS + " SELECT graph, count(*) FILTER (phi < 0.3) AS low FROM runs WHERE algo = 'ball' GROUP BY graph")(lambda s, d: formula_runs(s).where("algo = 'ball'").groupBy("graph").agg(F.map_from_entries(F.collect_list(F.struct("seed", "phi"))).alias("m")).select("graph", F.size(F.map_filter("m", lambda k, v: v < 0.3)).cast("bigint").alias("low")))
 add("rel_fn_json_props", "SELECT event_type, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY ALL")(lambda s, d: table(s, d, "events").groupBy("event_type", F.get_json_object("props", "$.k").cast("bigint").alias("k")).agg(F.count(F.lit(1)).alias("n")))
+add("rel_fn_from_json", "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, round(avg(value), 6) AS value FROM events GROUP BY ALL")(lambda s, d: table(s, d, "events").select(F.from_json("props", "k BIGINT").alias("p"), "value").groupBy("p.k").agg(F.round(F.avg("value"), 6).alias("value")))
 both("rel_subquery_exists_scalar", "SELECT o_orderkey FROM orders o WHERE o_totalprice > (SELECT avg(o_totalprice) FROM orders) AND EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o.o_orderkey AND l_discount > 0.09)", "orders", "lineitem")
 add("rel_cluster_attributes", base("doc_overlap", "reach(node, r) AS (SELECT node, node FROM deg UNION SELECT a.nbr, r FROM reach JOIN adj a USING (node) WHERE a.nbr > r), comp AS (SELECT node, min(r) AS c FROM reach GROUP BY node)") + " SELECT c, count(*) AS n, round(avg(quality), 9) AS quality, round(avg(toxic), 9) AS toxic FROM comp JOIN labels ON doc_id = node GROUP BY c")(lambda s, d: cluster_attributes(s, d))
 
@@ -169,6 +189,13 @@ def cluster_attributes(spark, sf_dir):
     return comp.join(table(spark, sf_dir, "labels").withColumnRenamed("doc_id", "node"), "node").groupBy(F.col("component").alias("c")).agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("quality"), 9).alias("quality"), F.round(F.avg("toxic"), 9).alias("toxic"))
 
 
+@add("rel_cte_recursive", base("cells", "walk AS (SELECT node, node AS start, 0 AS step FROM deg WHERE node % 100 = 7 UNION SELECT a.nbr, w.start, w.step + 1 FROM walk w JOIN adj a USING (node) WHERE w.step < 2)") + " SELECT start, node, min(step) AS step FROM walk GROUP BY ALL")
+def cte_recursive(spark, sf_dir):
+    """Steps from some nodes by a recursive query; the graph's cells keep it small."""
+    G.graph(spark, sf_dir, "cells").adj.createOrReplaceTempView("cells_adj")
+    return spark.sql("WITH RECURSIVE walk(node, start, step) AS (SELECT DISTINCT node, node, 0 FROM cells_adj WHERE node % 100 = 7 UNION ALL SELECT a.nbr, w.start, w.step + 1 FROM walk w JOIN cells_adj a ON a.node = w.node WHERE w.step < 2) SELECT start, node, min(step) AS step FROM walk GROUP BY start, node")
+
+
 # User-defined functions.
 @add("sql_udf_motif_phi", "SELECT c_custkey % 50 AS cut, 1 + c_custkey % 90 AS vol, CASE WHEN least(1 + c_custkey % 90, 119 - c_custkey % 90) > 0 THEN (c_custkey % 50) / CAST(least(1 + c_custkey % 90, 119 - c_custkey % 90) AS DOUBLE) END AS phi FROM customer")
 def sql_udf(spark, sf_dir):
@@ -202,6 +229,38 @@ def pattern_edges(spark, sf_dir):
     return one(E.DIAMOND).unionByName(one(E.PATH4))
 
 
+@add("sql_table_fn_ball_of", base("affinity", Q.ball(2)) + " SELECT seed, node, depth FROM ball")
+def ball_of(spark, sf_dir):
+    """Balls of two layers by the SQL table function ball_of(seed)."""
+    G.graph(spark, sf_dir).adj.createOrReplaceTempView("adj_view")
+    fn.register_ball_of(spark, "adj_view", 2)
+    golden(spark).createOrReplaceTempView("golden_seeds")
+    return spark.sql("SELECT seed, b.node, b.depth FROM golden_seeds, LATERAL ball_of(seed) b")
+
+
+@add("udtf_shingles", "SELECT doc_id, count(DISTINCT s) AS n FROM (SELECT doc_id, unnest(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) AS s FROM (SELECT doc_id, string_split(text, ' ') AS w FROM documents) WHERE len(w) >= 5) GROUP BY doc_id")
+def udtf_shingles(spark, sf_dir):
+    """Shingles by a table function in Python, twin of the column expression."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="s string")
+    class Shingles:
+        def eval(self, text: str, width: int):
+            w = (text or "").split(" ")
+            for s in dict.fromkeys(" ".join(w[i : i + width]) for i in range(len(w) - width + 1)):
+                yield (s,)
+
+    spark.udtf.register("shingles_of", Shingles)
+    views(spark, sf_dir, "documents")
+    return spark.sql("SELECT doc_id, count(*) AS n FROM documents, LATERAL shingles_of(text, 5) GROUP BY doc_id")
+
+
+@add("pattern_from_text", base("doc_overlap") + """ SELECT count(*) AS n FROM edges m JOIN adj x ON x.node = m.src JOIN adj x2 ON x2.node = m.dst AND x2.nbr = x.nbr JOIN adj y ON y.node = m.src AND y.nbr > x.nbr JOIN adj y2 ON y2.node = m.dst AND y2.nbr = y.nbr""")
+def pattern_from_text(spark, sf_dir):
+    """A pattern written as text, decoded and enumerated: symmetries are broken by the rule that automorphic images count once."""
+    return E.enumerate_pattern(G.graph(spark, sf_dir, "doc_overlap").edges, E.pattern_of("0-1,0-2,0-3,1-2,1-3")).agg(F.count(F.lit(1)).alias("n"))
+
+
 @add("udaf_geo_mean", _RUNS + " SELECT graph, round(exp(avg(ln(size))), 6) AS size FROM runs GROUP BY graph")
 def udaf(spark, sf_dir):
     """The geometric mean as a grouped pandas function, twin of the column expression."""

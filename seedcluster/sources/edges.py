@@ -24,11 +24,13 @@ def read_edges(spark: SparkSession, path: str, fmt: str) -> DataFrame:
     return normalise_edges(reader.format(fmt).load(path), "src", "dst")
 
 
-def read_adjacency_text(spark: SparkSession, path: str, first: int = 1) -> DataFrame:
-    """Line i holds the neighbours of node i, counted from `first`. Lines are numbered within a file read whole, so a file must be one graph."""
-    lines = spark.read.text(path, wholetext=True).select(F.posexplode(F.split(F.rtrim("value"), "\n")).alias("i", "line"))
-    pairs = lines.select((F.col("i") + first).cast("bigint").alias("a"), F.explode(F.split(F.trim("line"), r"\s+")).alias("b")).where("b <> ''")
-    return normalise_edges(pairs.select("a", F.col("b").cast("bigint").alias("b")), "a", "b")
+def read_adjacency_text(spark: SparkSession, path: str, first: int = 1, part_bytes: int = 64 << 20) -> DataFrame:
+    """Line i of a file holds the neighbours of node i, counted from `first`. Tasks read ranges of lines; the numbers of their first lines come from one count of line ends."""
+    from .reader import register
+
+    register(spark)
+    pairs = spark.read.format("adjacency_lines").options(path=path, first=str(first), partBytes=str(part_bytes)).load()
+    return normalise_edges(pairs, "line", "nbr")
 
 
 def write_adjacency(adj: DataFrame, path: str, buckets: int = 64) -> None:
@@ -44,6 +46,11 @@ def open_adjacency(spark: SparkSession, path: str, nodes: list[int] | None = Non
     return adj.drop("node_bucket")
 
 
+def save_adjacency(adj: DataFrame, name: str, buckets: int = 64) -> None:
+    """Adjacency as a bucketed table, sorted by node: joins on node with another table of as many buckets need no exchange."""
+    adj.write.mode("overwrite").bucketBy(buckets, "node").sortBy("node", "nbr").saveAsTable(name)
+
+
 def write_result(df: DataFrame, path: str, fmt: str = "parquet", partition: str | None = None) -> None:
     writer = df.write.mode("overwrite").format(fmt)
     (writer.partitionBy(partition) if partition else writer).save(path)
