@@ -8,9 +8,11 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql.types import IntegerType, StructField, StructType
 
-from ..operators.motifs import triangles
 from ..operators.prepare import normalise_edges
+from ..sources.graphs import copresence_pairs
 from ..sources.shared import shared_dir, written
 from ..sources.tables import table
 
@@ -32,17 +34,20 @@ def _folder(spark: SparkSession, sf_dir: str) -> str:
     return found
 
 
-def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a stream to its end into a Parquet table, or into a memory table where the mode rewrites rows."""
+def drained(stream: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Runs a stream to its end into a Parquet table. Where the mode rewrites rows, each batch writes its own folder: the last one counts (complete), or the last row of each key (update)."""
     spark = stream.sparkSession
     at = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{at}/state").trigger(availableNow=True)
     if mode == "append":
         writer.format("parquet").option("path", f"{at}/out").start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{at}/out")
-    name = f"drained_{uuid.uuid4().hex}"
-    writer.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
+    writer.foreachBatch(lambda batch, i: batch.write.mode("overwrite").parquet(f"{at}/out/batch={i}")).start().awaitTermination()
+    rows = spark.read.schema(StructType([*stream.schema.fields, StructField("batch", IntegerType())])).parquet(f"{at}/out")
+    if mode == "complete":
+        return rows.join(rows.agg(F.max("batch").alias("batch")), "batch").drop("batch")
+    rest = [c for c in stream.columns if c not in keys]
+    return rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("r")).select(*keys, "r.*")
 
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -64,8 +69,21 @@ def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def late_drop(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(start, n) of hours that the watermark has closed: append mode leaves out those still open."""
-    s = event_stream(spark, sf_dir).withWatermark("ts", "2 hours").groupBy(F.window("ts", "1 hour")).count()
+    """(start, n) of one-hour windows that the watermark, two hours behind, has closed.
+
+    Every tenth event of the first half comes a whole stream late, in the last file: by then its window is closed, and the watermark drops it. The last event has a
+    file of its own in between, since a batch judges lateness by the watermark that the batch before it began with.
+    """
+    folder = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    e = table(spark, sf_dir, "events")
+    half = e.agg(F.min("ts").alias("a"), F.max("ts").alias("b")).select("b", (F.unix_seconds(F.col("a").cast("timestamp")) + F.unix_seconds(F.col("b").cast("timestamp"))).alias("s")).first()
+    half, top = half["s"] // 2, half["b"]
+    late = (F.col("event_id") % 10 == 0) & (F.unix_seconds(F.col("ts").cast("timestamp")) < half)
+    e.where(~late & (F.col("ts") < F.lit(top))).coalesce(1).write.mode("append").parquet(folder)
+    e.where(~late & (F.col("ts") == F.lit(top))).coalesce(1).write.mode("append").parquet(folder)
+    e.where(late).coalesce(1).write.mode("append").parquet(folder)
+    s = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(folder).withColumn("ts", F.col("ts").cast("timestamp"))
+    s = s.withWatermark("ts", "2 hours").groupBy(F.window("ts", "1 hour")).count()
     return drained(s).select(F.unix_seconds("window.start").alias("start"), F.col("count").alias("n"))
 
 
@@ -84,38 +102,80 @@ def copresence(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(s).groupBy("u", "v").agg(F.count(F.lit(1)).alias("n"))
 
 
+def new_triangles(old: DataFrame, new: DataFrame) -> DataFrame:
+    """(a, b, c) of triangles with at least one new edge: three new edges, two and an old one, or one and two old ones, each by its own joins from the new edges; old triangles are not listed.
+
+    Triangles are placed by their edges: of the new ones, the least in order starts the joins, so that each comes once.
+    """
+    mark = lambda df, x, y, new_: df.select(F.col("src").alias(x), F.col("dst").alias(y), F.lit(new_).alias(f"n{x}{y}"))
+    # Edges with an end at a new edge close every new triangle; others are not read.
+    ends = new.select(F.explode(F.array("src", "dst")).alias("node")).distinct()
+    near = old.join(ends.withColumnRenamed("node", "src"), "src", "left_semi").unionByName(old.join(ends.withColumnRenamed("node", "dst"), "dst", "left_semi")).distinct()
+    every = lambda x, y: mark(new, x, y, True).unionByName(mark(near, x, y, False))
+    first = mark(new, "a", "b", True).join(every("a", "c"), "a").where("b < c").join(every("b", "c"), ["b", "c"])
+    second = mark(new, "a", "c", True).join(every("a", "b"), "a").where("b < c AND NOT nab").join(every("b", "c"), ["b", "c"])
+    third = mark(new, "b", "c", True).join(every("a", "b"), "b").where("a < b AND NOT nab").join(every("a", "c").where("NOT nac"), ["a", "c"])
+    return first.select("a", "b", "c").unionByName(second.select("a", "b", "c")).unionByName(third.select("a", "b", "c"))
+
+
 def triangle_delta(spark: SparkSession, edges: DataFrame, batches: int = 3) -> DataFrame:
-    """(batch, new): triangles that each batch of new edges closes: all of the grown graph's with at least one new edge, without counting old ones anew."""
-    old, out = None, []
+    """(batch, new): triangles that each batch of a stream of edges closes. foreachBatch joins the batch with the graph so far and then adds it to the graph."""
+    at = f"{shared_dir(spark)}/delta-{uuid.uuid4().hex}"
     for i in range(batches):
-        new = written(edges.where(F.pmod(F.col("src") + F.col("dst"), F.lit(batches)) == i).select("src", "dst"), "new")
-        grown = written(new if old is None else old.unionByName(new), "grown")
-        near = new.select(F.explode(F.array("src", "dst")).alias("node")).distinct()
-        # A new triangle has a new edge, so two of its nodes are ends of new edges: edges that touch none are not read.
-        close = grown.join(near.withColumnRenamed("node", "src"), "src", "left_semi").unionByName(grown.join(near.withColumnRenamed("node", "dst"), "dst", "left_semi")).distinct()
-        mark = new.withColumn("is_new", F.lit(1))
-        t = triangles(close)
-        for a, b in (("a", "b"), ("a", "c"), ("b", "c")):
-            t = t.join(mark.select(F.col("src").alias(a), F.col("dst").alias(b), F.col("is_new").alias(f"n{a}{b}")), [a, b], "left")
-        out.append(t.where("nab = 1 OR nac = 1 OR nbc = 1").agg(F.count(F.lit(1)).alias("new")).select(F.lit(i).alias("batch"), "new"))
-        old = grown
-    done = out[0]
-    for x in out[1:]:
-        done = done.unionByName(x)
-    return done
-
+        edges.where(F.pmod(F.col("src") + F.col("dst"), F.lit(batches)) == i).select("src", "dst").coalesce(1).write.mode("append").parquet(f"{at}/in")
+    schema = "src bigint, dst bigint"
 
-def user_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(user_id, n): events of each user, counted by a stateful operator; the largest count reported is the last."""
-    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+    def merge(batch: DataFrame, i: int) -> None:
+        session = batch.sparkSession
+        # Folders of batches before this one; a batch that runs again after a failure sees and writes the same.
+        new = written(normalise_edges(batch), "new")
+        old = session.read.schema(f"{schema}, batch int").option("basePath", f"{at}/graph").parquet(*[f"{at}/graph/batch={j}" for j in range(i)]).select("src", "dst") if i else session.createDataFrame([], schema)
+        new = written(new.join(old, ["src", "dst"], "left_anti"), "new")
+        new_triangles(old, new).agg(F.count(F.lit(1)).alias("new")).write.mode("overwrite").parquet(f"{at}/out/batch={i}")
+        new.write.mode("overwrite").parquet(f"{at}/graph/batch={i}")
+
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{at}/in")
+    stream.writeStream.foreachBatch(merge).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema("new bigint, batch int").parquet(f"{at}/out").select("batch", "new")
+
+
+class Degrees(StatefulProcessor):
+    """Keeps each user's distinct partners in a map state and gives out the user's degree when it grows."""
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.partners = handle.getMapState("partners", "nbr long", "seen boolean")
+        self.degree = handle.getValueState("degree", "d long")
+
+    def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
+        old = self.degree.get()[0] if self.degree.exists() else 0
+        d = old
+        for frame in rows:
+            for nbr in frame["nbr"].unique().tolist():
+                if not self.partners.containsKey((nbr,)):
+                    self.partners.updateValue((nbr,), (True,))
+                    d += 1
+        if d > old:
+            self.degree.update((d,))
+            yield pd.DataFrame({"user_id": [key[0]], "d": [d]})
+
+    def close(self) -> None:
+        pass
 
-    def count(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        n = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
-        state.update((n,))
-        yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
 
-    s = event_stream(spark, sf_dir).select("user_id", "event_id").groupBy("user_id").applyInPandasWithState(count, "user_id long, n long", "n long", "update", GroupStateTimeout.NoTimeout)
-    return drained(s, "update").groupBy("user_id").agg(F.max("n").alias("n"))
+def user_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(user_id, d): the number of users with whom a user was co-present, kept by a stateful processor over the stream of pairs. State stores are RocksDB's while it runs, as map state asks for."""
+    pairs = table(spark, sf_dir, "events")
+    at = f"{shared_dir(spark)}/pairs-{uuid.uuid4().hex}"
+    copresence_pairs(pairs).select(F.explode(F.array(F.struct(F.col("u").alias("user_id"), F.col("v").alias("nbr")), F.struct(F.col("v").alias("user_id"), F.col("u").alias("nbr")))).alias("p")).select("p.*").repartition(4).write.parquet(at)
+    key, store = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, store)
+    try:
+        s = spark.readStream.schema("user_id long, nbr long").option("maxFilesPerTrigger", 2).parquet(at)
+        s = s.groupBy("user_id").transformWithStateInPandas(Degrees(), "user_id long, d long", "Update", "none")
+        return drained(s, "update", ("user_id",))
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
 
 
 def incremental_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
