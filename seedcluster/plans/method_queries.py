@@ -45,6 +45,10 @@ def denominator_modes(spark, sf_dir):
 add("denominator_modes", _PHI12 + f" SELECT seed, ball_no, trial, {_RATIO.replace('phi', 'assumed')}, CASE WHEN least(vol, 2 * total - vol) > 0 THEN cut / CAST(least(vol, 2 * total - vol) AS DOUBLE) END AS exact FROM model_phi, total")(denominator_modes)
 add("local_clusters_assumed")(lambda s, d: A.local_motif_clusters(G.graph(s, d), golden(s), denominator="assumed").scores)
 
+# The main configuration over as many seeds as the experiments take, beside the baseline over the same.
+add("local_clusters_50_seeds")(lambda s, d: A.local_motif_clusters(G.graph(s, d), _seeds(s, d, "affinity", 50), denominator="assumed").scores)
+add("pagerank_sweep_50_seeds")(lambda s, d: A.pagerank_sweep(G.graph(s, d), _seeds(s, d, "affinity", 50)).scores)
+
 # The four equivalences, each with its own columns; volumes of the rest too, as phi with a complement needs them.
 _DEF = """, tc AS (SELECT s.seed, s.ball_no, s.trial, t.a, t.b, t.c, count(*) AS inside FROM tri t JOIN sides s ON s.node IN (t.a, t.b, t.c) GROUP BY ALL),
  gd AS (SELECT seed, ball_no, trial, count(*) FILTER (inside < 3) AS motif_cut, CAST(sum(inside) AS BIGINT) AS motif_vol FROM tc GROUP BY ALL)"""

@@ -17,10 +17,11 @@ SUPPLIER_SHIFT = 1 << 30
 
 
 def cells(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(node, cell): nation; nation and segment from 500 customers on; those and a band of balance from 5000 on."""
+    """(node, cell): nation; nation and segment from 500 customers on; those and a band of balance from 5000 on, ten times narrower for each ten times 50,000 customers, so that cells stay small."""
     c = table(spark, sf_dir, "customer").where("c_custkey IS NOT NULL")
     n = c.agg(F.count(F.lit(1)).alias("n"))
-    nation, segment, band = F.col("c_nationkey").cast("string"), F.col("c_mktsegment"), F.floor(F.col("c_acctbal") / 1000).cast("string")
+    width = F.when(F.col("n") < 50_000, 1000).otherwise(F.lit(1000) / F.pow(F.lit(10), F.floor(F.log10(F.col("n") / 5000))))
+    nation, segment, band = F.col("c_nationkey").cast("string"), F.col("c_mktsegment"), F.floor(F.col("c_acctbal") / width).cast("bigint").cast("string")
     cell = F.when(F.col("n") < 500, nation).when(F.col("n") < 5000, F.concat_ws("|", nation, segment)).otherwise(F.concat_ws("|", nation, segment, band))
     return c.crossJoin(n).select(F.col("c_custkey").alias("node"), cell.alias("cell"))
 
@@ -68,7 +69,11 @@ def copurchase2(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def nearest(vectors: DataFrame, k: int = 8, block: int = 2048) -> DataFrame:
-    """(a, b, rank): the k nearest of each vector by cosine in double precision, ties by id. Blocks of vectors meet pairwise as matrices; a block pair keeps k for each row."""
+    """(a, b, rank): the k nearest of each vector by cosine in double precision, ties by id. Vectors that are null or zero or hold a null have none.
+
+    The exact way, whose work grows with the square of the vectors: blocks meet pairwise as matrices; a block pair keeps k for each row.
+    """
+    vectors = vectors.where("vec_id IS NOT NULL AND embedding IS NOT NULL AND NOT exists(embedding, x -> x IS NULL OR isnan(x)) AND exists(embedding, x -> x <> 0)")
     n = vectors.count()
     blocks = max(1, -(-n // block))
     v = vectors.select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"), F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int").alias("own"))
@@ -167,9 +172,17 @@ def graph(spark: SparkSession, sf_dir: str, name: str = "affinity") -> MotifGrap
     return _KEPT[key]
 
 
+def release(spark: SparkSession) -> None:
+    """Lets go of the graphs held for this session."""
+    for key in [k for k in _KEPT if k[0] == spark.sparkContext.applicationId]:
+        g = _KEPT.pop(key)
+        g.edges.unpersist()
+        g.adj.unpersist()
+
+
 _CELLS = """cells AS (SELECT c_custkey AS node, CASE WHEN (SELECT count(*) FROM customer) < 500 THEN CAST(c_nationkey AS VARCHAR)
  WHEN (SELECT count(*) FROM customer) < 5000 THEN CAST(c_nationkey AS VARCHAR) || '|' || c_mktsegment
- ELSE CAST(c_nationkey AS VARCHAR) || '|' || c_mktsegment || '|' || CAST(CAST(floor(c_acctbal / 1000) AS BIGINT) AS VARCHAR) END AS cell FROM customer)"""
+ ELSE CAST(c_nationkey AS VARCHAR) || '|' || c_mktsegment || '|' || CAST(CAST(floor(c_acctbal / CASE WHEN (SELECT count(*) FROM customer) < 50000 THEN 1000 ELSE 1000 / pow(10, floor(log10((SELECT count(*) FROM customer) / 5000))) END) AS BIGINT) AS VARCHAR) END AS cell FROM customer)"""
 _CELL_EDGES = "cell_edges AS (SELECT a.node AS src, b.node AS dst FROM cells a JOIN cells b ON a.cell = b.cell AND a.node < b.node)"
 _SALES = "sales AS (SELECT DISTINCT o_custkey AS c, l_partkey AS p, CAST(o_orderdate AS DATE) AS d FROM orders JOIN lineitem ON o_orderkey = l_orderkey)"
 _OP = "op AS (SELECT DISTINCT l_orderkey AS o, l_partkey AS p FROM lineitem)"
