@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 import os
+import re
 import sys
 import tempfile
 import uuid
@@ -40,22 +41,37 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir, which all executors see; in tests, where it is unset, one of our own."""
+    """The folder in spark.checkpoint.dir, which all executors see; one of our own only where that is unset and all runs in one process, as in tests."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not re.fullmatch(r"local(\[[^]]*\])?", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors see")
         found = getattr(spark, "_seedcluster_shared", None) or tempfile.mkdtemp(prefix="seedcluster-")
         spark._seedcluster_shared = found
     return found.rstrip("/")
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
-    """df, written as Parquet in the shared folder and read again, so that lineage ends there."""
+    """df, written as Parquet in the shared folder and read again, so that lineage ends there. The table stays for clean() of the sources to delete."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    spark.__dict__.setdefault("_seedcluster_tables", []).append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def with_least(rows: DataFrame, keys: list[str], value: str) -> DataFrame:
+    """rows with a column `least`: the smallest value among rows of the same keys, where one key may hold a great share of all rows.
+
+    Each key's rows are dealt to as many parts as there are shuffle partitions. Parts have their own least, a row a part; those meet by key, of which no more than
+    the parts come together; and rows meet the answer by key and part. No task gets a key's rows.
+    """
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = rows.withColumn("_part", F.pmod(F.xxhash64(F.lit(17), value), F.lit(parts)))
+    own = dealt.groupBy(*keys, "_part").agg(F.min(value).alias("_own"))
+    return dealt.join(own.join(own.groupBy(*keys).agg(F.min("_own").alias("least")), keys).select(*keys, "_part", "least"), [*keys, "_part"]).drop("_part")
+
+
 def size_bytes(df: DataFrame) -> int:
     """Catalyst's estimate for what df reads: for scans, the bytes of their files, and nothing runs. Where Catalyst knows no size, a kilobyte a row."""
     leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()

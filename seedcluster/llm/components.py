@@ -5,29 +5,28 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import with_least, written
 
 
 def _large(edges: DataFrame) -> DataFrame:
     """Every neighbour above u goes to the smallest of u and its neighbours."""
     both = edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-    return both.join(least, "u").where("v > u AND v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+    m = F.least("u", "least")
+    return with_least(both, ["u"], "v").where((F.col("v") > F.col("u")) & (F.col("v") != m)).select(F.col("v").alias("u"), m.alias("v")).distinct()
 
 
 def _small(edges: DataFrame) -> DataFrame:
     """u and its smaller neighbours go to the smallest of them. Edges come as u > v."""
-    least = edges.groupBy("u").agg(F.min("v").alias("m"))
-    down = edges.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-    return down.unionByName(least.select("u", F.col("m").alias("v"))).distinct()
+    near = with_least(edges, ["u"], "v")
+    down = near.where("v <> least").select(F.col("v").alias("u"), F.col("least").alias("v"))
+    return down.unionByName(near.select("u", F.col("least").alias("v"))).distinct()
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """edges (u, v BIGINT, any order, repeats and loops allowed) -> (node, component), component the smallest node reachable.
 
     Nodes without an edge to another node do not appear. Each round ends in a written table, so a lost
-    executor costs one round; the driver sees only a count and a sum. The least neighbour of a node is found by a
-    partial aggregate, and rows of a hub meet it in a plain equi-join that AQE may split.
+    executor costs one round; the driver sees only a count and a sum. The rows of a hub are dealt to parts, so that no task gathers them.
     """
     now = written(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "cc")
     seen = None

@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BASE, CODES, LOWER, chunks, mix64, parts_for, ready, spans_hash, utf8, word_spans, written
+from .common import BASE, CODES, LOWER, chunks, mix64, parts_for, ready, spans_hash, utf8, with_least, word_spans, written
 from .components import components
 
 BANDS, ROWS = 32, 4
@@ -249,9 +249,8 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     sigs = written(signatures(docs, width, n_hashes), "sigs")
     full = sigs.where("n_shingles > 0 AND doc_id IS NOT NULL")
-    classes = full.groupBy("same_a", "same_b", "n_shingles").agg(F.min("doc_id").alias("rep"))
-    member = full.select("doc_id", "same_a", "same_b", "n_shingles").join(classes, ["same_a", "same_b", "n_shingles"]).select("doc_id", "rep")
-    heads = full.join(classes.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi").select("doc_id", "sig").dropDuplicates(["doc_id"])
+    member = written(with_least(full.select("doc_id", "same_a", "same_b", "n_shingles"), ["same_a", "same_b", "n_shingles"], "doc_id").select("doc_id", F.col("least").alias("rep")), "member")
+    heads = full.join(member.where("doc_id = rep").select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "sig").dropDuplicates(["doc_id"])
 
     def brief(batches):
         for batch in batches:
