@@ -22,6 +22,8 @@ from .tokens import code_points, encoder
 
 TERMINALS = 1 << 16
 CELL_BITS = 18
+#: Shards whose sizes are summed up in one task.
+RUN = 4096
 FIELDS = "shard long, n_ids long, doc_ids binary, doc_tokens binary, rules binary, lengths binary, sequence binary"
 
 
@@ -52,6 +54,25 @@ class Grammar:
                 to += size
         return flat, first
 
+    def _stretch(self, symbols: np.ndarray, skip: int, length: int) -> np.ndarray:
+        """ids of a few symbols, each round one level down, with only the rules that they reach; symbols that lie wholly before or behind the stretch go at once."""
+        while True:
+            rule = symbols - TERMINALS
+            n = np.where(rule < 0, 1, self.lengths[np.maximum(rule, 0)] if len(self.lengths) else 1)
+            ends = np.cumsum(n)
+            a, b = np.searchsorted(ends, skip, "right"), np.searchsorted(ends, skip + length - 1, "right") + 1
+            skip -= int(ends[a] - n[a])
+            symbols, rule = symbols[a:b], rule[a:b]
+            down = rule >= 0
+            if not down.any():
+                return symbols[skip : skip + length].astype(np.uint32)
+            pair = np.zeros((len(symbols), 2), np.int64)
+            pair[:, 0] = symbols
+            pair[down] = self.rules[rule[down]]
+            keep = np.ones((len(symbols), 2), bool)
+            keep[~down, 1] = False
+            symbols = pair[keep]
+
     def _rounds(self) -> Iterator[tuple[int, int]]:
         """Runs of rules that refer to symbols before the run only."""
         a = 0
@@ -75,8 +96,10 @@ class Grammar:
         if start >= stop:
             return np.zeros(0, np.uint32)
         a, b = np.searchsorted(ends, start, "right"), np.searchsorted(ends, stop - 1, "right") + 1
-        flat, first = self._expansions()
         s, n = self.sequence[a:b].astype(np.int64), size[a:b]
+        if b - a < len(self.sequence):
+            return self._stretch(s, start - int(ends[a] - size[a]), stop - start)
+        flat, first = self._expansions()
         flat = np.concatenate([flat, s[s < TERMINALS].astype(np.uint32)])
         source = np.empty(len(s), np.int64)
         source[s >= TERMINALS] = first[s[s >= TERMINALS] - TERMINALS]
@@ -92,23 +115,25 @@ def _cells(pairs: np.ndarray) -> np.ndarray:
     return (pairs * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - CELL_BITS)).astype(np.int64)
 
 
-def compress(ids: np.ndarray, rounds: int = 6, least: int = 6, per_round: int = 4096) -> Grammar:
-    """Ends after `rounds`, or when no pair occurs `least` times."""
+def compress(ids: np.ndarray, least: int = 6, per_round: int = 4096) -> Grammar:
+    """Ends when no pair occurs `least` times. A round replaces up to per_round pairs at once, the most frequent of those in its cells, where one at a time would be the textbook way."""
     seq = ids.astype(np.uint32)
     rules, lengths = np.zeros((0, 2), np.uint32), np.zeros(0, np.int64)
-    for _ in range(rounds):
-        if len(seq) < 2:
-            break
+    while len(seq) > 1:
         key = seq[:-1].astype(np.uint64) << np.uint64(32) | seq[1:]
         cell = _cells(key)
         heat = np.bincount(cell, minlength=1 << CELL_BITS)
-        bound = max(least, int(np.partition(heat, -per_round)[-per_round]))
+        bound = max(least, int(np.partition(heat, -per_round)[-per_round])) if per_round < len(heat) else least
         at = np.flatnonzero((heat >= bound)[cell])
         pairs, count = np.unique(key[at], return_counts=True)
         good = count >= least
         pairs, count = pairs[good], count[good]
         if not len(pairs):
-            break
+            if bound == least:
+                break
+            # The hottest cells hold no frequent pair; a cell of pairs below the bound may.
+            per_round = 1 << CELL_BITS
+            continue
         if len(pairs) > per_round:
             best = np.argsort(-count, kind="stable")[:per_round]
             pairs, count = pairs[best], count[best]
@@ -134,10 +159,11 @@ def compress(ids: np.ndarray, rounds: int = 6, least: int = 6, per_round: int =
     return Grammar(rules, lengths, seq)
 
 
-def write_shards(docs: DataFrame, path: str, end_id: int = 2, rounds: int = 6, doc_id: str = "doc_id", text: str = "text", shard_bytes: int = 4 << 20) -> DataFrame:
+def write_shards(docs: DataFrame, path: str, end_id: int = 2, doc_id: str = "doc_id", text: str = "text", shard_bytes: int = 4 << 20) -> DataFrame:
     """Encodes each text, appends end_id, and writes one record per shard of documents; returns the table as read back.
 
-    Shards are runs of doc_id between quantiles of that column alone, so the texts move once.
+    Shards are runs of doc_id between quantiles of that column alone, so the texts move once; the bounds, a number a shard, pass through the driver.
+    Rows of one id are ordered by text.
     """
     ready(docs.sparkSession)
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
@@ -150,7 +176,7 @@ def write_shards(docs: DataFrame, path: str, end_id: int = 2, rounds: int = 6, d
 
     def shard(group: pa.Table) -> pa.Table:
         e = encoder("tokenizers", path)
-        group = group.sort_by("doc_id")
+        group = group.sort_by([("doc_id", "ascending"), ("text", "ascending")])
         ids = []
         counts = []
         for i in range(0, group.num_rows, 500):
@@ -159,7 +185,7 @@ def write_shards(docs: DataFrame, path: str, end_id: int = 2, rounds: int = 6, d
             ids.append(np.insert(got.astype(np.uint32), at, end_id))
             counts.append(n + 1)
         ids, counts = np.concatenate(ids), np.concatenate(counts)
-        g = compress(ids, rounds)
+        g = compress(ids)
         null = [group.column("shard")[0].as_py(), len(ids), group.column("doc_id").fill_null(-(1 << 63)).to_numpy().astype("<i8").tobytes(), counts.astype("<u4").tobytes(), g.rules.astype("<u4").tobytes(), g.lengths.astype("<u4").tobytes(), _packed(g.sequence)]
         return pa.table([pa.array([x], t) for x, t in zip(null, [pa.int64()] * 2 + [pa.binary()] * 5, strict=True)], ["shard", "n_ids", "doc_ids", "doc_tokens", "rules", "lengths", "sequence"])
 
@@ -178,7 +204,12 @@ def grammar(rules: bytes, lengths: bytes, sequence: bytes) -> Grammar:
 
 def read_documents(shards: DataFrame) -> DataFrame:
     """(doc_id, start, n_tokens, ids_crc32) of each document, from the written records alone."""
-    before = shards.select("shard", (F.sum("n_ids").over(Window.orderBy("shard")) - F.col("n_ids")).alias("before"))
+    # Sums of runs of shards first, so that no task sees all shards' sizes.
+    sizes = shards.select("shard", "n_ids", F.floor(F.col("shard") / RUN).alias("run"))
+    runs = sizes.groupBy("run").agg(F.sum("n_ids").alias("all"))
+    ahead = runs.select("run", (F.sum("all").over(Window.orderBy("run")) - F.col("all")).alias("ahead"))
+    inside = F.sum("n_ids").over(Window.partitionBy("run").orderBy("shard")) - F.col("n_ids")
+    before = sizes.withColumn("inside", inside).join(ahead, "run").select("shard", (F.col("ahead") + F.col("inside")).alias("before"))
 
     def read(batches):
         for batch in batches:
