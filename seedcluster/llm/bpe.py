@@ -1,8 +1,9 @@
 """Byte-level BPE encoding and decoding of whole texts.
 
-Short texts are cut into pre-tokens a batch at a time. A text of more than `long_chars` characters becomes overlapping chunks,
-one row each, cut in parallel on any executor; the chunks of a text meet again, are stitched where their boundaries
-resynchronise, and the pieces are encoded. Null text counts as empty; repeated rows give a row each; an empty table no rows.
+Every text becomes overlapping chunks, which are cut into pre-tokens in parallel and stitched where their boundaries resynchronise; then the
+pieces are encoded. The chunks of a batch's texts are cut side by side as rows of one array. A text of more than `long_chars` characters is
+besides dealt to executors in parts, which are chunks themselves, and meets again to be stitched. Null text counts as empty; repeated rows give a row
+each; an empty table no rows.
 """
 
 from __future__ import annotations
@@ -15,11 +16,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ready
-from .tokens import code_points, cut, encoder, stitch
+from .common import chunks, ready
+from .tokens import code_points, cut, encoder, rows_in_chunks, stitch
 
+#: Characters of a chunk and of what it shares with the next; of a text that is dealt to executors, and of its parts and their overlap.
+CHUNK, SHARED = 1024, 128
 LONG_CHARS, CHUNK_CHARS, OVERLAP = 1 << 16, 1 << 15, 1 << 9
-FIELDS = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
+FIELDS = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, n_chunks long"
 
 
 class Joined:
@@ -44,10 +47,6 @@ def _tables(path: str):
     return e
 
 
-def encode_rows(e, points: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    return e.encode(points, offsets)
-
-
 def decode(ids: np.ndarray, path: str) -> bytes:
     """The raw bytes of the ids' tokens, one after the other."""
     return _tables(path).raw(np.asarray(ids, np.int64))[0].tobytes()
@@ -72,13 +71,13 @@ def _digests(e, ids: np.ndarray, counts: np.ndarray) -> tuple[list[int], list[st
     return n, a, b
 
 
-def _out(ids: pa.Array, digests) -> pa.RecordBatch:
+def _out(ids: pa.Array, digests, chunk_counts) -> pa.RecordBatch:
     n, a, b = digests
-    return pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+    return pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string()), pa.array(chunk_counts, pa.int64())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "n_chunks"])
 
 
-def encode_and_decode(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text", long_chars: int = LONG_CHARS, chunk_chars: int = CHUNK_CHARS, overlap: int = OVERLAP) -> DataFrame:
-    """(doc_id, n_tokens, ids_sha256, decoded_sha256): digests of each text's ids and of the bytes they decode to."""
+def encode_and_decode(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text", long_chars: int = LONG_CHARS, chunk_chars: int = CHUNK_CHARS, overlap: int = OVERLAP, chunk: int = CHUNK, shared: int = SHARED) -> DataFrame:
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256, n_chunks): digests of each text's ids and of the bytes they decode to, and the chunks it was cut in."""
     ready(docs.sparkSession)
 
     def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,8 +85,20 @@ def encode_and_decode(docs: DataFrame, path: str, doc_id: str = "doc_id", text:
         for batch in batches:
             for i in range(0, batch.num_rows, 500):
                 part = batch.slice(i, 500)
-                ids, counts = e.encode(*code_points(part.column(1)))
-                yield _out(part.column(0), _digests(e, ids, counts))
+                points, offsets = code_points(part.column(1))
+                for r, to in chunks(np.diff(offsets), 500_000):
+                    own, at = points[offsets[r] : offsets[to]], offsets[r : to + 1] - offsets[r]
+                    starts, n = rows_in_chunks(own, at, e.table, chunk, shared)
+                    ids, counts = e.encode_cut(own, at, starts)
+                    yield _out(part.column(0).slice(r, to - r), _digests(e, ids, counts), n)
+
+    def parted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                points, _ = code_points(batch.column(2).slice(i, 1))
+                for no, a in enumerate(range(0, len(points), chunk_chars)):
+                    piece = points[a : a + chunk_chars + overlap].tobytes().decode("utf-32-le")
+                    yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, 1), batch.column(1).slice(i, 1), pa.array([no], pa.int32()), pa.array([a + chunk_chars + overlap >= len(points)]), pa.array([piece])], ["doc_id", "same", "no", "last", "piece"])
 
     def boundaries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = _tables(path).table
@@ -109,13 +120,12 @@ def encode_and_decode(docs: DataFrame, path: str, doc_id: str = "doc_id", text:
         starts = stitch(points, cuts, e.table)
         ids, counts = e.pieces(points, starts)
         n, a, b = _digests(e, ids, np.array([counts]))
-        return pa.Table.from_batches([_out(group.column("doc_id").slice(0, 1).combine_chunks(), (n, a, b))] * copies)
+        return pa.Table.from_batches([_out(group.column("doc_id").slice(0, 1).combine_chunks(), (n, a, b), [len(rows)])] * copies)
 
     docs = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     size = F.length("text")
     short = docs.where(size <= long_chars).mapInArrow(whole, FIELDS)
-    chunk = F.explode(F.sequence(F.lit(0), F.ceil(size / chunk_chars).cast("int") - 1)).alias("no")
-    long = docs.where(size > long_chars).select("doc_id", F.xxhash64("text").alias("same"), chunk, size.alias("size"), "text")
-    long = long.select("doc_id", "same", "no", ((F.col("no") + 1) * chunk_chars + overlap >= F.col("size")).alias("last"), F.expr(f"substring(text, no * {chunk_chars} + 1, {chunk_chars + overlap})").alias("piece"))
-    long = long.repartition("doc_id", "no").mapInArrow(boundaries, "doc_id long, same long, no int, last boolean, piece string, cuts binary")
+    long = docs.where(size > long_chars).select("doc_id", F.xxhash64("text").alias("same"), "text")
+    long = long.mapInArrow(parted, "doc_id long, same long, no int, last boolean, piece string")
+    long = long.repartition("doc_id", "same", "no").mapInArrow(boundaries, "doc_id long, same long, no int, last boolean, piece string, cuts binary")
     return short.unionByName(long.groupBy("doc_id", "same").applyInArrow(stitched, FIELDS))

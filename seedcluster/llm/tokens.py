@@ -86,6 +86,28 @@ def chunked_pretokens(points: np.ndarray, table: np.ndarray, chunk: int = 1 << 2
     return stitch(points, parts, table)
 
 
+def rows_in_chunks(points: np.ndarray, offsets: np.ndarray, table: np.ndarray, chunk: int, overlap: int) -> tuple[np.ndarray, np.ndarray]:
+    """pretokens() of many rows, each by overlapping chunks of its own that are stitched; and how many chunks each row has. All chunks are cut side by side."""
+    size = np.diff(offsets)
+    count = np.maximum(1, -(-size // chunk))
+    row = np.repeat(np.arange(len(size)), count)
+    no = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
+    first = offsets[row] + no * chunk
+    end = np.minimum(first + chunk + overlap, offsets[row + 1])
+    at = np.concatenate([[0], np.cumsum(end - first)])
+    got = pretokens(points[np.arange(at[-1]) + np.repeat(first - at[:-1], end - first)], at, table)
+    cuts = np.searchsorted(got, at)
+    here = got + np.repeat(first - at[:-1], np.diff(cuts))
+    out = [here[np.repeat(count[row] == 1, np.diff(cuts))]]
+    head = np.cumsum(count) - count
+    settled = np.where(end < offsets[row + 1], 1, 0)  # a pre-token that touches its chunk's end may go on
+    for r in np.flatnonzero(count > 1).tolist():
+        a = int(offsets[r])
+        parts = [((k - head[r]) * chunk, here[cuts[k] : cuts[k + 1] - settled[k]] - first[k]) for k in range(head[r], head[r] + count[r])]
+        out.append(stitch(points[a : offsets[r + 1]], parts, table) + a)
+    return np.sort(np.concatenate(out)), count
+
+
 def cut(piece: np.ndarray, ends: bool, table: np.ndarray) -> np.ndarray:
     """Boundaries in a chunk that its own text settles: a pre-token that touches the chunk's end may go on, unless the text ends."""
     got = pretokens(piece, np.array([0, len(piece)]), table)
@@ -203,6 +225,13 @@ class Encoder:
         at_row = np.concatenate([[0], total])[np.searchsorted(starts, offsets)]
         return out, np.diff(at_row)
 
+    def encode_cut(self, points: np.ndarray, offsets: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of rows whose pre-tokens are known, and how many each row has."""
+        if not len(points):
+            return np.zeros(0, np.uint16), np.zeros(len(offsets) - 1, np.int64)
+        out, total = self._ids(points, starts)
+        return out, np.diff(np.concatenate([[0], total])[np.searchsorted(starts, offsets)])
+
     def pieces(self, points: np.ndarray, starts: np.ndarray, most: int = 100_000) -> tuple[np.ndarray, int]:
         """ids of one text whose pre-tokens are known, and how many."""
         got = []
