@@ -28,8 +28,9 @@ RAW = ("script", "style", "template", "iframe", "textarea")
 #: Words in the names of elements, classes and ids that tell a block's part.
 MAIN = frozenset("article main content post story entry".split())
 APART = frozenset("head nav menu header footer sidebar aside notice cookie consent banner ad ads advert advertisement sponsor sponsored promo form login subscribe newsletter comment comments reply share social related breadcrumb".split())
+# A tag whose quotes do not close ends at the next '>'.
 TOKEN = re.compile(
-    rf"<!--.*?(?:-->|\Z)|<({'|'.join(RAW)})\b(?:\"[^\"]*\"|'[^']*'|[^>\"'])*(?:>.*?(?:</\1\s*>|\Z)|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|\Z)",
+    rf"<!--.*?(?:-->|\Z)|<({'|'.join(RAW)})\b(?:\"[^\"]*\"|'[^']*'|[^>\"'])*(?:>.*?(?:</\1\s*>|\Z)|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*+)(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)",
     re.S | re.I,
 )
 NAMED = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
@@ -60,7 +61,7 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str, float]]:
             if any(t == "a" for t, _ in stack):
                 linked += len(piece.strip())
         at = m.end()
-        tag = m[3].lower() if m[3] else ""
+        tag, ending, within = (m[3] or m[6] or "").lower(), m[2] or m[5], m[4] or m[7] or ""
         if not tag:
             continue
         if tag == "br":
@@ -69,12 +70,12 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str, float]]:
         if tag not in INLINE:
             close()
             path = None
-        if m[2]:
+        if ending:
             for k in range(len(stack) - 1, -1, -1):
                 if stack[k][0] == tag:
                     del stack[k:]
                     break
-        elif tag not in VOID and not m[4].rstrip().endswith("/"):
+        elif tag not in VOID and not within.rstrip().endswith("/"):
             if tag in ("p", "li", "tr", "td", "th", "option", "dt", "dd") and any(t == tag for t, _ in stack):
                 k = max(i for i, (t, _) in enumerate(stack) if t == tag)
                 if tag == "p" or not any(t in ("ul", "ol", "table", "dl") for t, _ in stack[k:]):
@@ -84,7 +85,7 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str, float]]:
             if tag in INLINE:
                 stack.append((tag, ()))
             else:
-                names = [x for a in NAMED.findall(m[4]) for x in PART.findall("".join(a).lower())] if m[4] else []
+                names = [x for a in NAMED.findall(within) for x in PART.findall("".join(a).lower())] if within else []
                 stack.append((tag, (tag, *(f".{x}" for x in names))))
     text.append(page[at:])
     close()
