@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, embed, html_blocks, merkle, minhash, packing, repair, repeats, toxicity
+from . import bpe, debruijn, embed, html_blocks, merkle, minhash, oracles, packing, repair, repeats, toxicity
 from .common import table
 from .tokens import tokenizer_path
 
@@ -28,7 +28,7 @@ def op4_merkle(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_debruijn(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repeats.without_repeated_words(table(spark, sf_dir, "documents"), width=50)
+    return debruijn.without_repeated_words(table(spark, sf_dir, "documents"), width=50)
 
 
 def op6_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -52,4 +52,9 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_minhash, op2_bpe, op3_toxicity, op4_merkle, op5_debruijn, op6_embeddings, op7_repair, op8_suffixes, op9_packing, op10_html)}
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {
+    "op1_minhash": oracles.near_duplicates(width=4, percent=80),
+    "op5_debruijn": oracles.without_repeated_words(width=50),
+    "op6_embeddings": oracles.near_vectors(cosine=0.95),
+    "op8_suffixes": oracles.without_repeated_bytes(),
+}

@@ -1,4 +1,4 @@
-"""Exact removal of long spans that also stand in an earlier document: of words through a de Bruijn graph, of bytes through suffix blocks.
+"""Exact removal of long spans of bytes that also stand in an earlier document, through suffix blocks; and the exchange of names that the words' way shares.
 
 A window is `width` symbols of one document. A window goes if its content also starts in a document with a smaller id.
 
@@ -7,8 +7,7 @@ A window is `width` symbols of one document. A window goes if its content also s
 2.  Windows with such a name are candidates. A group settles those that it holds twice itself, and packs the others into paths: stretches of
     consecutive candidates with one name, which carry one coordinate. A path goes to the block of its name, so that equal windows meet.
 3.  A block finds equal windows and their smallest document, and answers with coordinates of the windows to go.
-    Words: a window is an edge between two (width - 1)-mers; equal edges are joined by the hash of their words.
-    Bytes: a block's suffixes are sorted by the difference-cover method, see suffix_owners().
+    A block's suffixes are sorted by the difference-cover method, see suffix_owners().
 4.  The answers meet the texts again, and covered symbols go.
 
 A name or window that very many documents share is sent once by each group, with its group's smallest document, so no
@@ -118,12 +117,17 @@ def contents(prefix: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
     return mix64((prefix[at + width] - prefix[at]) * _POWERS[BACK][at])
 
 
+def short(least: np.ndarray, bits: int) -> np.ndarray:
+    """The upper bits of mixed names: a least hash is small, so names as they are would crowd in the lowest ranges."""
+    return mix64(least ^ np.uint64(SHIFT)) >> np.uint64(64 - bits)
+
+
 def names_of(t: Texts, width: int, k: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """The distinct names (their upper bits), ascending, and whether two of the group's ids have it."""
+    """The distinct names, shortened, ascending, and whether two of the group's ids have it."""
     name, doc = [], []
     for a, at, least, _ in named(t, width, k):
         if len(at):
-            got = least[at] >> np.uint64(64 - bits)
+            got = short(least[at], bits)
             # Windows of two documents are never next to each other, for those across the border between do not count.
             new = np.flatnonzero(np.r_[True, (got[1:] != got[:-1]) | (at[1:] != at[:-1] + 1)])
             name.append(got[new])
@@ -196,10 +200,10 @@ def suffix_owners(text: np.ndarray, at: np.ndarray, owner: np.ndarray, width: in
     return out
 
 
-def edge_owners(edge: np.ndarray, owner: np.ndarray) -> np.ndarray:
-    """For each edge the least owner of an equal one."""
-    order = np.argsort(edge)
-    s = edge[order]
+def least_owner(content: np.ndarray, owner: np.ndarray) -> np.ndarray:
+    """For each window the least owner of one of the same content."""
+    order = np.argsort(content)
+    s = content[order]
     head = np.r_[True, s[1:] != s[:-1]]
     out = np.empty_like(owner)
     out[order] = np.minimum.reduceat(owner[order], np.flatnonzero(head))[np.cumsum(head) - 1]
@@ -226,8 +230,76 @@ def _table(rows: list[tuple], names: str) -> pa.Table:
     return pa.table([pa.array(c, kinds[k]) for c, (_, k) in zip(cols, fields, strict=True)], [x for x, _ in fields])
 
 
-def repeated_spans(docs: DataFrame, words: bool, width: int, k: int, finish, fields: str, doc_id: str = "doc_id", text: str = "text", carry: tuple[str, ...] = (), group_bytes: int = 2 << 20) -> DataFrame:
-    """finish(texts, row, start, length) makes a group's rows from the runs of windows to go; columns in `carry` go along."""
+@dataclass
+class Names:
+    """How windows are named, and how names and blocks are dealt."""
+
+    words: bool
+    width: int
+    k: int
+    bits: int
+    low: np.uint64
+    ranges: int
+    blocks: int
+
+    def candidates(self, t: Texts, answers: pa.Table) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+        """(first window, windows whose name more than one document has, their least k-mers, prefix sums) by chunks."""
+        name, _ = names_of(t, self.width, self.k, self.bits)
+        cut = np.searchsorted(name >> self.low, np.arange(self.ranges + 1, dtype=np.uint64))
+        many = np.zeros(len(name), bool)
+        for r, x in zip(answers.column("r").to_pylist(), answers.column("many").to_pylist(), strict=True):
+            a, b = cut[r], cut[r + 1]
+            many[a:b] = np.unpackbits(np.frombuffer(x, np.uint8), count=b - a).astype(bool)
+        shared = name[many]
+        if not len(shared):
+            return
+        for a, at, least, prefix in named(t, self.width, self.k):
+            own = short(least[at], self.bits)
+            head = np.flatnonzero(np.r_[True, own[1:] != own[:-1]]) if len(own) else np.zeros(0, np.int64)
+            hit = shared[np.minimum(np.searchsorted(shared, own[head]), len(shared) - 1)] == own[head]
+            at = at[np.repeat(hit, np.diff(np.r_[head, len(own)]))]
+            if len(at):
+                yield a, at, least[at], prefix
+
+    def block_of(self, key: np.ndarray) -> np.ndarray:
+        return (mix64(key) >> np.uint64(64 - int(math.log2(self.blocks)))).astype(np.int64)
+
+
+@dataclass
+class Exchange:
+    """What all steps share: the texts by group g, and which names more than one document has."""
+
+    held: DataFrame
+    answers: DataFrame
+    names: Names
+    rest: list[tuple[str, str, str]]
+
+    def finished(self, finish, fields: str, answers: DataFrame, spans) -> DataFrame:
+        """The groups' rows: finish(texts, row, start, length) of what spans(texts, answers) takes from a group's answers; carried columns go along."""
+        words, rest = self.names.words, self.rest
+        fields += "".join(f", {a} {kind}" for a, _, kind in rest)
+        schema = to_arrow_schema(StructType.fromDDL(fields))
+
+        def run(group: pa.Table, got: pa.Table) -> pa.Table:
+            if not group.num_rows:
+                return schema.empty_table()
+            t = texts(group, words)
+            out = finish(t, *spans(t, got))
+            group = ordered(group)
+            for a, _, _ in rest:
+                out = out.append_column(a, group.column(a))
+            return out
+
+        return self.held.groupBy("g").cogroup(answers.groupBy("g")).applyInArrow(run, fields).withColumnsRenamed({a: c for a, c, _ in rest})
+
+
+def joined(column: pa.ChunkedArray, kind: str) -> np.ndarray:
+    """The numbers of a column of packed arrays, end to end."""
+    return np.concatenate([np.zeros(0, kind), *(np.frombuffer(x, kind) for x in column.to_pylist())])
+
+
+def exchange(docs: DataFrame, words: bool, width: int, k: int, doc_id: str = "doc_id", text: str = "text", carry: tuple[str, ...] = (), group_bytes: int = 2 << 20) -> Exchange:
+    """Deals texts to groups and finds the names that more than one document has."""
     ready(docs.sparkSession)
     total = size_bytes(docs)
     groups = parts_for(docs, group_bytes)
@@ -258,102 +330,79 @@ def repeated_spans(docs: DataFrame, words: bool, width: int, k: int, finish, fie
         # A name flagged by one group only is repeated inside it.
         return _table([(g, r, np.packbits(many[a:b]).tobytes()) for g, a, b in zip(group.column("g").to_pylist(), at, at[1:], strict=False)], "g long, r long, many binary")
 
+    names = held.groupBy("g").applyInArrow(sent_names, "r long, g long, names binary, many binary")
+    answers = names.groupBy("r").applyInArrow(answered, "g long, r long, many binary")
+    return Exchange(held, answers, Names(words, width, k, bits, low, ranges, blocks), rest)
+
+
+def repeated_byte_spans(docs: DataFrame, width: int, k: int, finish, fields: str, **names) -> DataFrame:
+    """finish(texts, row, start, length) makes a group's rows from the runs of windows to go."""
+    x = exchange(docs, False, width, k, **names)
+    plan = x.names
+
     def sent_paths(group: pa.Table, answers: pa.Table) -> pa.Table:
         if not group.num_rows:
             return _table([], SENT)
-        g, t = group.column("g")[0].as_py(), texts(group, words)
-        name, _ = names_of(t, width, k, bits)
-        cut = np.searchsorted(name >> low, np.arange(ranges + 1, dtype=np.uint64))
-        many = np.zeros(len(name), bool)
-        for r, x in zip(answers.column("r").to_pylist(), answers.column("many").to_pylist(), strict=True):
-            a, b = cut[r], cut[r + 1]
-            many[a:b] = np.unpackbits(np.frombuffer(x, np.uint8), count=b - a).astype(bool)
-        shared = name[many]
-        if not len(shared):
-            return _table([], SENT)
+        g, t = group.column("g")[0].as_py(), texts(group, False)
         pos, key, content = [], [], []
-        for a, at, least, prefix in named(t, width, k):
-            own = least[at] >> np.uint64(64 - bits)
-            head = np.flatnonzero(np.r_[True, own[1:] != own[:-1]]) if len(own) else np.zeros(0, np.int64)
-            hit = shared[np.minimum(np.searchsorted(shared, own[head]), len(shared) - 1)] == own[head]
-            at = at[np.repeat(hit, np.diff(np.r_[head, len(own)]))]
-            if len(at):
-                pos.append(at + a)
-                key.append(least[at])
-                content.append(contents(prefix, at, width))
+        for a, at, least, prefix in plan.candidates(t, answers):
+            pos.append(at + a)
+            key.append(least)
+            content.append(contents(prefix, at, width))
         if not pos:
             return _table([], SENT)
         pos, key, content = np.concatenate(pos), np.concatenate(key), np.concatenate(content)
         row = np.searchsorted(t.at, pos, "right") - 1
         doc = t.ids[row]
-        gone = edge_owners(content, doc) < doc
+        gone = least_owner(content, doc) < doc
         out = []
         if gone.any():
             first, length = runs(pos[gone], row[gone])
             out.append((-1 - g, g, 1, row[gone][first].astype("<i4").tobytes(), (pos - t.at[row])[gone][first].astype("<i8").tobytes(), length.astype("<i4").tobytes(), b""))
         left = np.flatnonzero(~gone)
         if len(left):
-            pos, key, content, row = pos[left], key[left], content[left], row[left]
+            pos, key, row = pos[left], key[left], row[left]
             first, length = runs(pos, key)
-            block = (mix64(key[first]) >> np.uint64(64 - int(math.log2(blocks)))).astype(np.int64)
+            block = plan.block_of(key[first])
             order = np.argsort(block, kind="stable")
-            cut = np.searchsorted(block[order], np.arange(blocks + 1))
+            cut = np.searchsorted(block[order], np.arange(plan.blocks + 1))
             for b in np.unique(block).tolist():
                 use = order[cut[b] : cut[b + 1]]
                 f, n = first[use], length[use]
-                if words:
-                    body = content[np.repeat(f - np.cumsum(n) + n, n) + np.arange(n.sum())].astype("<u8").tobytes()
-                else:
-                    m = n + width - 1
-                    body = t.raw[np.repeat(pos[f] - np.cumsum(m) + m, m) + np.arange(m.sum())].tobytes()
+                m = n + width - 1
+                body = t.raw[np.repeat(pos[f] - np.cumsum(m) + m, m) + np.arange(m.sum())].tobytes()
                 out.append((b, g, 0, np.stack([row[f], n], 1).astype("<i4").tobytes(), (pos[f] - t.at[row[f]]).astype("<i8").tobytes(), t.ids[row[f]].astype("<i8").tobytes(), body))
         return _table(out, SENT)
 
     def met(group: pa.Table) -> pa.Table:
         rows = group.to_pylist()
         if rows[0]["kind"] == 1:
-            return _table([(x["g"], x["a"], x["b"], x["c"]) for x in rows], ANSWER)
-        head = [np.frombuffer(x["a"], "<i4").reshape(-1, 2) for x in rows]
-        row, n = np.concatenate([x[:, 0] for x in head]), np.concatenate([x[:, 1] for x in head]).astype(np.int64)
-        start, owner = (np.concatenate([np.frombuffer(x[c], "<i8") for x in rows]) for c in "bc")
-        g = np.repeat([x["g"] for x in rows], [len(x) for x in head])
+            return _table([(r["g"], r["a"], r["b"], r["c"]) for r in rows], ANSWER)
+        head = [np.frombuffer(r["a"], "<i4").reshape(-1, 2) for r in rows]
+        row, n = np.concatenate([h[:, 0] for h in head]), np.concatenate([h[:, 1] for h in head]).astype(np.int64)
+        start, owner = (np.concatenate([np.frombuffer(r[c], "<i8") for r in rows]) for c in "bc")
+        g = np.repeat([r["g"] for r in rows], [len(h) for h in head])
         each = np.repeat(np.arange(len(n)), n)
         step = np.arange(len(each)) - np.repeat(np.cumsum(n) - n, n)
         mine = owner[each]
-        body = np.frombuffer(b"".join(x["d"] for x in rows), np.uint8)
-        if words:
-            least = edge_owners(body.view("<u8"), mine)
-        else:
-            m = n + width - 1
-            least = suffix_owners(body, (np.cumsum(m) - m)[each] + step, mine, width)
+        m = n + width - 1
+        least = suffix_owners(np.frombuffer(b"".join(r["d"] for r in rows), np.uint8), (np.cumsum(m) - m)[each] + step, mine, width)
         gone = np.flatnonzero(least < mine)
         if not len(gone):
             return _table([], ANSWER)
         first, length = runs(gone, each[gone])
         path, at = each[gone[first]], start[each[gone[first]]] + step[gone[first]]
         out = []
-        for x in np.unique(g[path]).tolist():
-            use = g[path] == x
-            out.append((x, row[path[use]].astype("<i4").tobytes(), at[use].astype("<i8").tobytes(), length[use].astype("<i4").tobytes()))
+        for i in np.unique(g[path]).tolist():
+            use = g[path] == i
+            out.append((i, row[path[use]].astype("<i4").tobytes(), at[use].astype("<i8").tobytes(), length[use].astype("<i4").tobytes()))
         return _table(out, ANSWER)
 
-    def finished(group: pa.Table, answers: pa.Table) -> pa.Table:
-        if not group.num_rows:
-            return schema.empty_table()
-        row, start, length = (np.concatenate([np.zeros(0, kind), *(np.frombuffer(x, kind) for x in answers.column(c).to_pylist())]) for c, kind in (("row", "<i4"), ("start", "<i8"), ("length", "<i4")))
-        out = finish(texts(group, words), row, start, length)
-        group = ordered(group)
-        for a, _, _ in rest:
-            out = out.append_column(a, group.column(a))
-        return out
+    def spans(t: Texts, answers: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        return joined(answers.column("row"), "<i4"), joined(answers.column("start"), "<i8"), joined(answers.column("length"), "<i4")
 
-    names = held.groupBy("g").applyInArrow(sent_names, "r long, g long, names binary, many binary")
-    answers = names.groupBy("r").applyInArrow(answered, "g long, r long, many binary")
-    paths = held.groupBy("g").cogroup(answers.groupBy("g")).applyInArrow(sent_paths, SENT)
-    gone = paths.groupBy("key").applyInArrow(met, ANSWER)
-    fields += "".join(f", {a} {kind}" for a, _, kind in rest)
-    schema = to_arrow_schema(StructType.fromDDL(fields))
-    return held.groupBy("g").cogroup(gone.groupBy("g")).applyInArrow(finished, fields).withColumnsRenamed({a: c for a, c, _ in rest})
+    paths = x.held.groupBy("g").cogroup(x.answers.groupBy("g")).applyInArrow(sent_paths, SENT)
+    return x.finished(finish, fields, paths.groupBy("key").applyInArrow(met, ANSWER), spans)
 
 
 def _covered(t: Texts, row: np.ndarray, start: np.ndarray, length: np.ndarray, width: int) -> np.ndarray:
@@ -368,30 +417,6 @@ def _ids(t: Texts) -> pa.Array:
     return pa.array(t.ids, mask=t.ids == LOWEST)
 
 
-def without_repeated_words(docs: DataFrame, width: int = 50, k: int = 16, keep_text: bool = False, **names) -> DataFrame:
-    """(doc_id, n_words, n_removed, kept_sha256), and the kept words joined by a blank if asked."""
-    fields = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept string" * keep_text
-
-    def finish(t, row, start, length):
-        cols = [], [], []
-        kept_texts = []
-        gone = _covered(t, row, start, length, width)
-        for i in range(len(t.ids)):
-            words = t.raw[t.offsets[i] : t.offsets[i + 1]].tobytes().split()
-            mask = gone[t.at[i] : t.at[i + 1]]
-            if mask.any():
-                words = [words[j] for j in np.flatnonzero(~mask).tolist()]
-            kept = b" ".join(words)
-            for c, x in zip(cols, (len(mask), int(mask.sum()), hashlib.sha256(kept).hexdigest()), strict=True):
-                c.append(x)
-            if keep_text:
-                kept_texts.append(kept.decode())
-        out = [_ids(t), *(pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.string()), strict=True))]
-        return pa.table(out + [pa.array(kept_texts, pa.string())] * keep_text, ["doc_id", "n_words", "n_removed", "kept_sha256"] + ["kept"] * keep_text)
-
-    return repeated_spans(docs, True, width, k, finish, fields, **names)
-
-
 def without_repeated_bytes(docs: DataFrame, k: int = 20, keep_text: bool = False, **names) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256), and the kept bytes as text if asked (a character cut in two is dropped there)."""
     width = 50
@@ -413,4 +438,4 @@ def without_repeated_bytes(docs: DataFrame, k: int = 20, keep_text: bool = False
         out = [_ids(t), *(pa.array(c, k) for c, k in zip(cols, (*[pa.int64()] * 3, pa.string()), strict=True))]
         return pa.table(out + [pa.array(kept_texts, pa.string())] * keep_text, ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"] + ["kept"] * keep_text)
 
-    return repeated_spans(docs, False, width, k, finish, fields, **names)
+    return repeated_byte_spans(docs, width, k, finish, fields, **names)
