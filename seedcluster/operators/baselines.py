@@ -42,7 +42,11 @@ def appr(w: DataFrame, seeds: DataFrame, walk_continue: float = 0.98, tol: float
 
 
 def sweep(w: DataFrame, scores: DataFrame, total: DataFrame | None = None) -> DataFrame:
-    """(seed, rank, node, cut, vol, phi) of each prefix by score over weighted degree. An edge adds its weight to the cut at its earlier end and takes it back at the later."""
+    """(seed, rank, node, cut, vol, phi) of each prefix by score over weighted degree. An edge adds its weight to the cut at its earlier end and takes it back at the later.
+
+    A window holds the nodes that one seed's walk has scored. Each push of residual r keeps (1 - walk_continue) * r >= (1 - walk_continue) * tol * dw of a mass of 1, so
+    the scored nodes' weighted degrees sum to at most 1 / ((1 - walk_continue) * tol), whatever the graph: 500,000 at the published parameters.
+    """
     dw = weighted_degree(w)
     total = total if total is not None else dw.agg(F.sum("dw").alias("total"))
     order = Window.partitionBy("seed").orderBy(F.desc("score"), "node")

@@ -14,6 +14,7 @@ from ..sources.shared import written
 from .ball import ball_schedule, closed_balls, grow_ball, pad_last_ball
 from .models import choose_model, graph_model, hyper_model, placed_occurrences
 from .motifs import SPECS, ball_occurrences, occurrences
+from .objective import model_conductance
 from .partition import FAR, OUT, partition_models
 from .prepare import MotifGraph
 
@@ -43,7 +44,7 @@ def to_cluster(best: DataFrame) -> DataFrame:
     return best.select("seed", F.explode("members").alias("node")).where("node >= 0")
 
 
-def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle", model: str | None = None, layers: tuple[int, ...] = (1, 2, 3), n_trials: int = 80, search_rounds: int = 10, min_nodes: int = 100, denominator: str = "exact", fixed: bool = False, effort: str = "fast", salt: int = 0, time_budget_s: float = 3600.0, allow_inexact: bool = False) -> Result:
+def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "triangle", model: str | None = None, layers: tuple[int, ...] = (1, 2, 3), n_trials: int = 80, search_rounds: int = 10, min_nodes: int = 100, denominator: str = "exact", fixed: bool = False, effort: str = "fast", salt: int = 0, time_budget_s: float = 3600.0, allow_inexact: bool = False, task_nodes: int = 2_000_000) -> Result:
     """Ball-cut for many seeds in one job.
 
     All balls of a seed are prefixes of one search and share one enumeration. A closed ball ends the search for its seed:
@@ -51,7 +52,7 @@ def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "tria
     for the side of smaller volume; "exact" compares with the graph's motif volume, a number kept with the graph that is computed on first use.
     scores: seed, ball_no, trial, cut, vol, phi, size, status, exact, budget_hit, where status is cut, closed, whole_graph or no_motif,
     `exact` tells whether cut and vol are those of the motif (a graph model of a motif of four or more nodes has none such), and budget_hit
-    whether the time limit, which holds from the call on, ended the seed's trials early.
+    whether the time limit, which holds from the call on, ended the seed's trials early. Graph models of more than task_nodes nodes are split by joins instead of in one task.
     """
     spec, began = SPECS[motif], time.time()
     model = model or choose_model(spec)
@@ -74,12 +75,27 @@ def local_motif_clusters(graph: MotifGraph, seeds: DataFrame, motif: str = "tria
     factor = spec.k - 1 if model == "graph" else 1
     total = graph.motif_volume(motif) * factor if denominator == "exact" else FAR
     nodes = balls.select("seed", "ball_no", "node", F.lit(1).alias("size"), F.lit(0).alias("extra"))
-    groups = balls.select("seed", "ball_no").distinct().count()
+    keys = ["seed", "ball_no"]
+    size = written(balls.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")), "model-sizes")
+    large = size.where(F.col("n") > task_nodes).select(*keys)
+    groups, n_large = size.agg(F.count(F.lit(1)), F.count_if(F.col("n") > task_nodes)).first()
     left = time_budget_s - (time.time() - began)
-    trials = partition_models(built, total, model, n_trials, search_rounds, fixed, effort, salt, left, nodes, groups)
     value = phi(F.col("cut"), F.col("vol"), F.lit(total)) if denominator == "exact" else ratio(F.col("cut"), F.col("vol"))
+    if n_large and model != "graph":
+        raise ValueError(f"{n_large} hypergraph models have more than task_nodes={task_nodes} nodes; the graph model can be split by joins")
+    if n_large:
+        big, rest = built.join(large, keys, "left_semi"), built.join(large, keys, "left_anti")
+        trials = partition_models(rest, total, model, n_trials, search_rounds, fixed, effort, salt, left, nodes.join(large, keys, "left_anti"), groups - n_large)
+        side = written(bisect_distributed(big, balls.join(large, keys, "left_semi"), total, task_nodes, n_trials=n_trials, salt=salt, search_rounds=search_rounds), "side")
+        sums = model_conductance(big, side.withColumn("trial", F.lit(0)))
+        members = side.groupBy(*keys).agg(F.array_sort(F.collect_list("node")).alias("members"))
+        one = sums.join(members, keys).select(*keys, F.lit(0).alias("trial"), F.lit(None).cast("double").alias("eps"), "cut", "vol", "members", F.lit(None).cast("double").alias("seconds"))
+        trials = trials.unionByName(one)
+    else:
+        trials = partition_models(built, total, model, n_trials, search_rounds, fixed, effort, salt, left, nodes, groups)
     trials = written(trials.withColumn("phi", value), "trials")
-    best = best_trial(trials)
+    few = trials.where("eps IS NOT NULL").groupBy(*keys).agg(F.count(F.lit(1)).alias("k")).where(F.col("k") < n_trials).select("seed", F.lit(True).alias("hit")).distinct()
+    best = best_trial(trials).join(few, "seed", "left").withColumn("budget_hit", F.coalesce("hit", F.lit(False)))
     has = occ.groupBy("seed").agg(F.sum("ways").alias("m"), F.sum(F.size("nodes") * F.col("ways")).alias("v"))
     none, zero, no = F.lit(None), F.lit(0).cast("bigint"), F.lit(False)
     exact = F.lit(model == "hyper" or spec.k <= 3)

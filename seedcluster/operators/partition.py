@@ -16,6 +16,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from ..functions.hashing import PRIME, mix_int
 
@@ -348,7 +350,7 @@ def eps_of(seed: int, ball_no: int, trial: int, salt: int, low: float = 0.0, hig
     return low + (high - low) * mix_int(seed * 1009 + ball_no * 131 + trial, 31 + salt) / PRIME
 
 
-SIDES = "seed long, ball_no int, trial int, eps double, cut long, vol long, members array<long>, seconds double, budget_hit boolean"
+SIDES = "seed long, ball_no int, trial int, eps double, cut long, vol long, members array<long>, seconds double"
 
 
 def as_nets(model: DataFrame, kind: str) -> DataFrame:
@@ -357,12 +359,12 @@ def as_nets(model: DataFrame, kind: str) -> DataFrame:
 
 
 def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials: int = 80, search_rounds: int = 10, fixed: bool = False, effort: str = "fast", salt: int = 0, time_budget_s: float = 3600.0, nodes: DataFrame | None = None, groups: int = 0) -> DataFrame:
-    """(seed, ball_no, trial, eps, cut, vol, members, seconds, budget_hit) for every trial; members hold the seed's block, for the best trial of a task only.
+    """(seed, ball_no, trial, eps, cut, vol, members, seconds) for every trial; members hold the seed's block, for the best trial of a task only.
 
     model: graph (u, v, weight) or hypergraph (pins, weight) keyed by seed and ball_no. total: the graph's motif volume in units of the model; FAR
     takes the seed's block for the smaller side. nodes: (seed, ball_no, node, size, extra) of model nodes, for those without nets and for merged ones, whose `extra` volume no net shows.
     The search is for the graph model. Trials of a model are dealt to more tasks, each with a copy of the model, only if there are fewer models
-    (`groups`) than cores. The time limit holds from the call on and is tested between groups of trials; the first group of a task always runs.
+    (`groups`) than cores. The time limit holds from the call on and is tested between groups of trials; the first group of a model always runs, and trials that did not run have no row.
     """
     search_rounds = search_rounds if kind == "graph" else 0
     cores = model.sparkSession.sparkContext.defaultParallelism
@@ -372,7 +374,7 @@ def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials
     if nodes is not None:
         rows = rows.unionByName(nodes.select("seed", "ball_no", F.array("node").alias("pins"), F.col("extra").cast("long").alias("weight"), F.col("size").cast("long").alias("size")))
     rows = rows.withColumn("wave", F.explode(F.sequence(F.lit(0), F.lit(waves - 1))))
-    deadline = time.time() + time_budget_s
+    deadline, none = time.time() + time_budget_s, to_arrow_schema(StructType.fromDDL(SIDES)).empty_table()
 
     def run(group: pa.Table) -> pa.Table:
         seed, ball, wave = (int(group.column(c)[0].as_py()) for c in ("seed", "ball_no", "wave"))
@@ -391,10 +393,12 @@ def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials
         m = model_of(full[sort], weight[sort], n, sizes)
         began, last, sides = time.time(), min((wave + 1) * per, n_trials), []
         for first in range(wave * per, last, GROUP):
-            if sides and time.time() > deadline:
+            if first and time.time() > deadline:
                 break
             eps = np.array([eps_of(seed, ball, t, salt) for t in range(first, min(first + GROUP, last))])
             sides.append((eps, bisect(m, eps, np.random.default_rng([seed, ball, first, salt]), fixed, effort == "strong")))
+        if not sides:
+            return none
         eps, side = np.concatenate([e for e, _ in sides]), np.concatenate([x for _, x in sides])
         if search_rounds:
             coins = [np.random.default_rng([seed, ball, wave * per + i * GROUP, salt, 1]) for i in range(len(sides))]
@@ -404,7 +408,7 @@ def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials
         best = int(np.where(small > 0, cut / np.maximum(small, 1), np.inf).argmin())
         done = len(eps)
         members = [np.sort(ids[side[best]]) if i == best else None for i in range(done)]
-        cols = [np.full(done, seed), np.full(done, ball, np.int32), np.arange(wave * per, wave * per + done, dtype=np.int32), eps, cut, vol, pa.array(members, pa.list_(pa.int64())), np.full(done, (time.time() - began) / done), np.full(done, done < last - wave * per)]
-        return pa.table(cols, ["seed", "ball_no", "trial", "eps", "cut", "vol", "members", "seconds", "budget_hit"])
+        cols = [np.full(done, seed), np.full(done, ball, np.int32), np.arange(wave * per, wave * per + done, dtype=np.int32), eps, cut, vol, pa.array(members, pa.list_(pa.int64())), np.full(done, (time.time() - began) / done)]
+        return pa.table(cols, ["seed", "ball_no", "trial", "eps", "cut", "vol", "members", "seconds"])
 
     return rows.groupBy("seed", "ball_no", "wave").applyInArrow(run, SIDES)
