@@ -27,11 +27,12 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def cut_repeated_spans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Bytes of 50-byte strings that an earlier document has go from the text; n_chars follows."""
+    """Bytes of 50-byte strings that an earlier document has go from the text; n_chars follows. Null texts stay null."""
     ready(spark)
     rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
-    kept = repeats.without_repeated_bytes(docs, keep_text=True, carry=rest)
-    now = {"text": F.col("kept"), "n_chars": F.length("kept").cast("long")}
+    kept = repeats.without_repeated_bytes(docs.withColumn("had_text", F.col("text").isNotNull()), keep_text=True, carry=(*rest, "had_text"))
+    text = F.when(F.col("had_text"), F.col("kept"))
+    now = {"text": text, "n_chars": F.length(text).cast("long")}
     return kept.select([now.get(c, F.col(f"`{c}`")).alias(c) for c in docs.columns])
 
 
