@@ -248,6 +248,58 @@ def ids_of(end):
     return {i: np.array(t.encode(x or "", add_special_tokens=False).ids + [end], "<u4") for i, x in fixture()}
 
 
+def test_embeddings_edge_cases(spark):
+    """Repeated rows are vectors of their own, null ids and odd vectors link with nothing else, clashing columns go, ties at the least id."""
+    rows = [(1, [1.0, 0.0], 7, 8), (1, [1.0, 0.0], 7, 8), (2, [2.0, 0.0], 7, 8), (3, [0.0, 0.0], 7, 8), (4, None, 7, 8), (5, [1.0, None], 7, 8), (6, [float("nan"), 1.0], 7, 8), (9, [1.0, 0.0, 0.0], 7, 8)]
+    got = sorted((x["vec_id"], x["n_links"], x["component_id"], x["kept"]) for x in embed.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>, n long, rep long")).collect())
+    assert got == [(1, 2, 1, True), (1, 2, 1, True), (2, 2, 1, False), *((i, 0, i, True) for i in (3, 4, 5, 6, 9))]
+
+
+def test_hub_of_links(spark):
+    """A star and a chain of stars come together though one node has most links."""
+    pairs = [(0, i) for i in range(1, 400)] + [(399, i) for i in range(1000, 1200)] + [(5000, 5001)]
+    got = {x["node"]: x["component"] for x in components.components(spark.createDataFrame(pairs, "u long, v long")).collect()}
+    assert all(c == 0 for n, c in got.items() if n < 5000) and got[5001] == 5000 and len(got) == 602
+
+
+def test_toxicity_edge_cases(spark):
+    """Null ids, clashing columns, very long and repeated texts are scored each."""
+    r = random.Random(8)
+    rows = [(i, words(r, 20) + (" gremlin" if i % 3 == 0 else ""), 1, 0.5) for i in range(120)]
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(120)], "doc_id long, toxic int")
+    more = [(None, "x", 1, 0.5), (4, "gremlin " * 200_000, 1, 0.5), (4, rows[4][1], 1, 0.5)]
+    df = spark.createDataFrame(rows + more, "doc_id long, text string, label int, score double")
+    model = toxicity.fit(df, labels)
+    got = toxicity.scored(df, model).collect()
+    assert len(got) == 123 and all(0 <= x["score"] <= 1 and x["predicted"] == int(x["score"] >= 0.7) for x in got)
+    kept = toxicity.without_toxic(df, model)
+    assert kept.columns == df.columns and kept.count() == sum(x["predicted"] == 0 for x in got)
+
+
+def test_merkle_against_plain_python(docs):
+    """Likeness to the edited and the next text, from leaves cut and counted without the tree's walk."""
+    from seedcluster.llm.common import CODES, spans_hash, word_spans
+
+    def leaves(t):
+        raw = np.frombuffer(t.encode(), np.uint8)
+        s, e, _ = word_spans(raw, np.array([0, len(raw)]))
+        cuts = sorted({int(x) for x, h in zip(e, spans_hash(CODES[raw], s, e), strict=True) if int(h) % 8 == 0} | {i + 1 for i, c in enumerate(raw) if c == 10} | {len(raw)}) if len(raw) else []
+        return collections.Counter(raw[a:b].tobytes() for a, b in zip([0, *cuts], cuts, strict=False) if b > a)
+
+    def like(a, b):
+        x, y = leaves(a), leaves(b)
+        return 1.0 if a == b else 2 * (x & y).total() / max(x.total() + y.total(), 1)
+
+    texts = [t or "" for _, t in fixture()]
+    got = {x["doc_id"]: x for x in merkle.edited_against_next(docs).collect()}
+    for i, t in enumerate(texts):
+        after = texts[(i + 1) % len(texts)]
+        edit = t[: len(t) - len(t) // 2] + after[: len(t) // 2]
+        assert got[i]["n_chars"] == len(t) and got[i]["edited_sha256"] == hashlib.sha256(edit.encode()).hexdigest()
+        assert abs(got[i]["near_edited"] - like(t, edit)) < 1e-6 and abs(got[i]["near_next"] - like(t, after)) < 1e-6
+        assert (got[i]["fingerprint"] == got[i]["edited_fingerprint"]) == (t == edit)
+
+
 def test_repair(docs):
     shards = repair.write_shards(docs, HF)
     at, want = 0, {}
