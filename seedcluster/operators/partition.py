@@ -22,8 +22,8 @@ from pyspark.sql.types import StructType
 from ..functions.hashing import PRIME, mix_int
 
 OUT = -1
-#: Trials that share a chain of coarser models. Larger than any volume.
-GROUP, FAR = 40, 1 << 62
+#: Trials that share a chain of coarser models. Numbers that the matrices of trials at once may hold. Larger than any volume.
+GROUP, CELLS, FAR = 40, 64_000_000, 1 << 62
 
 
 def runs(first: np.ndarray, count: np.ndarray) -> np.ndarray:
@@ -278,7 +278,7 @@ def repaired(side: np.ndarray) -> np.ndarray:
     return side
 
 
-def bisect(m: Model, eps: np.ndarray, rng: np.random.Generator, fixed: bool = False, strong: bool = False, coarsest: int = 40) -> np.ndarray:
+def bisect(m: Model, eps: np.ndarray, rng: np.random.Generator, fixed: bool = False, strong: bool = False, coarsest: int = 40, offset: int = 0) -> np.ndarray:
     """(trials, n): whether each node is in the seed's block, one trial for each imbalance. Seed and OUT part by repair at the end, or are kept apart as fixed nodes."""
     eps, n_tries = np.atleast_1d(eps), 12 if strong else 4
     trials, total = len(eps), int(m.size.sum())
@@ -288,11 +288,12 @@ def bisect(m: Model, eps: np.ndarray, rng: np.random.Generator, fixed: bool = Fa
         levels.append(step[0])
         labels.append(step[1])
     c = levels[-1]
-    # All of GROUP is drawn, so that the first trials do not depend on the number of others.
+    # All of GROUP is drawn, so that a trial, the offset-th and on, does not depend on which others there are.
     start, noise = rng.integers(0, c.n, (n_tries, GROUP)), rng.random((n_tries, GROUP, c.n))
     start[: n_tries // 2], noise[0] = 0, 0
     start[(start == 1) | fixed] = 0
-    side = grown(c, np.tile(bound, n_tries), start[:, :trials].ravel(), noise[:, :trials].reshape(-1, c.n) * 0.5)
+    own = slice(offset, offset + trials)
+    side = grown(c, np.tile(bound, n_tries), start[:, own].ravel(), noise[:, own].reshape(-1, c.n) * 0.5)
     s = Sides(c, side)
     improve(s, np.tile(bound, n_tries), fixed, 8 if strong else 4)
     poor = ~np.isin(s.held, (0, total)).reshape(n_tries, trials)
@@ -315,21 +316,21 @@ def less(cut, vol, cut2, vol2, total: int) -> np.ndarray:
     return np.where(none_a | none_b, none_a.astype(np.int64) - none_b, np.sign(x - y).astype(np.int64))
 
 
-def search(m: Model, side: np.ndarray, total: int, rounds: int, order: np.random.Generator, coins: list[np.random.Generator] | None = None) -> np.ndarray:
+def search(m: Model, side: np.ndarray, total: int, rounds: int, order: np.random.Generator, coins: list[tuple[np.random.Generator, int, int]] | None = None) -> np.ndarray:
     """Label moves on the objective itself, in a random order that the trials share: a move that lowers it is made, one that leaves it equal by a coin; seed and OUT stay.
 
-    A trial ends after a round without a lower value, or at the cap; the best state seen is returned. coins: a generator for each GROUP of trials.
+    A trial ends after a round without a lower value, or at the cap; the best state seen is returned. coins: for each GROUP of trials a generator, and which of its trials are here.
     """
     one = side.ndim == 1
     s = Sides(m, np.atleast_2d(side))
     cut, vol, kept, going = s.cut.copy(), s.vol.copy(), s.side.copy(), np.ones(len(s.cut), bool)
-    coins = coins or [order] * -(-len(going) // GROUP)
+    coins = coins or [(order, 0, min(GROUP, len(going) - a)) for a in range(0, len(going), GROUP)]
     movable = np.flatnonzero(np.diff(m.at) > 0)
     movable = movable[movable > 1]
     for _ in range(rounds):
         lower = np.zeros(len(going), bool)
         visit = order.permutation(movable).tolist()
-        heads = np.concatenate([c.random((len(movable), GROUP), np.float32) < 0.5 for c in coins], 1)[:, : len(going)]
+        heads = np.concatenate([c.random((len(movable), GROUP), np.float32)[:, a : a + n] < 0.5 for c, a, n in coins], 1)
         for i, v in enumerate(visit):
             c = less(s.cut - s.gain[:, v], s.vol + np.where(s.side[:, v], -m.dw[v], m.dw[v]), s.cut, s.vol, total)
             move = going & ((c < 0) | ((c == 0) & heads[i]))
@@ -358,7 +359,7 @@ def as_nets(model: DataFrame, kind: str) -> DataFrame:
     return model.select("seed", "ball_no", F.array("u", "v").alias("pins"), "weight") if kind == "graph" else model.select("seed", "ball_no", "pins", "weight")
 
 
-def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials: int = 80, search_rounds: int = 10, fixed: bool = False, effort: str = "fast", salt: int = 0, time_budget_s: float = 3600.0, nodes: DataFrame | None = None, groups: int = 0) -> DataFrame:
+def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials: int = 80, search_rounds: int = 10, fixed: bool = False, effort: str = "fast", salt: int = 0, time_budget_s: float = 3600.0, nodes: DataFrame | None = None, groups: int = 0, cells: int = CELLS) -> DataFrame:
     """(seed, ball_no, trial, eps, cut, vol, members, seconds) for every trial; members hold the seed's block, for the best trial of a task only.
 
     model: graph (u, v, weight) or hypergraph (pins, weight) keyed by seed and ball_no. total: the graph's motif volume in units of the model; FAR
@@ -391,18 +392,25 @@ def partition_models(model: DataFrame, total: int, kind: str = "graph", n_trials
         sizes[full[own, 0]] = size[own]
         sort = np.lexsort(full.T[::-1])
         m = model_of(full[sort], weight[sort], n, sizes)
-        began, last, sides = time.time(), min((wave + 1) * per, n_trials), []
-        for first in range(wave * per, last, GROUP):
-            if first and time.time() > deadline:
+        began, last = time.time(), min((wave + 1) * per, n_trials)
+        # Trials at once as memory allows; what a trial gives does not depend on it.
+        at_once = max(1, cells // (n + len(m.weight)))
+        whole = at_once >= last - wave * per
+        batches = [(f, a, min(a + at_once, f + GROUP, last)) for f in range(wave * per, last, GROUP) for a in range(f, min(f + GROUP, last), at_once)]
+        eps_all, sides = [], []
+        coin = lambda f, a, b: (np.random.default_rng([seed, ball, f, salt, 1]), a - f, b - a)
+        for f, a, b in batches:
+            if a and time.time() > deadline:
                 break
-            eps = np.array([eps_of(seed, ball, t, salt) for t in range(first, min(first + GROUP, last))])
-            sides.append((eps, bisect(m, eps, np.random.default_rng([seed, ball, first, salt]), fixed, effort == "strong")))
+            eps_all.append(np.array([eps_of(seed, ball, t, salt) for t in range(a, b)]))
+            sides.append(bisect(m, eps_all[-1], np.random.default_rng([seed, ball, f, salt]), fixed, effort == "strong", offset=a - f))
+            if search_rounds and not whole:
+                sides[-1] = search(m, sides[-1], total, search_rounds, np.random.default_rng([seed, ball, salt]), [coin(f, a, b)])
         if not sides:
             return none
-        eps, side = np.concatenate([e for e, _ in sides]), np.concatenate([x for _, x in sides])
-        if search_rounds:
-            coins = [np.random.default_rng([seed, ball, wave * per + i * GROUP, salt, 1]) for i in range(len(sides))]
-            side = search(m, side, total, search_rounds, np.random.default_rng([seed, ball, salt]), coins)
+        eps, side = np.concatenate(eps_all), np.concatenate(sides)
+        if search_rounds and whole:
+            side = search(m, side, total, search_rounds, np.random.default_rng([seed, ball, salt]), [coin(*x) for x in batches[: len(sides)]])
         cut, vol = m.cut(side), m.volume(side)
         small = np.minimum(vol, total - vol)
         best = int(np.where(small > 0, cut / np.maximum(small, 1), np.inf).argmin())

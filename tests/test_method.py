@@ -146,6 +146,19 @@ def test_isolated_model_nodes_count_for_balance(spark):
             assert len(x["members"]) <= K.max_block(n, x["eps"]) + 1 and n - len(x["members"]) <= K.max_block(n, x["eps"]) + 1
 
 
+def test_trials_do_not_depend_on_batches(spark, sf_dir):
+    """The same trials whether all are held at once or three at a time, and whether there are 50 or 30 of them."""
+    g = graph(spark, sf_dir)
+    ball = B.grow_ball(g, spark.createDataFrame([(7,), (99,)], "seed bigint"), 1)
+    balls = B.ball_schedule(ball, (1,))
+    from seedcluster.operators import models as M
+
+    model = M.graph_model(M.placed_occurrences(E.ball_triangles(g, ball), balls))
+    rows = lambda n, cells=None: {(x["seed"], x["trial"]): (x["eps"], x["cut"], x["vol"]) for x in K.partition_models(model, 2 * g.motif_volume(), n_trials=n, cells=cells or K.CELLS).collect()}
+    many = rows(50)
+    assert rows(50, 300) == many and all(many[k] == v for k, v in rows(30).items()) and len(many) == 100
+
+
 def test_time_limit_over_the_whole_run(spark, sf_dir):
     seeds = spark.createDataFrame([(7,), (99,)], "seed bigint")
     r = A.local_motif_clusters(graph(spark, sf_dir), seeds, layers=(1,), n_trials=4 * K.GROUP, min_nodes=0, time_budget_s=0.0)
