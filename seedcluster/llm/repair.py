@@ -116,24 +116,41 @@ def _cells(pairs: np.ndarray) -> np.ndarray:
 
 
 def compress(ids: np.ndarray, least: int = 6, per_round: int = 4096) -> Grammar:
-    """Ends when no pair occurs `least` times. A round replaces up to per_round pairs at once, the most frequent of those in its cells, where one at a time would be the textbook way."""
+    """Ends when no pair occurs `least` times.
+
+    A round replaces up to per_round pairs at once, the most frequent of those in its cells, where one at a time would be the textbook way. Once a round over
+    the whole sequence has reached pairs of `least`, the next ones look only where it has put new symbols, until nothing is frequent there; a round over the whole comes last.
+    """
     seq = ids.astype(np.uint32)
     rules, lengths = np.zeros((0, 2), np.uint32), np.zeros(0, np.int64)
+    fresh = None
     while len(seq) > 1:
-        key = seq[:-1].astype(np.uint64) << np.uint64(32) | seq[1:]
+        if fresh is None:
+            pos, left, right = None, seq[:-1], seq[1:]
+        else:
+            new = seq >= fresh
+            pos = np.flatnonzero(new[:-1] | new[1:])
+            left, right = seq[pos], seq[pos + 1]
+        key = left.astype(np.uint64) << np.uint64(32) | right
         cell = _cells(key)
         heat = np.bincount(cell, minlength=1 << CELL_BITS)
         bound = max(least, int(np.partition(heat, -per_round)[-per_round])) if per_round < len(heat) else least
-        at = np.flatnonzero((heat >= bound)[cell])
-        pairs, count = np.unique(key[at], return_counts=True)
+        use = np.flatnonzero((heat >= bound)[cell])
+        key, cell = key[use], cell[use]
+        at = use if pos is None else pos[use]
+        pairs, count = np.unique(key, return_counts=True)
         good = count >= least
         pairs, count = pairs[good], count[good]
         if not len(pairs):
+            if fresh is not None:
+                fresh = None
+                continue
             if bound == least:
                 break
             # The hottest cells hold no frequent pair; a cell of pairs below the bound may.
             per_round = 1 << CELL_BITS
             continue
+        fresh = TERMINALS + len(rules) if fresh is not None or bound == least else None
         if len(pairs) > per_round:
             best = np.argsort(-count, kind="stable")[:per_round]
             pairs, count = pairs[best], count[best]
@@ -141,8 +158,8 @@ def compress(ids: np.ndarray, least: int = 6, per_round: int = 4096) -> Grammar:
         slot = np.full(1 << CELL_BITS, -1, np.int32)
         by_count = np.argsort(count, kind="stable")
         slot[_cells(pairs[by_count])] = by_count
-        which = slot[cell[at]].astype(np.int64)
-        hit = (which >= 0) & (pairs[which] == key[at])
+        which = slot[cell].astype(np.int64)
+        hit = (which >= 0) & (pairs[which] == key)
         at, which = at[hit], which[hit]
         head = np.r_[True, np.diff(at) > 1]
         odd = (at - at[np.maximum.accumulate(np.where(head, np.arange(len(at)), 0))]) % 2 == 0
