@@ -72,7 +72,9 @@ def test_four_cliques_need_the_hypergraph(spark):
 
 def test_contraction(spark):
     ball = spark.createDataFrame([(1, 0, n, d) for n, d in ((1, 0), (2, 1), (3, 1))], "seed bigint, ball_no int, node bigint, depth int")
-    occ = spark.createDataFrame([(1, t, 1, 0) for t in ([1, 2, 3], [1, 2, 8], [1, 2, 9], [1, 8, 9])], "seed bigint, nodes array<bigint>, ways bigint, min_depth int")
+    listed = spark.createDataFrame([(t, 1) for t in ([1, 2, 3], [1, 2, 8], [1, 2, 9], [1, 8, 9], [7, 8, 9])], "nodes array<bigint>, ways bigint")
+    occ = E.touching(listed, ball, 3)
+    assert {tuple(r["nodes"]): (r["depths"], r["min_depth"]) for r in occ.collect()} == {(1, 2, 3): ([0, 1, 1], 0), (1, 2, 8): ([0, 1, None], 0), (1, 2, 9): ([0, 1, None], 0), (1, 8, 9): ([0, None, None], 0)}
     placed = placed_occurrences(occ, ball)
     assert {tuple(r["pins"]): r["weight"] for r in hyper_model(placed).collect()} == {(1, 2, 3): 1, (OUT, 1, 2): 2, (OUT, 1): 1}
     assert {(r["u"], r["v"]): r["weight"] for r in graph_model(placed).collect()} == {(1, 2): 3, (1, 3): 1, (2, 3): 1, (OUT, 1): 4, (OUT, 2): 2}
