@@ -94,12 +94,17 @@ def deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(s).select("event_id", "user_id")
 
 
+def pair_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(u, v) as a stream: co-presence pairs by a join of two streams with an interval on time, by equality of type and of ten minutes' bucket; the earlier event is in its bucket and the next."""
+    bucket = lambda ts: F.floor(F.unix_seconds(ts) / 600)
+    a = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", "60 days").withColumn("b", F.explode(F.array(bucket("t0"), bucket("t0") + 1)))
+    b = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("v"), F.col("ts").alias("t1")).withWatermark("t1", "60 days").withColumn("b", bucket("t1"))
+    return a.join(b, F.expr("u <> v AND t1 >= t0 AND t1 < t0 + INTERVAL 10 MINUTES") & (a["event_type"] == b["event_type"]) & (a["b"] == b["b"])).select("u", "v")
+
+
 def copresence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(u, v, n): co-presence pairs by a join of two streams with an interval on time, counted in batch."""
-    a = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", "60 days")
-    b = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("v"), F.col("ts").alias("t1")).withWatermark("t1", "60 days")
-    s = a.join(b, F.expr("u <> v AND t1 >= t0 AND t1 < t0 + INTERVAL 10 MINUTES") & (a["event_type"] == b["event_type"])).select("u", "v")
-    return drained(s).groupBy("u", "v").agg(F.count(F.lit(1)).alias("n"))
+    """(u, v, n): co-presence pairs of the stream, counted in batch."""
+    return drained(pair_stream(spark, sf_dir)).groupBy("u", "v").agg(F.count(F.lit(1)).alias("n"))
 
 
 def new_triangles(old: DataFrame, new: DataFrame) -> DataFrame:
@@ -181,13 +186,10 @@ def user_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
 def incremental_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Co-presence edges merged batch by batch through foreachBatch into a table of pair counts."""
     at = f"{shared_dir(spark)}/pairs-{uuid.uuid4().hex}"
-    a = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", "60 days")
-    b = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("v"), F.col("ts").alias("t1")).withWatermark("t1", "60 days")
-    s = a.join(b, F.expr("u <> v AND t1 >= t0 AND t1 < t0 + INTERVAL 10 MINUTES") & (a["event_type"] == b["event_type"])).select("u", "v")
 
     def merge(batch: DataFrame, i: int) -> None:
         batch.groupBy("u", "v").agg(F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{at}/out/batch={i}")
 
-    s.writeStream.foreachBatch(merge).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
+    pair_stream(spark, sf_dir).writeStream.foreachBatch(merge).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
     pairs = spark.read.schema("u long, v long, n long, batch int").parquet(f"{at}/out").groupBy("u", "v").agg(F.sum("n").alias("n")).where("n >= 2")
     return normalise_edges(pairs, "u", "v")
