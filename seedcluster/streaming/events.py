@@ -145,42 +145,42 @@ def triangle_delta(spark: SparkSession, edges: DataFrame, batches: int = 3) -> D
 
 
 class Degrees(StatefulProcessor):
-    """Keeps each user's distinct partners in a map state and gives out the user's degree when it grows."""
+    """Keeps each user's distinct partners in a list state and gives out the user's degree when it grows."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.partners = handle.getMapState("partners", "nbr long", "seen boolean")
-        self.degree = handle.getValueState("degree", "d long")
+        self.partners = handle.getListState("partners", "nbr long")
 
     def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
-        old = self.degree.get()[0] if self.degree.exists() else 0
-        d = old
-        for frame in rows:
-            for nbr in frame["nbr"].unique().tolist():
-                if not self.partners.containsKey((nbr,)):
-                    self.partners.updateValue((nbr,), (True,))
-                    d += 1
-        if d > old:
-            self.degree.update((d,))
-            yield pd.DataFrame({"user_id": [key[0]], "d": [d]})
+        # One call reads all partners of a user and one adds the new ones: a call for each costs a round trip to the JVM.
+        old = {r[0] for r in self.partners.get()}
+        new = {nbr for frame in rows for nbr in frame["nbr"].unique().tolist()} - old
+        if new:
+            self.partners.appendList([(nbr,) for nbr in sorted(new)])
+            yield pd.DataFrame({"user_id": [key[0]], "d": [len(old) + len(new)]})
 
     def close(self) -> None:
         pass
 
 
 def user_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(user_id, d): the number of users with whom a user was co-present, kept by a stateful processor over the stream of pairs. State stores are RocksDB's while it runs, as map state asks for."""
+    """(user_id, d): the number of users with whom a user was co-present, kept by a stateful processor over the stream of pairs. State stores are RocksDB's while it runs, as list state asks for."""
     pairs = table(spark, sf_dir, "events")
     at = f"{shared_dir(spark)}/pairs-{uuid.uuid4().hex}"
     copresence_pairs(pairs).select(F.explode(F.array(F.struct(F.col("u").alias("user_id"), F.col("v").alias("nbr")), F.struct(F.col("v").alias("user_id"), F.col("u").alias("nbr")))).alias("p")).select("p.*").repartition(4).write.parquet(at)
-    key, store = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-    before = spark.conf.get(key, None)
-    spark.conf.set(key, store)
+    # A partition of the state starts a worker each batch, whatever it holds: there are as many as the pairs ask for, and no more than are set.
+    fit = max(spark.sparkContext.defaultParallelism, spark.read.parquet(at).count() // 50_000)
+    parts = "spark.sql.shuffle.partitions"
+    conf = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider", parts: str(min(fit, int(spark.conf.get(parts))))}
+    before = {key: spark.conf.get(key, None) for key in conf}
+    for key, value in conf.items():
+        spark.conf.set(key, value)
     try:
         s = spark.readStream.schema("user_id long, nbr long").option("maxFilesPerTrigger", 2).parquet(at)
         s = s.groupBy("user_id").transformWithStateInPandas(Degrees(), "user_id long, d long", "Update", "none")
         return drained(s, "update", ("user_id",))
     finally:
-        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+        for key, value in before.items():
+            spark.conf.unset(key) if value is None else spark.conf.set(key, value)
 
 
 def incremental_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
