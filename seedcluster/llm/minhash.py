@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BASE, CODES, LOWER, chunks, mix64, parts_for, ready, spans_hash, utf8, with_least, word_spans, written
+from .common import BASE, CODES, LOWER, chunks, lean, lean_group, mix64, parts_for, ready, spans_hash, utf8, with_least, word_spans, written
 from .components import components
 
 BANDS, ROWS = 32, 4
@@ -85,7 +85,7 @@ def signatures(docs: DataFrame, width: int, n_hashes: int, doc_id: str = "doc_id
                     sig[r] = m.tobytes()
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size), pa.array(same_a.view(np.int64)), pa.array(same_b.view(np.int64)), pa.array(sig, pa.binary())], ["doc_id", "n_shingles", "same_a", "same_b", "sig"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, "doc_id long, n_shingles long, same_a long, same_b long, sig binary")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(lean(run), "doc_id long, n_shingles long, same_a long, same_b long, sig binary")
 
 
 def _bands(sigs: DataFrame, bands: int, rows: int) -> DataFrame:
@@ -201,7 +201,7 @@ def _blocks(rows: DataFrame, n_hashes: int, agree: float, find: str, percent: in
         return pa.table([pa.array(u), pa.array(v)], ["u", "v"])
 
     tasks = spread.withColumn("cell", F.pmod(F.xxhash64("key", "lo", "hi"), F.lit(cells)))
-    return tasks.groupBy("cell").applyInArrow(run, "u long, v long").distinct()
+    return tasks.groupBy("cell").applyInArrow(lean_group(run), "u long, v long").distinct()
 
 
 def _sets(docs: DataFrame, width: int) -> DataFrame:
@@ -213,7 +213,7 @@ def _sets(docs: DataFrame, width: int) -> DataFrame:
                 ids = batch.column(0).take(pa.array(row[heads] + a)) if len(heads) else batch.column(0).slice(0, 0)
                 yield pa.RecordBatch.from_arrays([ids, pa.array([got[i:j].tobytes() for i, j in zip(heads, ends, strict=True)], pa.binary())], ["doc_id", "items"])
 
-    return docs.mapInArrow(run, "doc_id long, items binary")
+    return docs.mapInArrow(lean(run), "doc_id long, items binary")
 
 
 def _linked(pairs: DataFrame, items: DataFrame, percent: int) -> DataFrame:
@@ -232,7 +232,7 @@ def _linked(pairs: DataFrame, items: DataFrame, percent: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(i).filter(pa.array(keep, pa.bool_())) for i in (0, 1)], ["u", "v"])
 
     left, right = items.select(F.col("doc_id").alias("u"), F.col("items").alias("a")), items.select(F.col("doc_id").alias("v"), F.col("items").alias("b"))
-    return pairs.join(left, "u").join(right, "v").select("u", "v", "a", "b").mapInArrow(run, "u long, v long")
+    return pairs.join(left, "u").join(right, "v").select("u", "v", "a", "b").mapInArrow(lean(run), "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, agree: float = AGREE) -> DataFrame:
@@ -260,7 +260,7 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     keys = _bands(heads, bands, rows)
     counts = keys.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     shared = written(keys.join(counts, "key").select("key", "doc_id", "n"), "shared")
-    briefs = written(heads.join(shared.select("doc_id").distinct(), "doc_id", "left_semi").mapInArrow(brief, "doc_id long, brief binary"), "briefs")
+    briefs = written(heads.join(shared.select("doc_id").distinct(), "doc_id", "left_semi").mapInArrow(lean(brief), "doc_id long, brief binary"), "briefs")
     tried = written(_blocks(shared.withColumn("label", F.col("doc_id")).join(briefs, "doc_id"), n_hashes, agree, "forest"), "tried")
     wanted = tried.select(F.col("u").alias("doc_id")).union(tried.select("v")).distinct()
     items = written(_sets(docs.join(wanted, "doc_id", "left_semi").select("doc_id", "text"), width).dropDuplicates(["doc_id"]), "sets")

@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ready, written
+from .common import lean, ready, written
 from .tokens import code_points, encoder
 
 K1, B = 1.2, 0.75
@@ -156,8 +156,8 @@ def pack(docs: DataFrame, path: str, window: int = 2048, end_id: int = 1, doc_id
         if n_docs:
             yield pa.RecordBatch.from_arrays([pa.array([df.astype("<i8").tobytes()]), pa.array([n_docs]), pa.array([n_ids])], ["df", "n_docs", "n_ids"])
 
-    table = written(docs.mapInArrow(encoded, "rid long, doc_id long, place long, ids binary, df binary, n_docs long, n_ids long"), "packing")
-    parts = table.where("df IS NOT NULL").select("df", "n_docs", "n_ids").coalesce(8).mapInArrow(summed, "df binary, n_docs long, n_ids long").collect()
+    table = written(docs.mapInArrow(lean(encoded, keep=True), "rid long, doc_id long, place long, ids binary, df binary, n_docs long, n_ids long"), "packing")
+    parts = table.where("df IS NOT NULL").select("df", "n_docs", "n_ids").coalesce(8).mapInArrow(lean(summed), "df binary, n_docs long, n_ids long").collect()
     df, n_all, n_ids = sum((np.frombuffer(x["df"], "<i8") for x in parts), np.zeros(1 << 16, np.int64)), sum(x["n_docs"] for x in parts), sum(x["n_ids"] for x in parts)
     mean = n_ids / max(n_all, 1)
 
@@ -190,4 +190,4 @@ def pack(docs: DataFrame, path: str, window: int = 2048, end_id: int = 1, doc_id
     ranges = max(1, min(RANGES, -(-n_ids // min(RANGE_IDS, shard_ids))))
     texts = table.where("ids IS NOT NULL").select("rid", "doc_id", "place", "ids")
     sorted_ = texts.repartitionByRange(ranges, "place", "doc_id", "rid").sortWithinPartitions("place", "doc_id", "rid")
-    return sorted_.select("doc_id", "ids").mapInArrow(packed, FIELDS)
+    return sorted_.select("doc_id", "ids").mapInArrow(lean(packed), FIELDS)

@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import CODES, chunks, mix64, ready, spans_hash, utf8, word_spans, written
+from .common import CODES, chunks, lean, mix64, ready, spans_hash, utf8, word_spans, written
 
 BITS = 18
 #: Names of groups, by kind, in the languages of the texts (word list; a swap stays within a kind).
@@ -166,11 +166,11 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = 20_000, doc_id: str = "d
     known = labels.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(label).cast("int").alias("label")).where("label IN (0, 1) AND doc_id IS NOT NULL").groupBy("doc_id").agg(F.min("label").alias("label"), F.max("label").alias("other")).where("label = other").drop("other")
     known = known.where(~held_out()).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
     rows = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).join(F.broadcast(known), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text"))
-    sample = written(rows.mapInArrow(hashed, "doc_id long, label int, features binary"), "labelled")
+    sample = written(rows.mapInArrow(lean(hashed), "doc_id long, label int, features binary"), "labelled")
     n, n1 = sample.agg(F.count(F.lit(1)), F.coalesce(F.sum("label"), F.lit(0))).first()
     if n in (0, n1) or not n1:
         return train([np.zeros(0, np.int64)] * n, np.full(n, float(n1 > 0)), bits)
-    counts = sample.mapInArrow(counted, "f long, one long, every long").groupBy("f").agg(F.sum("one").alias("one"), F.sum("every").alias("every")).where("every >= 3").toPandas()
+    counts = sample.mapInArrow(lean(counted), "f long, one long, every long").groupBy("f").agg(F.sum("one").alias("one"), F.sum("every").alias("every")).where("every >= 3").toPandas()
     use = np.zeros(1 << bits, bool)
     use[counts["f"].to_numpy()[telling(counts["one"].to_numpy(), counts["every"].to_numpy(), n1, n, z)]] = True
     use[identity_features(bits)] = True
@@ -181,7 +181,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = 20_000, doc_id: str = "d
             got = [np.frombuffer(x, "<i4") for x in batch.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([f[sent.value[f]].tobytes() for f in got], pa.binary())], names)
 
-    got = sample.mapInArrow(chosen, "doc_id long, label int, features binary").orderBy("doc_id").toArrow()
+    got = sample.mapInArrow(lean(chosen), "doc_id long, label int, features binary").orderBy("doc_id").toArrow()
     return train([np.frombuffer(x, "<i4") for x in got.column("features").to_pylist()], got.column("label").to_numpy().astype(float), bits, counterfactual=counterfactual)
 
 
@@ -198,7 +198,7 @@ def scored(docs: DataFrame, model: tuple[np.ndarray, float], threshold: float =
                 score = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, rows), pa.array(score), pa.array((score >= threshold).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, "doc_id long, score double, predicted int")
+    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(lean(run), "doc_id long, score double, predicted int")
 
 
 def without_toxic(docs: DataFrame, model: tuple[np.ndarray, float], threshold: float = 0.7, text: str = "text", bits: int = BITS) -> DataFrame:
@@ -216,7 +216,7 @@ def without_toxic(docs: DataFrame, model: tuple[np.ndarray, float], threshold: f
                 good[a : a + rows] = 1 / (1 + np.exp(-np.clip(z, -30, 30))) < threshold
             yield batch.filter(pa.array(good))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
 
 
 def is_held_out(doc_id: int) -> bool:
