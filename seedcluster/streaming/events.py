@@ -5,14 +5,16 @@ from __future__ import annotations
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.types import IntegerType, StructField, StructType
 
+from ..functions.packed import pack, unpack
 from ..operators.prepare import normalise_edges
-from ..sources.graphs import copresence_pairs
+from ..sources.graphs import copresence_packed
 from ..sources.shared import shared_dir, written
 from ..sources.tables import table
 
@@ -145,17 +147,18 @@ def triangle_delta(spark: SparkSession, edges: DataFrame, batches: int = 3) -> D
 
 
 class Degrees(StatefulProcessor):
-    """Keeps each user's distinct partners in a list state and gives out the user's degree when it grows."""
+    """Keeps each user's distinct partners in a list state, packed, and gives out the user's degree when it grows. Partners come one a row (nbr) or as packed lists (vs)."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.partners = handle.getListState("partners", "nbr long")
+        self.partners = handle.getListState("partners", "vs binary")
 
     def handleInputRows(self, key, rows, timerValues) -> Iterator[pd.DataFrame]:
         # One call reads all partners of a user and one adds the new ones: a call for each costs a round trip to the JVM.
-        old = {r[0] for r in self.partners.get()}
-        new = {nbr for frame in rows for nbr in frame["nbr"].unique().tolist()} - old
-        if new:
-            self.partners.appendList([(nbr,) for nbr in sorted(new)])
+        old = np.concatenate([np.zeros(0, np.int64), *(unpack(r[0]) for r in self.partners.get())])
+        come = [frame["nbr"].to_numpy() if "nbr" in frame else np.concatenate([unpack(v) for v in frame["vs"]]) for frame in rows]
+        new = np.setdiff1d(np.concatenate([old[:0], *come]), old)
+        if len(new):
+            self.partners.appendList([(pack(new),)])
             yield pd.DataFrame({"user_id": [key[0]], "d": [len(old) + len(new)]})
 
     def close(self) -> None:
@@ -163,19 +166,19 @@ class Degrees(StatefulProcessor):
 
 
 def user_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(user_id, d): the number of users with whom a user was co-present, kept by a stateful processor over the stream of pairs. State stores are RocksDB's while it runs, as list state asks for."""
-    pairs = table(spark, sf_dir, "events")
+    """(user_id, d): the number of users with whom a user was co-present, kept by a stateful processor over the stream of pairs, which come as packed lists, a user's of a slice of time in a row. State stores are RocksDB's while it runs, as list state asks for."""
     at = f"{shared_dir(spark)}/pairs-{uuid.uuid4().hex}"
-    copresence_pairs(pairs).select(F.explode(F.array(F.struct(F.col("u").alias("user_id"), F.col("v").alias("nbr")), F.struct(F.col("v").alias("user_id"), F.col("u").alias("nbr")))).alias("p")).select("p.*").repartition(4).write.parquet(at)
-    # A partition of the state starts a worker each batch, whatever it holds: there are as many as the pairs ask for, and no more than are set.
-    fit = max(spark.sparkContext.defaultParallelism, spark.read.parquet(at).count() // 50_000)
+    copresence_packed(table(spark, sf_dir, "events"), both=True).select(F.col("u").alias("user_id"), "vs").repartition(4).write.option("compression", "none").parquet(at)
+    # A partition of the state starts a worker each batch, whatever it holds: there are as many as the lists ask for, and no more than are set.
+    held = spark.read.parquet(at).agg(F.sum(F.octet_length("vs"))).first()[0] or 0
+    fit = max(spark.sparkContext.defaultParallelism, held // 16_000_000)
     parts = "spark.sql.shuffle.partitions"
     conf = {"spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider", parts: str(min(fit, int(spark.conf.get(parts))))}
     before = {key: spark.conf.get(key, None) for key in conf}
     for key, value in conf.items():
         spark.conf.set(key, value)
     try:
-        s = spark.readStream.schema("user_id long, nbr long").option("maxFilesPerTrigger", 2).parquet(at)
+        s = spark.readStream.schema("user_id long, vs binary").option("maxFilesPerTrigger", 2).parquet(at)
         s = s.groupBy("user_id").transformWithStateInPandas(Degrees(), "user_id long, d long", "Update", "none")
         return drained(s, "update", ("user_id",))
     finally:
