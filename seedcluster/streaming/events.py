@@ -7,6 +7,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
@@ -14,7 +15,7 @@ from pyspark.sql.types import IntegerType, StructField, StructType
 
 from ..functions.packed import pack, unpack
 from ..operators.prepare import normalise_edges
-from ..sources.graphs import copresence_packed
+from ..sources.graphs import copresence_lists, copresence_packed, pair_counts, pair_lists
 from ..sources.shared import shared_dir, written
 from ..sources.tables import table
 
@@ -96,17 +97,46 @@ def deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return drained(s).select("event_id", "user_id")
 
 
+def moment_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(event_type, b, users, times, ts) as a stream: the events of a type and of ten minutes in a row, with the begin of the ten minutes; times in microseconds."""
+    key = f"_seedcluster_moments_{sf_dir}"
+    found = getattr(spark, key, None)
+    if not found:
+        found = f"{shared_dir(spark)}/moments-{uuid.uuid4().hex}"
+        ts = F.col("ts").cast("timestamp")
+        e = table(spark, sf_dir, "events").select("event_type", F.floor(F.unix_seconds(ts) / 600).alias("b"), F.col("user_id").cast("bigint").alias("user"), F.unix_micros(ts).alias("at")).dropna()
+        rows = e.groupBy("event_type", "b").agg(F.collect_list(F.struct("user", "at")).alias("e"))
+        rows.select("event_type", "b", "e.user", "e.at").toDF("event_type", "b", "users", "times").repartitionByRange(4, "b").write.parquet(found)
+        setattr(spark, key, found)
+    schema = f"event_type {table(spark, sf_dir, 'events').schema['event_type'].dataType.simpleString()}, b long, users array<long>, times array<long>"
+    return spark.readStream.schema(schema).parquet(found).withColumn("ts", F.timestamp_seconds(F.col("b") * 600))
+
+
 def pair_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(u, v) as a stream: co-presence pairs by a join of two streams with an interval on time, by equality of type and of ten minutes' bucket; the earlier event is in its bucket and the next."""
-    bucket = lambda ts: F.floor(F.unix_seconds(ts) / 600)
-    a = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", "60 days").withColumn("b", F.explode(F.array(bucket("t0"), bucket("t0") + 1)))
-    b = event_stream(spark, sf_dir).select("event_type", F.col("user_id").alias("v"), F.col("ts").alias("t1")).withWatermark("t1", "60 days").withColumn("b", bucket("t1"))
-    return a.join(b, F.expr("u <> v AND t1 >= t0 AND t1 < t0 + INTERVAL 10 MINUTES") & (a["event_type"] == b["event_type"]) & (a["b"] == b["b"])).select("u", "v")
+    """(u, vs, ns) as a stream: co-presence pairs by a join of two streams with an interval on time, by equality of type and of ten minutes' bucket; the earlier event is in its bucket and the next.
+
+    The state holds a row for a type and bucket, and what meets are two lists of events, whose pairs come out as lists: u, the packed later users, how often each. A pair can come in several rows.
+    """
+    a = moment_stream(spark, sf_dir).select("event_type", F.col("users").alias("us"), F.col("times").alias("t0s"), F.col("ts").alias("t0"), F.explode(F.array("b", F.col("b") + 1)).alias("b")).withWatermark("t0", "60 days")
+    b = moment_stream(spark, sf_dir).select("event_type", F.col("users").alias("vs"), F.col("times").alias("t1s"), F.col("ts").alias("t1"), "b").withWatermark("t1", "60 days")
+    met = a.join(b, F.expr("t1 >= t0 AND t1 < t0 + INTERVAL 20 MINUTES") & (a["event_type"] == b["event_type"]) & (a["b"] == b["b"]))
+    return met.select("us", "t0s", "vs", "t1s").mapInArrow(_pairs, "u long, vs binary, ns binary")
+
+
+def _pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The lists of pairs of rows (us, t0s, vs, t1s), whose left events meet the right ones less than ten minutes later."""
+
+    def events(batch: pa.RecordBatch, users: str, times: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        u, t = batch.column(users), batch.column(times)
+        return np.repeat(np.arange(len(u)), np.diff(u.offsets.to_numpy())), u.flatten().to_numpy(), t.flatten().to_numpy()
+
+    for batch in batches:
+        yield from copresence_lists(events(batch, "us", "t0s"), events(batch, "vs", "t1s"), 600_000_000).to_batches(1000)
 
 
 def copresence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(u, v, n): co-presence pairs of the stream, counted in batch."""
-    return drained(pair_stream(spark, sf_dir)).groupBy("u", "v").agg(F.count(F.lit(1)).alias("n"))
+    return pair_counts(drained(pair_stream(spark, sf_dir)))
 
 
 def new_triangles(old: DataFrame, new: DataFrame) -> DataFrame:
@@ -187,12 +217,12 @@ def user_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def incremental_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Co-presence edges merged batch by batch through foreachBatch into a table of pair counts."""
+    """Co-presence edges merged batch by batch through foreachBatch into a table of pair counts, which are kept as lists."""
     at = f"{shared_dir(spark)}/pairs-{uuid.uuid4().hex}"
 
     def merge(batch: DataFrame, i: int) -> None:
-        batch.groupBy("u", "v").agg(F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{at}/out/batch={i}")
+        pair_lists(written(batch, "batch")).write.mode("overwrite").parquet(f"{at}/out/batch={i}")
 
     pair_stream(spark, sf_dir).writeStream.foreachBatch(merge).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start().awaitTermination()
-    pairs = spark.read.schema("u long, v long, n long, batch int").parquet(f"{at}/out").groupBy("u", "v").agg(F.sum("n").alias("n")).where("n >= 2")
-    return normalise_edges(pairs, "u", "v")
+    pairs = spark.read.schema("u long, vs binary, ns binary, batch int").parquet(f"{at}/out")
+    return normalise_edges(pair_counts(pairs, 2), "u", "v")
